@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
-from axisgrove.llm import mixing
+from axisgrove.llm import decontaminate, html_text, kd_sharding, mixing, url_filter
 
 QUERIES = {
     "op1_pareto_mix": mixing.op1_pareto_mix,
+    "op4_html_text": html_text.op4_html_text,
+    "op6_kd_shards": kd_sharding.op6_kd_shards,
+    "op8_decontaminate": decontaminate.op8_decontaminate,
+    "op10_url_filter": url_filter.op10_url_filter,
 }
 
 ORACLE_SQL = {
     "op1_pareto_mix": mixing.OP1_SQL,
+    "op8_decontaminate": decontaminate.OP8_SQL,
 }
