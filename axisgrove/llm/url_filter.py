@@ -129,15 +129,19 @@ class BoostedTrees:
         return 1 / (1 + np.exp(-score))
 
 
-def _log_odds(seen: list[tuple], prior: float = 5.0) -> dict[str, float]:
-    """How much more often a key stands in unwanted URLs than in others, smoothed towards even."""
+def _log_odds(seen: list[tuple], prior: float = 5.0, least: int = 12) -> dict[str, float]:
+    """How much more often a key stands in unwanted URLs than in others, smoothed towards even.
+
+    Keys seen less than ``least`` times have none: their odds would give away the label
+    of the very URLs the trees are trained on.
+    """
     total = [1 + sum(1 for _, bad in seen if bool(bad) == side) for side in (False, True)]
     counts: dict[str, list[int]] = {}
     for keys, bad in seen:
         for k in keys:
             counts.setdefault(k, [0, 0])[bool(bad)] += 1
     even = [prior * t / sum(total) for t in total]
-    return {k: math.log((n[1] + even[1]) / (n[0] + even[0])) - math.log(total[1] / total[0]) for k, n in counts.items()}
+    return {k: math.log((n[1] + even[1]) / (n[0] + even[0])) - math.log(total[1] / total[0]) for k, n in counts.items() if sum(n) >= least}
 
 
 class UrlModel:
