@@ -2,17 +2,19 @@
 
 from __future__ import annotations
 
-from axisgrove.llm import decontaminate, html_text, kd_sharding, mixing, url_filter
+from axisgrove.llm import decontaminate, html_text, kd_sharding, line_rules, mixing, url_filter
 
 QUERIES = {
     "op1_pareto_mix": mixing.op1_pareto_mix,
     "op4_html_text": html_text.op4_html_text,
     "op6_kd_shards": kd_sharding.op6_kd_shards,
+    "op7_line_rules": line_rules.op7_line_rules,
     "op8_decontaminate": decontaminate.op8_decontaminate,
     "op10_url_filter": url_filter.op10_url_filter,
 }
 
 ORACLE_SQL = {
     "op1_pareto_mix": mixing.OP1_SQL,
+    "op7_line_rules": line_rules.OP7_SQL,
     "op8_decontaminate": decontaminate.OP8_SQL,
 }
