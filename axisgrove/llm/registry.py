@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from axisgrove.llm import decontaminate, html_text, kd_sharding, line_rules, mixing, url_filter
+from axisgrove.llm import decontaminate, html_text, kd_sharding, line_rules, mixing, personal_data, quotations, url_filter
 
 QUERIES = {
     "op1_pareto_mix": mixing.op1_pareto_mix,
+    "op3_quotations": quotations.op3_quotations,
     "op4_html_text": html_text.op4_html_text,
+    "op5_personal_data": personal_data.op5_personal_data,
     "op6_kd_shards": kd_sharding.op6_kd_shards,
     "op7_line_rules": line_rules.op7_line_rules,
     "op8_decontaminate": decontaminate.op8_decontaminate,
@@ -15,6 +17,7 @@ QUERIES = {
 
 ORACLE_SQL = {
     "op1_pareto_mix": mixing.OP1_SQL,
+    "op3_quotations": quotations.OP3_SQL,
     "op7_line_rules": line_rules.OP7_SQL,
     "op8_decontaminate": decontaminate.OP8_SQL,
 }
