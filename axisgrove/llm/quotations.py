@@ -101,9 +101,9 @@ def in_reply_order(found: DataFrame, conversation: str = "conv_id", turn: str =
 
 
 def op3_quotations(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All messages without quotes, with their links and their place in reply order."""
+    """All messages without quotes, with their links (reply_to -1: none) and their place in reply order."""
     found = linked(table(spark, sf_dir, "conversations"))
-    return found.select("conv_id", "turn", "role", F.col("own_text").alias("text"), "n_quoted", "n_linked", "reply_to", "thread", "depth")
+    return found.select("conv_id", "turn", "role", F.col("own_text").alias("text"), "n_quoted", "n_linked", F.coalesce("reply_to", F.lit(-1)).alias("reply_to"), "thread", "depth")
 
 
 OP3_SQL = r"""
@@ -120,6 +120,6 @@ u AS (SELECT c, t, reply_to AS root, 1 AS depth FROM f UNION ALL SELECT u.c, u.t
 r AS (SELECT c, t, min(root) AS root, max(depth) AS depth FROM u GROUP BY c, t),
 n AS (SELECT k, count(*) FILTER (lvl > 0) AS n FROM p GROUP BY k)
 SELECT conv_id, turn, role, regexp_replace(array_to_string(list_filter(lines, lambda x: NOT regexp_matches(x, '^(?:[ \t]*>)+')), chr(10)), '^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$', '', 'g') AS text,
-    coalesce(n.n, 0)::BIGINT AS n_quoted, coalesce(f.n, 0)::BIGINT AS n_linked, f.reply_to, coalesce(r.root, turn) AS thread, coalesce(r.depth, 0)::BIGINT AS depth
+    coalesce(n.n, 0)::BIGINT AS n_quoted, coalesce(f.n, 0)::BIGINT AS n_linked, coalesce(f.reply_to, -1) AS reply_to, coalesce(r.root, turn) AS thread, coalesce(r.depth, 0)::BIGINT AS depth
 FROM m LEFT JOIN n USING (k) LEFT JOIN f ON m.conv_id = f.c AND m.turn = f.t LEFT JOIN r ON m.conv_id = r.c AND m.turn = r.t
 """

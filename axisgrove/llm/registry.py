@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from axisgrove.llm import decontaminate, html_text, kd_sharding, line_rules, mixing, personal_data, quotations, url_filter
+from axisgrove.llm import decontaminate, html_text, jaccard_join, kd_sharding, line_rules, mixing, personal_data, quotations, url_filter
 
 QUERIES = {
     "op1_pareto_mix": mixing.op1_pareto_mix,
@@ -12,6 +12,7 @@ QUERIES = {
     "op6_kd_shards": kd_sharding.op6_kd_shards,
     "op7_line_rules": line_rules.op7_line_rules,
     "op8_decontaminate": decontaminate.op8_decontaminate,
+    "op9_jaccard_join": jaccard_join.op9_jaccard_join,
     "op10_url_filter": url_filter.op10_url_filter,
 }
 
