@@ -120,9 +120,10 @@ def _covered(starts: np.ndarray, stops: np.ndarray, n: int) -> np.ndarray:
     return np.cumsum(step[:-1]) > 0
 
 
-def contaminated_words(docs: DataFrame, items: DataFrame, keep: list[str], text: str = "text", item_id: str = "item_id", item_text: str = "text", width: int = WIDTH) -> DataFrame:
+def contaminated_words(docs: DataFrame, items: DataFrame, keep: list[str], text: str = "text", item_id: str = "item_id", item_text: str = "text", width: int = WIDTH, with_text: bool = False) -> DataFrame:
     """``keep`` of every document, n_words, hits array<struct<start,stop>> (word spans that
-    windows cover, merged) and items array<string> (ids of the items found, sorted).
+    windows cover, merged) and items array<string> (ids of the items found, sorted);
+    ``with_text`` keeps the text, too.
 
     Nulls and texts without words have no words and no hits; a null item text gives no
     window; a null item id counts as "None"; repeated rows are judged each alone; empty
@@ -140,7 +141,7 @@ def contaminated_words(docs: DataFrame, items: DataFrame, keep: list[str], text:
         index = WindowIndex([tuple(r) for r in part.select(item_id, item_text).filter(F.col(item_text).isNotNull()).collect()], width)
         index.order(_corpus_counts(docs, text, index))
         held = spark.sparkContext.broadcast(cloudpickle.dumps(index))
-        last = block == blocks - 1
+        last = block == blocks - 1 and not with_text
 
         def find(batches, held=held, last=last):
             index = cloudpickle.loads(held.value)
@@ -173,7 +174,7 @@ def contaminated_words(docs: DataFrame, items: DataFrame, keep: list[str], text:
                     yield pa.RecordBatch.from_arrays(columns, names=[*keep, *([] if last else [text]), "n_words", "hits", "items"])
 
         out = out.mapInArrow(find, ", ".join(x for x in (kept, "" if last else f"`{text}` string", added) if x))
-        if not last:
+        if block < blocks - 1:
             out = cut(out)
     return out
 

@@ -372,3 +372,25 @@ def op9_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = cut(similar_groups(table(spark, sf_dir, "documents"), ["doc_id"]))
     least = found.filter(F.col("group").isNotNull()).groupBy("group").agg(F.min("doc_id").alias("component_id")).withColumnRenamed("group", "__g")
     return found.join(least, F.col("group") == F.col("__g"), "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+
+
+def one_of_each_group(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
+    """The documents without all but one of each group: the one of smallest id stays.
+
+    Rows with that id in one group are reduced to one, too (by their text's hash, then any
+    of equal rows); rows of a group without any id are reduced to one. Documents without
+    shingles all stay. Only the list of what goes is joined to the documents.
+    """
+    key = F.xxhash64(F.coalesce(F.col(text), F.lit("")))
+    found = cut(similar_groups(docs.select(F.col(doc_id).alias("__id"), key.alias("__k"), F.col(text).alias("__t")), ["__id", "__k"], "__t", width, percent).filter(F.col("group").isNotNull()).groupBy("group", "__id", "__k").agg(F.count("*").alias("rows")))
+    best = found.groupBy("group").agg(F.min(F.struct(F.col("__id").isNull().alias("none"), "__id", "__k")).alias("best"), F.sum("rows").alias("all")).filter("all > 1").withColumnRenamed("group", "__g")
+    judged = found.join(best, F.col("group") == F.col("__g"))
+    stays = F.col("__id").eqNullSafe(F.col("best").getField("__id")) & (F.col("__k") == F.col("best").getField("__k"))
+    listed = cut(judged.select(F.col("__id").alias("__i"), F.col("__k").alias("__kk"), stays.alias("__stays"), "rows").filter("NOT __stays OR rows > 1"))
+    side = F.broadcast(listed) if listed.count() <= BROADCAST_NODES else listed
+    marked = docs.withColumn("__k", key).join(side.drop("rows"), F.col(doc_id).eqNullSafe(F.col("__i")) & (F.col("__k") == F.col("__kk")), "left")
+    single = marked.filter(F.col("__stays").isNull()).select(*docs.columns)
+    if listed.filter("__stays").isEmpty():
+        return single
+    repeated = marked.filter("__stays").dropDuplicates(["__i", "__kk"]).select(*docs.columns)
+    return single.unionByName(repeated)

@@ -204,12 +204,17 @@ def kd_shards(docs: DataFrame, shards: int | None = 16, target_bytes: int | None
     return rows.withColumn("shard", tree.leaf()), tree
 
 
+def with_shard(docs: DataFrame, tree: KdTree, text: str = "text") -> DataFrame:
+    """The documents with ``size`` and ``shard``; every row finds its leaf where it is."""
+    measures = ["size", "text_crc32", "beyond_ascii", "lines"]
+    others = [c for c in docs.columns if c not in {*measures, "shard"}]
+    held = text_metadata(docs, tuple(others), text) if text not in others else text_metadata(docs.withColumn("__text", F.col(text)), tuple(others), "__text")
+    return held.withColumn("shard", tree.leaf()).select(*others, "size", "shard")
+
+
 def write_shards(docs: DataFrame, tree: KdTree, path: str, text: str = "text") -> None:
     """The documents as Parquet, one folder a shard; rows go straight to the shard's files."""
-    held = docs.withColumn("__whole", F.coalesce(F.col(text), F.lit("")))
-    size = F.octet_length("__whole").cast("bigint")
-    held = held.withColumns({"size": size + 1, "text_crc32": F.crc32(F.col("__whole").cast("binary")), "beyond_ascii": size - F.length("__whole"), "lines": (F.length("__whole") - F.length(F.replace("__whole", F.lit("\n"), F.lit(""))) + 1).cast("bigint")})
-    held.withColumn("shard", tree.leaf()).drop("__whole", "size", "text_crc32", "beyond_ascii", "lines").write.partitionBy("shard").parquet(path)
+    with_shard(docs, tree, text).drop("size").write.partitionBy("shard").parquet(path)
 
 
 def op6_kd_shards(spark: SparkSession, sf_dir: str) -> DataFrame:

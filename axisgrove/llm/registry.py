@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from axisgrove.llm import decontaminate, html_text, jaccard_join, kd_sharding, line_rules, mixing, personal_data, quotations, url_filter
+from axisgrove.llm import decontaminate, html_text, jaccard_join, kd_sharding, line_rules, mixing, personal_data, quotations, suffix_dedup, url_filter
 
 QUERIES = {
     "op1_pareto_mix": mixing.op1_pareto_mix,
+    "op2_suffix_dedup": suffix_dedup.op2_suffix_dedup,
     "op3_quotations": quotations.op3_quotations,
     "op4_html_text": html_text.op4_html_text,
     "op5_personal_data": personal_data.op5_personal_data,
