@@ -1,12 +1,14 @@
 """Exact Jaccard join on word n-grams: size bands, bitmap signatures, sorted-array checks.
 
 A document is the set of hashes of its shingles; documents with equal sets are one node.
-Linked nodes A and B share one of the first |A| - ceil(t |A|) + 1 shingles of A, whatever
-common order is taken; ours is by hash, with shingles that were counted often put last, so
+Linked nodes A and B share at least m of the first |A| - ceil(t |A|) + m shingles of A,
+whatever common order is taken, and the same holds for B; m grows with the size (one in
+twenty). Our order is by hash, with shingles that were counted often put last, so
 that passages which many documents share lead to no candidates between them.
 
 1. Shingles often seen are listed (a bounded list; it shapes the order, not the result).
-2. Prefixes of all nodes are joined on shingles that at least two nodes hold.
+2. Prefixes of all nodes are joined on shingles that at least two nodes hold; a node with
+   too few of those is linked with nothing and goes.
 3. Nodes that meet are clustered within tiles of bounded size, so that a large group of
    near copies is held together by a few links and need not be expanded into all pairs.
 4. Every pair that still lies apart and shares a prefix shingle is tried: shingle groups
@@ -41,6 +43,11 @@ BROADCAST_NODES = 300_000
 _PAIRS = 1 << 19
 
 
+def shared_least(n: int) -> int:
+    """m for a set of n shingles."""
+    return 1 + n // 20
+
+
 def _sets(part: pa.RecordBatch, text: str, width: int):
     """Sorted distinct shingle hashes of each text of a batch."""
     words = Words(part.column(text), SPACED, lower=True)
@@ -121,7 +128,7 @@ def sketches(docs: DataFrame, keep: list[str], text: str, width: int, percent: i
                 nodes, sizes, heads = [], [], []
                 for own in _sets(part, text, width):
                     n = len(own)
-                    first = n - (percent * n + 99) // 100 + 1 if n else 0
+                    first = n - (percent * n + 99) // 100 + shared_least(n) if n else 0
                     place = np.zeros(n, dtype=np.int64)
                     maybe = np.flatnonzero(likely[(own >> np.uint64(44)).astype(np.int64)])
                     if len(maybe):
@@ -347,8 +354,16 @@ def similar_groups(docs: DataFrame, keep: list[str], text: str = "text", width:
     filled = sketched.filter("n_shingles > 0")
     nodes = filled.select("node", F.col("n_shingles").alias("n"), "key", "prefix").dropDuplicates(["node"])
     heads = nodes.select("node", "n", "key", F.explode("prefix").alias("shingle"))
-    shared = heads.groupBy("shingle").agg(F.count("*").alias("holders")).filter("holders > 1")
-    live = cut(heads.join(shared, "shingle"))
+    # The smaller of the m of a node and of the smallest partner it may have.
+    need = 1 + F.floor(F.col("n") * percent / 100 / 20)
+    live = heads
+    for _ in range(2):
+        live = live.drop("holders")
+        shared = live.groupBy("shingle").agg(F.count("*").alias("holders")).filter("holders > 1")
+        live = cut(live.join(shared, "shingle"))
+        enough = live.groupBy("node", "n").agg(F.count("*").alias("found")).filter(F.col("found") >= need).select("node")
+        live = live.join(enough, "node", "left_semi")
+    live = cut(live)
     sets = cut(_full_sets(docs, text, width, cut(live.select("key").distinct())))
     links = None
     for seed in (1, 2):
