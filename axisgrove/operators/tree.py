@@ -127,6 +127,10 @@ def shard_row(shard: int, tree: LocalTree, counters: Counters, found: int = 0, a
 def _bucket_skeletons(rows: DataFrame, open_: dict[int, int], top: TopTree, params: TreeParams) -> dict[int, Skeleton | None]:
     """A skeleton for every open end, from a sample of its points. One bucket's sample is drawn on the
     driver; the samples of many are turned into skeletons where they are, and only those come back."""
+    largest = max(open_.values())
+    # No more levels than it takes to bring the largest bucket down to a shard.
+    levels = min(params.levels, max(1, math.ceil(math.log2(largest / params.shard_rows) + 0.5)))
+    params = params.but(levels=levels)
     names, s = axes(top.d), params.base_cutoff
     depth = {k: top.depth(k) for k in open_}
     if params.sampler == "exact":
