@@ -26,6 +26,7 @@ from pyspark.sql import functions as F
 
 from axisgrove.llm.common import cut, table
 from axisgrove.llm.components import components
+from axisgrove.llm.packing import bit_filter, whole_groups, within
 from axisgrove.llm.words import SPACED, Words, mix64, shingle_hashes, slices
 
 WIDTH, PERCENT = 4, 85
@@ -39,6 +40,8 @@ TILE = 512
 LEAST_BITS, MOST_BITS = 64, 4096
 #: Nodes whose keys may be sent to every task; more are joined by shuffling.
 BROADCAST_NODES = 300_000
+#: Prefix shingles that one bucket of the packed comparison holds.
+PACKED_ROWS = 1 << 22
 #: Pairs that are laid out at a time.
 _PAIRS = 1 << 19
 
@@ -150,6 +153,62 @@ def sketches(docs: DataFrame, keep: list[str], text: str, width: int, percent: i
     return fields.mapInArrow(work, ", ".join(x for x in (kinds, "key bigint, node bigint, n_shingles bigint, prefix array<bigint>") if x))
 
 
+def _shared_heads(nodes: DataFrame) -> DataFrame:
+    """(shingle, node, n, key) of the prefix shingles that more than one node holds, and of few others.
+
+    First every slice packs, for each shingle, the least and the greatest node that holds
+    it, so a shingle that very many nodes hold is two numbers a slice; where the two differ
+    over all slices, the shingle is shared. A bitmap of those then picks the rows.
+    """
+    total = nodes.agg(F.sum(F.size("prefix"))).head()[0] or 0
+    buckets = max(64, total // PACKED_ROWS)
+    limits = np.array([(b << 64) // buckets for b in range(1, buckets)], dtype=np.uint64)
+
+    def flat(batch):
+        lists = batch.column("prefix")
+        shingle = lists.flatten().to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
+        return shingle, np.repeat(np.arange(batch.num_rows), np.diff(lists.offsets.to_numpy()))
+
+    def pack(batches):
+        for batch in batches:
+            shingle, row = flat(batch)
+            node = batch.column("node").to_numpy()[row]
+            order = np.lexsort((node, shingle))
+            shingle, node = shingle[order], node[order]
+            first = np.concatenate([[True], shingle[1:] != shingle[:-1]]) if len(shingle) else np.zeros(0, bool)
+            last = np.concatenate([first[1:], [True]]) if len(shingle) else first
+            keep = first | (last & ~first & (node != node[np.maximum.accumulate(np.where(first, np.arange(len(first)), 0))] if len(first) else last))
+            pairs = np.stack([shingle[keep].view(np.int64), node[keep]], axis=1)
+            parts = np.split(pairs, np.searchsorted(shingle[keep], limits))
+            blobs = [(b, np.ascontiguousarray(x).tobytes()) for b, x in enumerate(parts) if len(x)]
+            yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in blobs], pa.int32()), pa.array([x for _, x in blobs], pa.binary())], names=["bucket", "packed"])
+
+    def compare(batches):
+        for held in whole_groups(batches, "bucket"):
+            keys, blobs = held.column("bucket").to_numpy(), held.column("packed").to_pylist()
+            for b in np.unique(keys).tolist():
+                pairs = np.frombuffer(b"".join(x for x, k in zip(blobs, keys.tolist(), strict=True) if k == b), dtype=np.int64).reshape(-1, 2)
+                pairs = pairs[np.argsort(pairs[:, 0], kind="stable")]
+                heads = np.flatnonzero(np.concatenate([[True], pairs[1:, 0] != pairs[:-1, 0]]))
+                apart = np.minimum.reduceat(pairs[:, 1], heads) != np.maximum.reduceat(pairs[:, 1], heads)
+                yield pa.RecordBatch.from_arrays([pa.array(pairs[heads[apart], 0])], names=["shingle"])
+
+    packed = nodes.select("node", "prefix").mapInArrow(pack, "bucket int, packed binary")
+    shared = packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(compare, "shingle bigint")
+    held = nodes.sparkSession.sparkContext.broadcast(bit_filter(shared, "shingle"))
+
+    def pick(batches):
+        bits = np.frombuffer(held.value, dtype=np.uint8)
+        for batch in batches:
+            shingle, row = flat(batch)
+            keep = within(bits, shingle)
+            row = row[keep]
+            yield pa.RecordBatch.from_arrays([pa.array(shingle[keep].view(np.int64)), *[pa.array(batch.column(c).to_numpy()[row]) for c in ("node", "n", "key")]], names=["shingle", "node", "n", "key"])
+
+    rows = nodes.mapInArrow(pick, "shingle bigint, node bigint, n bigint, key bigint")
+    return rows.groupBy("shingle", "node", "n").agg(F.min("key").alias("key"))
+
+
 def _full_sets(docs: DataFrame, text: str, width: int, wanted: DataFrame) -> DataFrame:
     """node, n, shingles, signature of the texts whose key is in ``wanted``."""
     held = docs.select(F.xxhash64(F.coalesce(F.col(text), F.lit(""))).alias("key"), text)
@@ -164,25 +223,6 @@ def _full_sets(docs: DataFrame, text: str, width: int, wanted: DataFrame) -> Dat
     return held.join(side, "key", "left_semi").select(text).mapInArrow(work, "node bigint, n bigint, shingles binary, signature binary").dropDuplicates(["node"])
 
 
-def whole_groups(batches, key: str):
-    """Tables of whole groups from batches that are sorted by ``key``; a group is never split."""
-    held: list[pa.RecordBatch] = []
-    for batch in batches:
-        if not batch.num_rows:
-            continue
-        keys = batch.column(key).to_numpy(zero_copy_only=False)
-        start = int(np.searchsorted(keys, keys[-1], side="left"))
-        if start or (held and held[-1].column(key)[-1].as_py() != keys[0]):
-            if start:
-                held.append(batch.slice(0, start))
-            yield pa.Table.from_batches(held)
-            held = [batch.slice(start)]
-        else:
-            held.append(batch)
-    if held:
-        yield pa.Table.from_batches(held)
-
-
 def _differing(one: bytes, two: bytes) -> int:
     a, b = np.frombuffer(one, np.uint8), np.frombuffer(two, np.uint8)
     while len(a) != len(b):  # the longer is folded
@@ -351,9 +391,7 @@ def similar_groups(docs: DataFrame, keep: list[str], text: str = "text", width:
     """
     often = frequent_shingles(docs, text, width)
     sketched = cut(sketches(docs, keep, text, width, percent, often))
-    filled = sketched.filter("n_shingles > 0")
-    nodes = filled.select("node", F.col("n_shingles").alias("n"), "key", "prefix").dropDuplicates(["node"])
-    heads = nodes.select("node", "n", "key", F.explode("prefix").alias("shingle"))
+    heads = _shared_heads(sketched.filter("n_shingles > 0").select("node", F.col("n_shingles").alias("n"), "key", "prefix"))
     # The smaller of the m of a node and of the smallest partner it may have.
     need = 1 + F.floor(F.col("n") * percent / 100 / 20)
     live = heads

@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 
 from axisgrove.llm.anchors import runs
 from axisgrove.llm.common import cut, table
-from axisgrove.llm.jaccard_join import whole_groups
+from axisgrove.llm.packing import bit_filter, whole_groups, within
 from axisgrove.llm.words import mix64, multipliers, slices, text_bytes
 
 LENGTH = 100
@@ -38,8 +38,6 @@ LENGTH = 100
 PERIOD, COVER = 7, (0, 1, 3)
 #: Suffixes that are sorted at a time.
 BUCKET = 1 << 20
-#: Bits of the filters of anchors (one bit an anchor; a filter never misses one).
-FILTER_BITS = 26
 #: Surroundings of one anchor beyond which its windows are dealt out one by one.
 CROWDED = 20_000
 #: Texts and removed spans that may be sent to every task; more are joined by shuffling.
@@ -174,26 +172,6 @@ def _texts(part: pa.RecordBatch, column: str):
     return [data[a:b] for a, b in zip(offsets, offsets[1:], strict=False)]
 
 
-def _bit(anchor: np.ndarray) -> np.ndarray:
-    return (anchor & np.uint64((1 << FILTER_BITS) - 1)).astype(np.int64)
-
-
-def _filter(anchors: DataFrame, column: str) -> bytes:
-    """A bitmap of the low bits of signed anchor hashes; its size does not depend on their number."""
-    low = F.col(column).bitwiseAND(F.lit((1 << FILTER_BITS) - 1)) + 1  # these functions count from one
-    rows = anchors.groupBy(F.bitmap_bucket_number(low).alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(low)).alias("bits")).collect()
-    out = np.zeros(1 << (FILTER_BITS - 3), dtype=np.uint8)
-    for r in rows:
-        at = (r["b"] - 1) * 4096
-        out[at : at + 4096] = np.frombuffer(bytes(r["bits"]), dtype=np.uint8)[: len(out) - at]
-    return out.tobytes()
-
-
-def _within(bits: np.ndarray, anchor: np.ndarray) -> np.ndarray:
-    at = _bit(anchor)
-    return (bits[at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1
-
-
 def _repeated_anchors(docs: DataFrame, text: str, length: int, buckets: int) -> DataFrame:
     """(anchor): anchors that stand at least twice. Hashes travel as packed runs by bucket."""
 
@@ -238,7 +216,7 @@ def _runs_within(docs: DataFrame, text: str, length: int, bits: bytes, with_byte
                 pieces: list[bytes] = []
                 for i, data in enumerate(_texts(part, text)):
                     start, n, anchor, whole = runs(data, length)
-                    keep = np.flatnonzero(_within(bits, anchor))
+                    keep = np.flatnonzero(within(bits, anchor))
                     for k, v in enumerate((anchor[keep].view(np.int64), whole[keep].view(np.int64), np.full(len(keep), i), start[keep], n[keep])):
                         columns[k].append(v)
                     if with_bytes:
@@ -381,13 +359,13 @@ def without_repeats(docs: DataFrame, keep: list[str], doc_id: str = "doc_id", te
     own = copied.filter(~F.col("__copy") & (F.octet_length(text) >= length))
     total = docs.agg(F.sum(F.octet_length(text))).head()[0] or 0
     buckets = max(64, total // _BYTES_A_BUCKET)
-    bits = _filter(_repeated_anchors(own, text, length, buckets), "anchor")
+    bits = bit_filter(_repeated_anchors(own, text, length, buckets), "anchor")
     candidates = cut(_runs_within(own, text, length, bits, with_bytes=False))
     judged = cut(_judge_runs(candidates.filter("NOT settled")))
     firsts = judged.filter("NOT repeats")
     kinds = firsts.groupBy("anchor").agg(F.count("*").alias("surroundings"))
     wanted = cut(firsts.join(kinds, "anchor").select(F.col("doc").alias("d"), F.col("x").alias("x1"), F.col("y").alias("y1"), F.col("start").alias("s"), "surroundings"))
-    bits = _filter(firsts.select("anchor"), "anchor")
+    bits = bit_filter(firsts.select("anchor"), "anchor")
     pieces = _runs_within(own, text, length, bits, with_bytes=True)
     pieces = pieces.join(wanted, (F.col("doc") == F.col("d")) & (F.col("x") == F.col("x1")) & (F.col("y") == F.col("y1")) & (F.col("start") == F.col("s")))
     pieces = pieces.withColumn("key", F.col("anchor")).dropDuplicates(["doc", "x", "y", "start"])
