@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -10,15 +11,17 @@ from pyspark.sql import functions as F
 
 from axisgrove.baselines import FullRebuildTree, LogForest, SequentialTree, ZOrderTree, brute_count, brute_knn, brute_range
 from axisgrove.baselines.full_rebuild import exact_root_median
+from axisgrove.functions.geometry import box_union, dist2, nearest
 from axisgrove.model import TreeParams, axes, plain
 from axisgrove.operators import inspection, joins, queries
 from axisgrove.operators.local import Skeleton
 from axisgrove.operators.sieve import sieve, sieve_offsets, with_bucket
 from axisgrove.operators.tree import KdTree, draw_sample
 from axisgrove.plans.snapshot import compacted, load, payload, save
+from axisgrove.plans.sql_surface import register
 from axisgrove.plans.storage import cut, shared_folder
-from axisgrove.sources.tables import LINE_ID, as_queries, boxes_around, dimensions, point_sql, points, table, uniform_points, walk_points
-from axisgrove.streaming.window import run_window
+from axisgrove.sources.tables import LINE_ID, as_queries, boxes_around, dimensions, point_sql, points, read_batch, table, uniform_points, walk_points, write_report
+from axisgrove.streaming.window import StreamingTree, run_window, sessions, shard_counts, sliding, tumbling
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLE: dict[str, str] = {}
@@ -527,18 +530,83 @@ def _operators() -> None:
 
     @query("sql_shards_in_box_e3", f"SELECT count(*) AS n FROM ({point_sql('e3')}) WHERE c0 BETWEEN 100000 AND 900000 AND c1 BETWEEN 10 AND 60 AND c2 BETWEEN 20 AND 90")
     def sql_shards_in_box(spark, sf_dir):
-        from axisgrove.plans.sql_surface import register
-
         register(spark, tree_of(spark, sf_dir, "e3"), "kd")
         return spark.sql("SELECT count(*) AS n FROM kd_points JOIN kd_shards_in_box(array(100000D, 10D, 20D), array(900000D, 60D, 90D)) USING (shard_id) WHERE c0 BETWEEN 100000 AND 900000 AND c1 BETWEEN 10 AND 60 AND c2 BETWEEN 20 AND 90")
 
-    def streamed(spark, sf_dir, name, build):
+    @query("nearest_aggregate_s", f"SELECT query_id, rank, point_id, dist2 FROM ({knn_sql(point_sql('s'), asked_sql('s', 'point_id % 5 = 0'), 1, 3)})")
+    def nearest_aggregate(spark, sf_dir):
+        pts = points(spark, sf_dir, "s")
+        asked = pts.filter("point_id % 5 = 0").select(F.col("point_id").alias("query_id"), F.col("c0").alias("q0"))
+        far = pts.join(F.broadcast(asked), F.lit(True)).groupBy("query_id").agg(nearest(dist2([F.col("q0")], [F.col("c0")]), F.col("point_id"), 3).alias("near"))
+        return far.select("query_id", F.posexplode("near").alias("pos", "n")).select("query_id", (F.col("pos") + 1).alias("rank"), "n.point_id", "n.dist2")
+
+    @query("box_union_aggregate_e3", f"SELECT e.event_type, min(c0) AS lo0, max(c0) AS hi0, min(c1) AS lo1, max(c1) AS hi1 FROM ({point_sql('e3')}) p JOIN events e ON e.event_id = p.point_id GROUP BY e.event_type")
+    def box_union_aggregate(spark, sf_dir):
+        kinds = table(spark, sf_dir, "events").select("event_id", "event_type")
+        rows = points(spark, sf_dir, "e3").join(kinds, F.col("point_id") == F.col("event_id")).groupBy("event_type").agg(box_union([F.col("c0"), F.col("c1")]).alias("b"))
+        return rows.select("event_type", F.col("b.low")[0].alias("lo0"), F.col("b.high")[0].alias("hi0"), F.col("b.low")[1].alias("lo1"), F.col("b.high")[1].alias("hi1"))
+
+    for kind in ("csv", "json", "orc", "parquet"):
+        def from_files(spark, sf_dir, kind=kind):
+            place = f"{shared_folder(spark)}/boxes-{kind}-{uuid.uuid4().hex}"
+            write_report(boxes_of(spark, sf_dir, "o2"), place, kind)
+            return tree_of(spark, sf_dir, "o2").range_count(read_batch(spark, place, kind, 2, "box", "query_id"))
+
+        query(f"boxes_from_{kind}", count_sql(point_sql("o2"), box_sql("o2"), 2))(from_files)
+
+    @query("batch_size_sweep_e3")
+    def batch_size_sweep(spark, sf_dir):
+        """Shards written, points moved and points in rebuilt subtrees by size of the inserted batch."""
+        rows = []
+        base = tree_of(spark, sf_dir, "e3", PARAMS.but(shard_rows=1024), "pmod(point_id, 10000) >= 5000")
+        for f in (1, 10, 100, 1000, 5000):
+            t = base.insert(points(spark, sf_dir, "e3").filter(f"pmod(point_id, 10000) < {f}"))
+            rows.append((f / 10000, t.size - base.size, t.report.shards_written, t.report.shards_kept, t.report.moved, t.report.rebuilt))
+        return spark.createDataFrame(rows, "share double, inserted bigint, shards_written int, shards_kept int, moved bigint, rebuilt bigint")
+
+    @query("output_size_sweep_l3")
+    def output_size_sweep(spark, sf_dir):
+        """Points found and nodes passed by half-width of the box, as a share of each axis."""
+        pts = points(spark, sf_dir, "l3").filter("point_id % 2000 = 7")
+        out = None
+        for share in (0.01, 0.1, 0.4):
+            boxes = boxes_around(pts, [50 * share, 0.1 * share, 0.08 * share])
+            tree = tree_of(spark, sf_dir, "l3")
+            part = tree.range_count(boxes).join(queries.visit_counts(tree, boxes), "query_id").withColumn("share", F.lit(share))
+            out = part if out is None else out.unionByName(part)
+        return out.groupBy("share").agg(F.avg("cnt").alias("points"), F.avg("leaves").alias("leaves"), F.avg("interiors").alias("interiors"), F.avg("shards_contained").alias("shards_contained"))
+
+    @query("growth_of_work")
+    def growth_of_work(spark, sf_dir):
+        """Rounds, rows moved and height by number of points."""
+        rows = []
+        for n in (2000, 8000, 32000):
+            t = KdTree.build(uniform_points(spark, n, 3), PARAMS.but(shard_rows=1024))
+            rows.append((n, t.report.rounds, t.report.scanned, t.report.moved, t.height(), len(t.segments.held)))
+        return spark.createDataFrame(rows, "n int, rounds int, scanned bigint, moved bigint, height int, shards int")
+
+    @query("stream_sessions_by_user", """WITH e AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS head FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+    s AS (SELECT user_id, ts, sum(head) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM e) SELECT user_id, epoch(min(ts))::BIGINT AS start, count(*) AS n FROM s GROUP BY user_id, k""")
+    def stream_sessions(spark, sf_dir):
+        got = streamed(spark, sf_dir, "sessions", lambda s: sessions(s.withColumn("t", F.to_timestamp(F.col("ts").cast("string"))), "t", "6 hours", "1 day", "user_id", F.count("*").alias("n")))
+        return got.select("user_id", F.unix_seconds("w.start").alias("start"), "n")
+
+    @query("stream_without_duplicates", "SELECT count(*) AS n, count(DISTINCT event_id) AS ids FROM events")
+    def stream_without_duplicates(spark, sf_dir):
+        twice = lambda s: s.withColumn("t", F.to_timestamp(F.col("ts").cast("string"))).withColumn("copy", F.explode(F.array(F.lit(1), F.lit(2))))
+        got = streamed(spark, sf_dir, "single", lambda s: twice(s).withWatermark("t", "1 day").dropDuplicatesWithinWatermark(["event_id"]).select("event_id"), "append")
+        return got.agg(F.count("*").alias("n"), F.countDistinct("event_id").alias("ids"))
+
+    @query("stream_shard_counts", f"SELECT (CASE WHEN c1 < 30 THEN 0 ELSE 1 END)::BIGINT AS shard_id, count(*) AS total FROM ({point_sql('e2')}) GROUP BY 1")
+    def stream_shard_counts(spark, sf_dir):
+        got = streamed(spark, sf_dir, "counts", lambda s: shard_counts(s.select(F.when(F.col("value") < 30, 0).otherwise(1).cast("bigint").alias("shard_id"))), "update")
+        return got.groupBy("shard_id").agg(F.max("total").alias("total"))
+
+    def streamed(spark, sf_dir, name, build, mode="complete"):
         schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
         stream = spark.readStream.schema(schema).option("pathGlobFilter", "events*.parquet").parquet(sf_dir)
-        import uuid
-
         out = f"{name}_{uuid.uuid4().hex[:8]}"
-        q = build(stream).writeStream.format("memory").queryName(out).outputMode("complete").trigger(availableNow=True).start()
+        q = build(stream).writeStream.format("memory").queryName(out).outputMode(mode).trigger(availableNow=True).start()
         q.awaitTermination()
         return spark.table(out)
 
@@ -546,25 +614,17 @@ def _operators() -> None:
 
     @query("stream_tumbling_day", f"SELECT {day} AS start, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1")
     def stream_tumbling(spark, sf_dir):
-        from axisgrove.streaming.window import tumbling
-
         got = streamed(spark, sf_dir, "tumbling", lambda s: tumbling(s.withColumn("t", F.to_timestamp(F.col("ts").cast("string"))), "t", "1 day", "1 day", F.count("*").alias("n"), F.round(F.sum("value"), 4).alias("total")))
         return got.select(F.unix_seconds("w.start").alias("start"), "n", "total")
 
     @query("stream_sliding_five_days", f"SELECT (s.d + 86400 * k)::BIGINT AS start, count(*) AS n FROM (SELECT {day} AS d FROM events) s, range(-4, 1) t(k) GROUP BY 1")
     def stream_sliding(spark, sf_dir):
-        from axisgrove.streaming.window import sliding
-
         got = streamed(spark, sf_dir, "sliding", lambda s: sliding(s.withColumn("t", F.to_timestamp(F.col("ts").cast("string"))), "t", "5 days", "1 day", "1 day", F.count("*").alias("n")))
         return got.select(F.unix_seconds("w.start").alias("start"), "n")
 
     @query("window_day_range_e2", f"WITH p AS ({point_sql('e2')}), w AS (SELECT * FROM p WHERE c0 >= 25 * 86400.0), b AS (SELECT 1::BIGINT AS query_id) SELECT b.query_id, count(w.point_id) AS cnt FROM b LEFT JOIN w ON c1 BETWEEN 20 AND 80 GROUP BY b.query_id")
     def window_day_range(spark, sf_dir):
         """A tree fed by a stream with foreachBatch that keeps the last five of the thirty days."""
-        from axisgrove.streaming.window import StreamingTree
-
-        import uuid
-
         schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
         stream = spark.readStream.schema(schema).option("pathGlobFilter", "events*.parquet").parquet(sf_dir)
         seconds = F.expr("timestampdiff(MICROSECOND, TIMESTAMP_NTZ'2024-01-01 00:00:00', ts) / CAST(1000000 AS DOUBLE)")

@@ -62,3 +62,13 @@ def interleaved(cells: list[Column], bits: int) -> Column:
         for j, c in enumerate(cells):
             out = out.bitwiseOR(F.shiftleft(F.shiftright(c.cast("bigint"), b).bitwiseAND(F.lit(1).cast("bigint")), b * d + j))
     return out
+
+
+def nearest(dist: Column, name: Column, k: int) -> Column:
+    """Aggregate: the k least (distance, id) pairs of a group, in order. For groups of bounded size."""
+    return F.slice(F.array_sort(F.collect_list(F.struct(dist.alias("dist2"), name.alias("point_id")))), 1, k)
+
+
+def box_union(coords: list[Column]) -> Column:
+    """Aggregate: the tight box of the points of a group."""
+    return F.struct(F.array(*[F.min(c) for c in coords]).alias("low"), F.array(*[F.max(c) for c in coords]).alias("high"))

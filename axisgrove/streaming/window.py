@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterable
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
@@ -90,8 +91,6 @@ def shard_counts(stream: DataFrame) -> DataFrame:
         for frame in frames:
             total += len(frame)
         state.update((total,))
-        import pandas as pd
-
         yield pd.DataFrame({"shard_id": [key[0]], "total": [total]})
 
     return stream.groupBy("shard_id").applyInPandasWithState(count, "shard_id bigint, total bigint", "total bigint", "update", GroupStateTimeout.NoTimeout)
