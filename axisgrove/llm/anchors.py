@@ -44,7 +44,7 @@ def gram_hashes(data: np.ndarray) -> np.ndarray:
     with np.errstate(over="ignore"):
         total = np.zeros(n, dtype=np.uint64)
         for j in range(GRAM // 8):
-            total += mix64(lanes[8 * j : 8 * j + n]) * _WEIGHTS[j]
+            total += lanes[8 * j : 8 * j + n] * _WEIGHTS[j]
         return mix64(total)
 
 
@@ -58,10 +58,10 @@ def _sliding_min(x: np.ndarray, width: int) -> np.ndarray:
     return out
 
 
-def runs(data: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def runs(data: np.ndarray, length: int, surroundings: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """(first window, windows, anchor hash, hash of all bytes of the run and the anchor's place in it).
 
-    ``data`` is the bytes of one text.
+    ``data`` is the bytes of one text. Without ``surroundings`` the last is left out (zeros).
     """
     empty = np.zeros(0, dtype=np.int64)
     if len(data) < length:
@@ -79,6 +79,8 @@ def runs(data: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndar
     start, place = np.concatenate(starts), np.concatenate(places)
     total = len(data) - length + 1
     count = np.diff(np.append(start, total))
+    if not surroundings:
+        return start, count, hashes[place], np.zeros(len(start), np.uint64)
     with np.errstate(over="ignore"):
         power, back = powers(len(hashes) + 1)
         sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(hashes * power[:-1])])

@@ -24,8 +24,8 @@ LEAST_WORDS, MOST_REPEATED = 20, 30
 LEAST_DOCUMENTS, SHARE_PER_MILLE = 20, 20
 #: A document is depleted with fewer words left than LEAST_WORDS, or than this share (in tenths).
 KEPT_TENTHS = 3
-#: Boilerplate lines that are sent to every task; a longer list is joined by shuffling.
-BROADCAST_LINES = 200_000
+#: Boilerplate lines, and texts that hold some, that are sent to every task; longer lists are joined by shuffling.
+BROADCAST_LINES, BROADCAST_TEXTS = 200_000, 100_000
 
 
 def let(value: Column, use) -> Column:
@@ -113,7 +113,10 @@ def judged(docs: DataFrame, keep: list[str], text: str = "text", host: str = "so
     A null or empty text has no words and fails the base rules; lines are compared without
     regard to ties or order; repeated rows are judged alike; an empty table gives no rows.
     """
-    bad = boilerplate(docs, text, host).select(F.col("__host").alias("__bh"), F.col("__x").alias("__bx"), F.col("__y").alias("__by"), "removed", F.col("lines").alias("__bad"))
+    bad = boilerplate(docs, text, host).select(F.col("__host").alias("__bh"), F.col("__x").alias("__bx"), F.col("__y").alias("__by"), "removed", *([F.col("lines").alias("__bad")] if with_text else []))
+    bad = cut(bad)
+    if bad.count() <= BROADCAST_TEXTS:
+        bad = F.broadcast(bad)
     base = base_rules(docs, [*keep, F.col(host).alias("_host"), *[c.alias(f"_id{i}") for i, c in enumerate(_identity(F.col(text)))], *([F.col(text).alias("_text")] if with_text else [])], text)
     df = base.join(bad, F.col("_host").eqNullSafe(F.col("__bh")) & (F.col("_id0") == F.col("__bx")) & (F.col("_id1") == F.col("__by")), "left")
     df = df.withColumn("removed", F.coalesce("removed", F.lit(0)).cast("bigint"))

@@ -22,4 +22,5 @@ ORACLE_SQL = {
     "op3_quotations": quotations.OP3_SQL,
     "op7_line_rules": line_rules.OP7_SQL,
     "op8_decontaminate": decontaminate.OP8_SQL,
+    "op9_jaccard_join": jaccard_join.OP9_SQL,
 }

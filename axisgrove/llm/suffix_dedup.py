@@ -178,7 +178,7 @@ def _repeated_anchors(docs: DataFrame, text: str, length: int, buckets: int) ->
     def mark(batches):
         for batch in batches:
             for part in slices(batch, text):
-                found = [runs(t, length)[2] for t in _texts(part, text)]
+                found = [runs(t, length, False)[2] for t in _texts(part, text)]
                 anchor, n = np.unique(np.concatenate([*found, np.zeros(0, np.uint64)]), return_counts=True)
                 anchor = np.repeat(anchor, np.minimum(n, 2))
                 cuts = np.searchsorted(anchor, np.array([(b << 64) // buckets for b in range(1, buckets)], dtype=np.uint64)) if buckets > 1 else []
