@@ -11,7 +11,8 @@ that passages which many documents share lead to no candidates between them.
    too few of those is linked with nothing and goes.
 3. Nodes that meet are clustered within tiles of bounded size, so that a large group of
    near copies is held together by a few links and need not be expanded into all pairs.
-4. Every pair that still lies apart and shares a prefix shingle is tried: shingle groups
+   Clusters that still share shingles are tried against each other by one node each.
+4. Every pair that then lies apart and shares a prefix shingle is tried: shingle groups
    are cut into tiles, tiles are paired, sizes must lie in the band that the threshold
    allows, and bits in which two signatures differ bound the overlap from above.
 5. What remains is decided by intersecting the sorted arrays.
@@ -36,7 +37,7 @@ FREQUENT = 1 << 16
 COUNTED, LEAST_COUNT = 1 << 22, 4
 #: Nodes in a tile.
 TILE = 512
-#: Signature bits: a power of two near the size of the set within these bounds.
+#: Signature bits: a power of two, twice the size of the set or more, within these bounds.
 LEAST_BITS, MOST_BITS = 64, 4096
 #: Nodes whose keys may be sent to every task; more are joined by shuffling.
 BROADCAST_NODES = 300_000
@@ -72,7 +73,7 @@ def _node(own: np.ndarray) -> int:
 def _signature(own: np.ndarray) -> bytes:
     """Bits of the shingles of a set."""
     bits = LEAST_BITS
-    while bits < len(own) * 1.5 and bits < MOST_BITS:
+    while bits < len(own) * 2 and bits < MOST_BITS:
         bits *= 2
     marked = np.zeros(bits, dtype=bool)
     marked[(own & np.uint64(bits - 1)).astype(np.int64)] = True
@@ -154,7 +155,7 @@ def sketches(docs: DataFrame, keep: list[str], text: str, width: int, percent: i
 
 
 def _shared_heads(nodes: DataFrame) -> DataFrame:
-    """(shingle, node, n, key) of the prefix shingles that more than one node holds, and of few others.
+    """(shingle, node, n) of the prefix shingles that more than one node holds, and of few others.
 
     First every slice packs, for each shingle, the least and the greatest node that holds
     it, so a shingle that very many nodes hold is two numbers a slice; where the two differ
@@ -178,7 +179,8 @@ def _shared_heads(nodes: DataFrame) -> DataFrame:
             first = np.concatenate([[True], shingle[1:] != shingle[:-1]]) if len(shingle) else np.zeros(0, bool)
             last = np.concatenate([first[1:], [True]]) if len(shingle) else first
             keep = first | (last & ~first & (node != node[np.maximum.accumulate(np.where(first, np.arange(len(first)), 0))] if len(first) else last))
-            pairs = np.stack([shingle[keep].view(np.int64), node[keep]], axis=1)
+            # Six bytes of either: shingles that agree on those only pass the filter, which is harmless.
+            pairs = np.concatenate([(x >> np.uint64(16)).astype("<u8")[:, None].view(np.uint8)[:, :6] for x in (shingle[keep], node[keep].view(np.uint64))], axis=1)
             parts = np.split(pairs, np.searchsorted(shingle[keep], limits))
             blobs = [(b, np.ascontiguousarray(x).tobytes()) for b, x in enumerate(parts) if len(x)]
             yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in blobs], pa.int32()), pa.array([x for _, x in blobs], pa.binary())], names=["bucket", "packed"])
@@ -187,7 +189,10 @@ def _shared_heads(nodes: DataFrame) -> DataFrame:
         for held in whole_groups(batches, "bucket"):
             keys, blobs = held.column("bucket").to_numpy(), held.column("packed").to_pylist()
             for b in np.unique(keys).tolist():
-                pairs = np.frombuffer(b"".join(x for x, k in zip(blobs, keys.tolist(), strict=True) if k == b), dtype=np.int64).reshape(-1, 2)
+                packed = np.frombuffer(b"".join(x for x, k in zip(blobs, keys.tolist(), strict=True) if k == b), dtype=np.uint8).reshape(-1, 2, 6)
+                pairs = np.zeros((len(packed), 2, 8), dtype=np.uint8)
+                pairs[:, :, :6] = packed
+                pairs = pairs.view("<i8").reshape(-1, 2)
                 pairs = pairs[np.argsort(pairs[:, 0], kind="stable")]
                 heads = np.flatnonzero(np.concatenate([[True], pairs[1:, 0] != pairs[:-1, 0]]))
                 apart = np.minimum.reduceat(pairs[:, 1], heads) != np.maximum.reduceat(pairs[:, 1], heads)
@@ -195,18 +200,17 @@ def _shared_heads(nodes: DataFrame) -> DataFrame:
 
     packed = nodes.select("node", "prefix").mapInArrow(pack, "bucket int, packed binary")
     shared = packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(compare, "shingle bigint")
-    held = nodes.sparkSession.sparkContext.broadcast(bit_filter(shared, "shingle"))
+    held = nodes.sparkSession.sparkContext.broadcast(bit_filter(shared, "shingle"))  # of shingles without their last two bytes
 
     def pick(batches):
         bits = np.frombuffer(held.value, dtype=np.uint8)
         for batch in batches:
             shingle, row = flat(batch)
-            keep = within(bits, shingle)
+            keep = within(bits, shingle >> np.uint64(16))
             row = row[keep]
-            yield pa.RecordBatch.from_arrays([pa.array(shingle[keep].view(np.int64)), *[pa.array(batch.column(c).to_numpy()[row]) for c in ("node", "n", "key")]], names=["shingle", "node", "n", "key"])
+            yield pa.RecordBatch.from_arrays([pa.array(shingle[keep].view(np.int64)), *[pa.array(batch.column(c).to_numpy()[row]) for c in ("node", "n")]], names=["shingle", "node", "n"])
 
-    rows = nodes.mapInArrow(pick, "shingle bigint, node bigint, n bigint, key bigint")
-    return rows.groupBy("shingle", "node", "n").agg(F.min("key").alias("key"))
+    return nodes.mapInArrow(pick, "shingle bigint, node bigint, n bigint").distinct()
 
 
 def _full_sets(docs: DataFrame, text: str, width: int, wanted: DataFrame) -> DataFrame:
@@ -391,31 +395,32 @@ def similar_groups(docs: DataFrame, keep: list[str], text: str = "text", width:
     """
     often = frequent_shingles(docs, text, width)
     sketched = cut(sketches(docs, keep, text, width, percent, often))
-    heads = _shared_heads(sketched.filter("n_shingles > 0").select("node", F.col("n_shingles").alias("n"), "key", "prefix"))
+    heads = _shared_heads(sketched.filter("n_shingles > 0").select("node", F.col("n_shingles").alias("n"), "prefix"))
+    heads = cut(heads)
+    shared = heads.groupBy("shingle").agg(F.count("*").alias("holders")).filter("holders > 1")
+    live = cut(heads.join(shared, "shingle"))
     # The smaller of the m of a node and of the smallest partner it may have.
     need = 1 + F.floor(F.col("n") * percent / 100 / 20)
-    live = heads
-    for _ in range(2):
-        live = live.drop("holders")
-        shared = live.groupBy("shingle").agg(F.count("*").alias("holders")).filter("holders > 1")
-        live = cut(live.join(shared, "shingle"))
-        enough = live.groupBy("node", "n").agg(F.count("*").alias("found")).filter(F.col("found") >= need).select("node")
-        live = live.join(enough, "node", "left_semi")
-    live = cut(live)
-    sets = cut(_full_sets(docs, text, width, cut(live.select("key").distinct())))
-    links = None
-    for seed in (1, 2):
-        mark = live.groupBy("node").agg(F.min(F.xxhash64("shingle", F.lit(seed))).alias("mark"))
-        size = mark.groupBy("mark").agg(F.count("*").alias("members")).filter("members > 1")
-        found = cluster_tiles(_tiled(mark.join(size, "mark"), "mark", "members", False).join(sets, "node"), percent)
-        links = found if links is None else links.unionByName(found)
-    links = cut(links.distinct())
-    group = components(links).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
-    rows = live.join(group, F.col("node") == F.col("__n"), "left").select("shingle", "node", "holders", F.coalesce("__g", "node").alias("group"))
-    mixed = rows.groupBy("shingle").agg(F.min("group").alias("x"), F.max("group").alias("y")).filter("x <> y").select("shingle")
-    rows = _tiled(rows.join(mixed, "shingle", "left_semi"), "shingle", "holders", True).join(sets.select("node", "n", "signature"), "node")
-    more = cut(verified(cut(apart_pairs(rows, percent)), sets, percent))
-    label = components(links.unionByName(more)).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
+    enough = live.groupBy("node", "n").agg(F.count("*").alias("found")).filter(F.col("found") >= need).select("node")
+    live = cut(live.join(enough, "node", "left_semi").select("shingle", "node", "holders"))
+    wanted = sketched.join(live.select("node").distinct(), "node", "left_semi").select("key").distinct()
+    sets = cut(_full_sets(docs, text, width, cut(wanted)))
+    mark = live.groupBy("node").agg(F.min(F.xxhash64("shingle", F.lit(1))).alias("mark"))
+    size = mark.groupBy("mark").agg(F.count("*").alias("members")).filter("members > 1")
+    links = cut(cluster_tiles(_tiled(mark.join(size, "mark"), "mark", "members", False).join(sets, "node"), percent))
+    for first in (True, True, False):
+        group = components(links).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
+        rows = live.join(group, F.col("node") == F.col("__n"), "left").select("shingle", "node", "holders", F.coalesce("__g", "node").alias("group"))
+        if first:  # a quarter of the shingles finds most of what the last round need not try any more
+            rows = rows.filter(F.pmod(F.xxhash64("shingle", F.lit(4)), F.lit(4)) == 0)
+        mixed = rows.groupBy("shingle").agg(F.min("group").alias("x"), F.max("group").alias("y")).filter("x <> y").select("shingle")
+        rows = rows.join(mixed, "shingle", "left_semi")
+        if first:  # clusters that lie apart are tried with one node each, before all of their nodes are
+            rows = rows.groupBy("shingle", "group").agg(F.min("node").alias("node"))
+            rows = rows.join(rows.groupBy("shingle").agg(F.count("*").alias("holders")), "shingle")
+        tried = _tiled(rows, "shingle", "holders", True).join(sets.select("node", "n", "signature"), "node")
+        links = cut(links.unionByName(verified(cut(apart_pairs(tried, percent)), sets, percent)))
+    label = components(links).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
     out = sketched.join(label, F.col("node") == F.col("__n"), "left")
     return out.select(*keep, "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce("__g", "node")).alias("group"))
 
