@@ -97,7 +97,7 @@ def test_suffix_dedup(docs, rows, empty, monkeypatch):
 
 
 def test_suffix_dedup_repeated_row_is_one_document(spark):
-    t = "".join(chr(97 + (i * i * 7 + i // 3) % 26) for i in range(300))
+    t = "".join(random.Random(1).choices("abcdefgh", k=300))
     got = suffix_dedup.without_repeats(spark.createDataFrame([(1, t), (1, t), (2, t)], "doc_id long, text string"), ["doc_id"]).collect()
     assert sorted((r["doc_id"], len(r["kept"])) for r in got) == [(1, 300), (1, 300), (2, 0)]
 
@@ -214,7 +214,7 @@ def test_line_rules(spark, docs, rows, empty):
     for r in line_rules.judged(docs.withColumn("kept", F.lit("clash")), ["doc_id"]).collect():
         assert tuple(r[c] for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed")) == expected[r["doc_id"]]
     assert line_rules.judged(empty, ["doc_id"]).count() == 0
-    own = lambda i: " ".join(f"w{i}x{j}" for j in range(25))
+    own = lambda i: " ".join("abcdefghij"[i // 10] + "klmnopqrst"[i % 10] + WORDS[j % 20] for j in range(25))
     made = [(i, "Cookie  Policy 12\n" + own(i), "h") for i in range(60)] + [(100 + i, "cookie policy 7 and much more of the same old notice for all\n" * 1 + "a b", "h") for i in range(40)]
     got = line_rules.judged(spark.createDataFrame(made, "doc_id long, text string, source string"), ["doc_id"], with_text=True).collect()
     for r in got:
