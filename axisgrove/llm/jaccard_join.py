@@ -154,8 +154,8 @@ def sketches(docs: DataFrame, keep: list[str], text: str, width: int, percent: i
     return fields.mapInArrow(work, ", ".join(x for x in (kinds, "key bigint, node bigint, n_shingles bigint, prefix array<bigint>") if x))
 
 
-def _shared_heads(nodes: DataFrame) -> DataFrame:
-    """(shingle, node, n) of the prefix shingles that more than one node holds, and of few others.
+def _shared_heads(nodes: DataFrame, percent: int) -> DataFrame:
+    """(shingle, node, n, leads) of the prefix shingles that more than one node holds, and of few others.
 
     First every slice packs, for each shingle, the least and the greatest node that holds
     it, so a shingle that very many nodes hold is two numbers a slice; where the two differ
@@ -207,10 +207,13 @@ def _shared_heads(nodes: DataFrame) -> DataFrame:
         for batch in batches:
             shingle, row = flat(batch)
             keep = within(bits, shingle >> np.uint64(16))
+            n = batch.column("n").to_numpy()
+            place = np.arange(len(row)) - (batch.column("prefix").offsets.to_numpy()[:-1] - batch.column("prefix").offsets.to_numpy()[0])[row]
+            leads = (place < (n - (percent * n + 99) // 100 + 1)[row])[keep]
             row = row[keep]
-            yield pa.RecordBatch.from_arrays([pa.array(shingle[keep].view(np.int64)), *[pa.array(batch.column(c).to_numpy()[row]) for c in ("node", "n")]], names=["shingle", "node", "n"])
+            yield pa.RecordBatch.from_arrays([pa.array(shingle[keep].view(np.int64)), *[pa.array(batch.column(c).to_numpy()[row]) for c in ("node", "n")], pa.array(leads)], names=["shingle", "node", "n", "leads"])
 
-    return nodes.mapInArrow(pick, "shingle bigint, node bigint, n bigint").distinct()
+    return nodes.mapInArrow(pick, "shingle bigint, node bigint, n bigint, leads boolean").distinct()
 
 
 def _full_sets(docs: DataFrame, text: str, width: int, wanted: DataFrame) -> DataFrame:
@@ -395,14 +398,14 @@ def similar_groups(docs: DataFrame, keep: list[str], text: str = "text", width:
     """
     often = frequent_shingles(docs, text, width)
     sketched = cut(sketches(docs, keep, text, width, percent, often))
-    heads = _shared_heads(sketched.filter("n_shingles > 0").select("node", F.col("n_shingles").alias("n"), "prefix"))
+    heads = _shared_heads(sketched.filter("n_shingles > 0").select("node", F.col("n_shingles").alias("n"), "prefix"), percent)
     heads = cut(heads)
     shared = heads.groupBy("shingle").agg(F.count("*").alias("holders")).filter("holders > 1")
     live = cut(heads.join(shared, "shingle"))
     # The smaller of the m of a node and of the smallest partner it may have.
     need = 1 + F.floor(F.col("n") * percent / 100 / 20)
     enough = live.groupBy("node", "n").agg(F.count("*").alias("found")).filter(F.col("found") >= need).select("node")
-    live = cut(live.join(enough, "node", "left_semi").select("shingle", "node", "holders"))
+    live = cut(live.join(enough, "node", "left_semi").select("shingle", "node", "holders", "leads"))
     wanted = sketched.join(live.select("node").distinct(), "node", "left_semi").select("key").distinct()
     sets = cut(_full_sets(docs, text, width, cut(wanted)))
     mark = live.groupBy("node").agg(F.min(F.xxhash64("shingle", F.lit(1))).alias("mark"))
@@ -410,9 +413,10 @@ def similar_groups(docs: DataFrame, keep: list[str], text: str = "text", width:
     links = cut(cluster_tiles(_tiled(mark.join(size, "mark"), "mark", "members", False).join(sets, "node"), percent))
     for first in (True, True, False):
         group = components(links).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
-        rows = live.join(group, F.col("node") == F.col("__n"), "left").select("shingle", "node", "holders", F.coalesce("__g", "node").alias("group"))
-        if first:  # a quarter of the shingles finds most of what the last round need not try any more
-            rows = rows.filter(F.pmod(F.xxhash64("shingle", F.lit(4)), F.lit(4)) == 0)
+        # Linked nodes share one of the shingles that lead (m = 1), so the others need not be tried.
+        rows = live.filter("leads").join(group, F.col("node") == F.col("__n"), "left").select("shingle", "node", "holders", F.coalesce("__g", "node").alias("group"))
+        if first:  # a sixteenth of the shingles finds most of what the last round need not try any more
+            rows = rows.filter(F.pmod(F.xxhash64("shingle", F.lit(4)), F.lit(16)) == 0)
         mixed = rows.groupBy("shingle").agg(F.min("group").alias("x"), F.max("group").alias("y")).filter("x <> y").select("shingle")
         rows = rows.join(mixed, "shingle", "left_semi")
         if first:  # clusters that lie apart are tried with one node each, before all of their nodes are
