@@ -586,7 +586,7 @@ def _operators() -> None:
         return spark.createDataFrame(rows, "n int, rounds int, scanned bigint, moved bigint, height int, shards int")
 
     @query("stream_sessions_by_user", """WITH e AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS head FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
-    s AS (SELECT user_id, ts, sum(head) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM e) SELECT user_id, epoch(min(ts))::BIGINT AS start, count(*) AS n FROM s GROUP BY user_id, k""")
+    s AS (SELECT user_id, ts, sum(head) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM e) SELECT user_id, floor(epoch(min(ts)))::BIGINT AS start, count(*) AS n FROM s GROUP BY user_id, k""")
     def stream_sessions(spark, sf_dir):
         got = streamed(spark, sf_dir, "sessions", lambda s: sessions(s.withColumn("t", F.to_timestamp(F.col("ts").cast("string"))), "t", "6 hours", "1 day", "user_id", F.count("*").alias("n")))
         return got.select("user_id", F.unix_seconds("w.start").alias("start"), "n")
