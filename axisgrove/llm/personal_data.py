@@ -32,7 +32,8 @@ BASE = {
 }
 #: Cheap conditions without which a text has no such span.
 LIKELY = {"email": r"@[A-Za-z0-9-]", "ip": r"[0-9]\.[0-9]++\.[0-9]", "card": r"[0-9](?:[ -]?[0-9]){15}", "phone": r"\+[0-9]"}
-PART = r"0*+(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
+#: A number up to 255. The zeros ahead give back one where the part is nothing but zeros.
+PART = r"0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])"
 
 # Looser forms that the labelers vote on.
 LOOSE = {

@@ -167,6 +167,18 @@ def test_personal_data(spark):
     assert len(got) == len(texts) and personal_data.personal_data(df.filter("false"), ["doc_id"]).count() == 0
 
 
+def test_addresses_with_parts_of_zero(spark):
+    rng = random.Random(9)
+    part = lambda: "".join(rng.choice("00125") for _ in range(rng.randint(1, 4)))
+    fixed = ["10.0.0.1 127.0.0.1 192.168.10.0 0.0.0.0", "00.000.01.0 x 0.256.0.0 x 0256.0.0.1 x 0.0.0.00255", "0" * 4000 + ".0.0." + "0" * 4000, "0" * 4000 + ".0.0.256"]
+    texts = fixed + [" ".join(".".join(part() for _ in range(4)) for _ in range(5)) for _ in range(60)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = personal_data.personal_data(df, ["doc_id"]).select("doc_id", personal_data.listed(F.filter("base", lambda m: m["kind"] == "ip")).alias("b")).collect()
+    for r in got:
+        assert r["b"] == ",".join(x for x in brute_spans(texts[r["doc_id"]]).split(",") if x.startswith("ip:"))
+    assert len(got) == len(texts) and [r["b"].count("ip:") for r in sorted(got)[:4]] == [4, 2, 1, 0]
+
+
 def test_reliabilities_find_the_better_labeler():
     counts = {("name", (1, 1, 1, 0)): 80, ("name", (1, 1, 0, 0)): 60, ("name", (-1, -1, 0, -1)): 90, ("name", (-1, -1, 1, 0)): 40, ("name", (1, -1, 0, -1)): 5}
     odds, likely = personal_data.reliabilities(counts)
