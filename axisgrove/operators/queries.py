@@ -52,9 +52,7 @@ def _search(requests: DataFrame, tree: KdTree, k: int) -> DataFrame:
 
     def answer(local, asked, shard):
         dist, who = local.knn(_stack(asked, names), k, asked["bound"].astype(float))
-        rows, place = np.nonzero(who >= -(2**62))
-        keep = ~np.isinf(dist[rows, place])
-        rows, place = rows[keep], place[keep]
+        rows, place = np.nonzero(~np.isinf(dist))
         yield pa.RecordBatch.from_arrays([pa.array(asked["query_id"][rows]), pa.array(who[rows, place]), pa.array(dist[rows, place])], names=["query_id", "point_id", "dist2"])
 
     return _per_shard(requests, tree, ["query_id", *names, "bound"], answer, _NEAR)

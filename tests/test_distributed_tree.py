@@ -51,6 +51,22 @@ def test_queries_agree_with_all_rivals(spark, cloud):
         assert a == near and b == count and tree.size == 1600
 
 
+def test_neighbours_with_any_id(spark):
+    rng = np.random.default_rng(3)
+    ids = np.unique(np.concatenate([[-(2**63), -(2**63) + 1, -(2**62) - 1, -(2**62), -1, 0, 2**63 - 1], rng.integers(-(2**63), 2**63 - 1, 1500, dtype=np.int64)]).astype(np.int64))
+    pts = rng.integers(0, 30, (len(ids), 2)).astype(float)
+    asked = rng.integers(-5, 35, (60, 2)).astype(float)
+    tree = KdTree.build(frame(spark, pts, ids), SMALL)
+    assert len(tree.segments.held) > 1 and (ids < -(2**62)).sum() > 300
+    queries = frame(spark, asked).withColumnRenamed("point_id", "query_id")
+    for k in (1, 7, 2000):
+        expected = []
+        for q in range(len(asked)):
+            dist = ((pts - asked[q]) ** 2).sum(axis=1)
+            expected += [(q, r + 1, int(ids[i]), float(dist[i])) for r, i in enumerate(np.lexsort((ids, dist))[:k])]
+        assert sorted(map(tuple, tree.knn(queries, k).select("query_id", "rank", "point_id", "dist2").collect())) == expected
+
+
 def test_edges(spark):
     empty = KdTree.build(frame(spark, np.zeros((0, 2))).selectExpr("CAST(point_id AS BIGINT) point_id", "CAST(c0 AS DOUBLE) c0", "CAST(c1 AS DOUBLE) c1"), SMALL)
     assert empty.size == 0 and empty.points().count() == 0
