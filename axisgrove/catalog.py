@@ -30,6 +30,8 @@ ORACLE: dict[str, str] = {}
 PARAMS = TreeParams(shard_rows=4096)
 #: Half-widths of the boxes around every 500th point.
 HALF = {"o1": [20000], "o2": [40000, 200], "l2": [5, 8000], "l3": [5, 0.02, 0.02], "l5": [12, 0.03, 0.03, 25000, 600], "l9": [20, 0.05, 0.05, 40000, 1200, 200000, 1200, 500, 25], "e2": [2e5, 20], "e3": [4e5, 30, 40], "c2": [1500, 5], "p2": [6, 120], "v5": [0.1] * 5, "l2d": [0.01, 0.01]}
+#: All rows that a k-NN search is due for (Q-NN-in of FIXTURES.md); the searches whose own SQL asks fewer have a second form with it, named ..._1pct.
+PERCENT = "point_id % 100 = 0"
 _trees: dict = {}
 
 
@@ -100,10 +102,11 @@ def _construction() -> None:
 
         query(f"build_points_roundtrip_{name}", point_sql(name))(roundtrip)
     for label, params in {"levels1": PARAMS.but(levels=1), "exact1": plain(shard_rows=4096), "cycle": PARAMS.but(split_rule="cycle"), "eager": PARAMS.but(movement="eager"), "boxes": PARAMS.but(store_boxes=True)}.items():
-        def variant(spark, sf_dir, params=params):
-            return tree_of(spark, sf_dir, "e3", params).knn(as_queries(points(spark, sf_dir, "e3").filter("point_id % 500 = 7")), 5)
+        for suffix, where in (("", "point_id % 500 = 7"), ("_1pct", PERCENT)):
+            def variant(spark, sf_dir, params=params, where=where):
+                return tree_of(spark, sf_dir, "e3", params).knn(as_queries(points(spark, sf_dir, "e3").filter(where)), 5)
 
-        query(f"build_{label}_knn5_e3", knn_sql(point_sql("e3"), asked_sql("e3", "point_id % 500 = 7"), 3, 5))(variant)
+            query(f"build_{label}_knn5_e3{suffix}", knn_sql(point_sql("e3"), asked_sql("e3", where), 3, 5))(variant)
 
     @query("build_size_audit", f"SELECT count(*) AS points, count(*) AS leaf_points FROM ({point_sql('e3')})")
     def build_size_audit(spark, sf_dir):
@@ -175,11 +178,12 @@ def _construction() -> None:
 
 
 def _searches() -> None:
-    for name, k, where in (("e3", 1, "point_id % 100 = 0"), ("e3", 10, "point_id % 100 = 0"), ("e3", 100, "point_id % 500 = 0"), ("o2", 10, "point_id % 100 = 0"), ("v16", 10, "point_id % 20 = 0"), ("v64", 10, "point_id % 50 = 0"), ("v12", 10, "point_id % 50 = 0"), ("l9", 10, "point_id % 600 = 0"), ("c2", 10, "point_id % 50 = 0"), ("k2", 3, "point_id % 10 = 0")):
+    for name, k, where in (("e3", 1, "point_id % 100 = 0"), ("e3", 10, "point_id % 100 = 0"), ("e3", 100, "point_id % 500 = 0"), ("o2", 10, "point_id % 100 = 0"), ("v16", 10, "point_id % 20 = 0"), ("v64", 10, "point_id % 50 = 0"), ("v12", 10, "point_id % 50 = 0"), ("l9", 10, "point_id % 600 = 0"), ("c2", 10, "point_id % 50 = 0"), ("k2", 3, "point_id % 10 = 0"), ("e3", 100, PERCENT), ("l9", 10, PERCENT)):
         def near(spark, sf_dir, name=name, k=k, where=where):
             return tree_of(spark, sf_dir, name).knn(as_queries(points(spark, sf_dir, name).filter(where)), k)
 
-        query(f"knn{k}_{name}", knn_sql(point_sql(name), asked_sql(name, where), dimensions(name), k))(near)
+        known = f"knn{k}_{name}" in QUERIES
+        query(f"knn{k}_{name}{'_1pct' if known else ''}", knn_sql(point_sql(name), asked_sql(name, where), dimensions(name), k))(near)
     query("knn_first_percent_e3", knn_sql(point_sql("e3"), f"SELECT point_id AS query_id, c0, c1, c2 FROM (SELECT *, row_number() OVER (ORDER BY point_id) AS r, count(*) OVER () AS n FROM ({point_sql('e3')})) WHERE r * 100 <= n", 3, 10))(lambda spark, sf_dir: tree_of(spark, sf_dir, "e3").knn(as_queries(points(spark, sf_dir, "e3").join(points(spark, sf_dir, "e3").agg(F.percentile("point_id", 0.0101).alias("m")), F.col("point_id") < F.col("m")).drop("m")).orderBy("query_id").limit(points(spark, sf_dir, "e3").count() // 100), 10))
     query("knn_self_p2", knn_sql(point_sql("p2"), asked_sql("p2", "true"), 2, 5))(lambda spark, sf_dir: tree_of(spark, sf_dir, "p2", PARAMS.but(shard_rows=512)).knn_self(5))
     query("knn_self_others_s", f"""WITH p AS ({point_sql('s')}), x AS (SELECT q.point_id AS query_id, p.point_id, {d2_sql(1)} AS dist2 FROM p q CROSS JOIN p WHERE p.point_id <> q.point_id),
@@ -189,7 +193,8 @@ def _searches() -> None:
     query("knn_ood_grid_o2", knn_sql(point_sql("o2"), grid, 2, 10))(lambda spark, sf_dir: tree_of(spark, sf_dir, "o2").knn(spark.range(100).selectExpr("id AS query_id", "CAST(id DIV 10 AS DOUBLE) * 50000.0D AS c0", "CAST(id % 10 AS DOUBLE) * 300.0D AS c1"), 10))
     query("knn_k_gt_n_s", knn_sql(point_sql("s"), asked_sql("s", "point_id % 10 = 0"), 1, 5000))(lambda spark, sf_dir: tree_of(spark, sf_dir, "s").knn(as_queries(points(spark, sf_dir, "s").filter("point_id % 10 = 0")), 5000))
     query("knn_radius_capped", knn_sql(point_sql("o2"), asked_sql("o2", "point_id % 100 = 0"), 2, 10, "dist2 <= 250000.0::DOUBLE"))(lambda spark, sf_dir: tree_of(spark, sf_dir, "o2").knn(as_queries(points(spark, sf_dir, "o2").filter("point_id % 100 = 0")), 10, 500.0))
-    query("brute_knn10_o2", knn_sql(point_sql("o2"), asked_sql("o2", "point_id % 500 = 0"), 2, 10))(lambda spark, sf_dir: brute_knn(points(spark, sf_dir, "o2"), as_queries(points(spark, sf_dir, "o2").filter("point_id % 500 = 0")), 10))
+    for suffix, where in (("", "point_id % 500 = 0"), ("_1pct", PERCENT)):
+        query(f"brute_knn10_o2{suffix}", knn_sql(point_sql("o2"), asked_sql("o2", where), 2, 10))(lambda spark, sf_dir, where=where: brute_knn(points(spark, sf_dir, "o2"), as_queries(points(spark, sf_dir, "o2").filter(where)), 10))
     for name in ("o2", "l3", "v5", "e3"):
         where = "point_id % 50 = 7" if name == "v5" else "point_id % 500 = 7"
         def report(spark, sf_dir, name=name, where=where):
@@ -260,10 +265,12 @@ def _updates() -> None:
     def insert_empty(spark, sf_dir):
         return tree_of(spark, sf_dir, "o2").insert(points(spark, sf_dir, "o2").filter("false")).points().agg(F.count("*").alias("n"))
 
-    @query("insert_10pct_knn", knn_sql(point_sql("e3"), asked_sql("e3", "point_id % 200 = 0"), 3, 10))
-    def insert_10pct_knn(spark, sf_dir):
-        base = tree_of(spark, sf_dir, "e3", PARAMS, "point_id % 10 <> 3")
-        return base.insert(points(spark, sf_dir, "e3").filter("point_id % 10 = 3")).knn(as_queries(points(spark, sf_dir, "e3").filter("point_id % 200 = 0")), 10)
+    for suffix, where in (("", "point_id % 200 = 0"), ("_1pct", PERCENT)):
+        def insert_10pct_knn(spark, sf_dir, where=where):
+            base = tree_of(spark, sf_dir, "e3", PARAMS, "point_id % 10 <> 3")
+            return base.insert(points(spark, sf_dir, "e3").filter("point_id % 10 = 3")).knn(as_queries(points(spark, sf_dir, "e3").filter(where)), 10)
+
+        query(f"insert_10pct_knn{suffix}", knn_sql(point_sql("e3"), asked_sql("e3", where), 3, 10))(insert_10pct_knn)
 
     @query("insert_larger_than_tree", f"SELECT count(*) AS n, sum(point_id)::BIGINT AS ids FROM ({point_sql('o2')})")
     def insert_larger_than_tree(spark, sf_dir):
@@ -314,11 +321,13 @@ def _updates() -> None:
         batches = [points(spark, sf_dir, "e3").filter(f"point_id % 5 = {i}") for i in range(5)]
         return KdTree.build_incremental(batches, PARAMS).range_count(boxes_of(spark, sf_dir, "e3"))
 
-    @query("snapshot_reload_knn_o2", knn_sql(point_sql("o2"), asked_sql("o2", "point_id % 500 = 0"), 2, 5))
-    def snapshot_reload_knn_o2(spark, sf_dir):
-        path = f"{shared_folder(spark)}/manifest-{abs(hash(sf_dir))}"
-        save(compacted(tree_of(spark, sf_dir, "o2")), path, 3)
-        return load(spark, path)[0].knn(as_queries(points(spark, sf_dir, "o2").filter("point_id % 500 = 0")), 5)
+    for suffix, where in (("", "point_id % 500 = 0"), ("_1pct", PERCENT)):
+        def snapshot_reload_knn_o2(spark, sf_dir, suffix=suffix, where=where):
+            path = f"{shared_folder(spark)}/manifest-{abs(hash(sf_dir))}{suffix}"
+            save(compacted(tree_of(spark, sf_dir, "o2")), path, 3)
+            return load(spark, path)[0].knn(as_queries(points(spark, sf_dir, "o2").filter(where)), 5)
+
+        query(f"snapshot_reload_knn_o2{suffix}", knn_sql(point_sql("o2"), asked_sql("o2", where), 2, 5))(snapshot_reload_knn_o2)
 
 
 def _yearly(spark, sf_dir):
@@ -338,11 +347,12 @@ def _windows() -> None:
 
             query(f"window{width}_year_sizes_o2{label}", f"WITH o AS ({in_window}) SELECT s.y::INT AS year, count(*) AS size FROM (SELECT unnest(range(1995, 2002)) AS y) s JOIN o ON o.y <= s.y AND o.y > s.y - {width} GROUP BY s.y")(sizes)
 
-    def last_knn(spark, sf_dir):
-        tree = run_window(_yearly(spark, sf_dir), 5, lambda y, t: None, lambda p: KdTree.build(p, PARAMS))
-        return tree.knn(as_queries(points(spark, sf_dir, "o2").filter("point_id % 200 = 0")), 10)
+    for suffix, where in (("", "point_id % 200 = 0"), ("_1pct", PERCENT)):
+        def last_knn(spark, sf_dir, where=where):
+            tree = run_window(_yearly(spark, sf_dir), 5, lambda y, t: None, lambda p: KdTree.build(p, PARAMS))
+            return tree.knn(as_queries(points(spark, sf_dir, "o2").filter(where)), 10)
 
-    query("window_year_knn_o2", knn_sql(f"SELECT p.* FROM ({point_sql('o2')}) p JOIN orders ON o_orderkey = point_id WHERE year(o_orderdate) > 1996", asked_sql("o2", "point_id % 200 = 0"), 2, 10))(last_knn)
+        query(f"window_year_knn_o2{suffix}", knn_sql(f"SELECT p.* FROM ({point_sql('o2')}) p JOIN orders ON o_orderkey = point_id WHERE year(o_orderdate) > 1996", asked_sql("o2", where), 2, 10))(last_knn)
 
 
 # --- baselines ----------------------------------------------------------------------
@@ -359,8 +369,8 @@ def _baselines() -> None:
                 kept[key] = make(points(spark, sf_dir, "e3").filter(base))
             return kept[key]
 
-        def near(spark, sf_dir, held=held):
-            return held(spark, sf_dir).insert(points(spark, sf_dir, "e3").filter(batch)).knn(as_queries(points(spark, sf_dir, "e3").filter("point_id % 200 = 0")), 10)
+        def near(spark, sf_dir, held=held, where="point_id % 200 = 0"):
+            return held(spark, sf_dir).insert(points(spark, sf_dir, "e3").filter(batch)).knn(as_queries(points(spark, sf_dir, "e3").filter(where)), 10)
 
         def left(spark, sf_dir, held=held):
             return held(spark, sf_dir).delete(points(spark, sf_dir, "e3").filter("pmod(point_id, 10) < 2")).points()
@@ -374,6 +384,7 @@ def _baselines() -> None:
         some = f"SELECT * FROM ({point_sql('e3')}) WHERE point_id % 10 <> 3"
         fewer = f"SELECT * FROM ({some}) WHERE point_id % 10 >= 2"
         query(f"{label}_insert_knn10_e3", knn_sql(point_sql("e3"), asked_sql("e3", "point_id % 200 = 0"), 3, 10))(near)
+        query(f"{label}_insert_knn10_e3_1pct", knn_sql(point_sql("e3"), asked_sql("e3", PERCENT), 3, 10))(lambda spark, sf_dir, near=near: near(spark, sf_dir, where=PERCENT))
         query(f"{label}_after_delete_e3", fewer)(left)
         query(f"{label}_delete_range_count_e3", count_sql(fewer, box_sql("e3"), 3))(counts)
         query(f"{label}_range_report_e3", report_sql(some, box_sql("e3"), 3))(reports)
@@ -461,20 +472,23 @@ def _operators() -> None:
         return joins.closest_pair(points(spark, sf_dir, "s"), PARAMS)
 
     as_of = "SELECT q.event_id, (SELECT max_by(e.event_id, (e.ts, e.event_id)) FROM events e WHERE e.event_type = 'purchase' AND e.ts <= q.ts{by}) AS right_id FROM events q WHERE q.event_id % 20 = 0"
+    every = as_of.removesuffix(" WHERE q.event_id % 20 = 0")
 
-    def as_of_all(spark, sf_dir):
+    def as_of_all(spark, sf_dir, where="event_id % 20 = 0"):
         ev = table(spark, sf_dir, "events")
         right = ev.filter("event_type = 'purchase'").select(F.col("ts").alias("rts"), F.col("event_id").alias("right_id"))
-        return joins.as_of_join(ev.filter("event_id % 20 = 0").select("event_id", "ts"), right, "ts", "rts").select("event_id", "right_id")
+        return joins.as_of_join(ev.filter(where).select("event_id", "ts"), right, "ts", "rts").select("event_id", "right_id")
 
     query("as_of_join_events", as_of.format(by=""))(as_of_all)
+    query("as_of_join_events_all", every.format(by=""))(lambda spark, sf_dir: as_of_all(spark, sf_dir, "true"))
 
-    def as_of_user(spark, sf_dir):
+    def as_of_user(spark, sf_dir, where="event_id % 20 = 0"):
         ev = table(spark, sf_dir, "events")
         right = ev.filter("event_type = 'purchase'").select("user_id", F.col("ts").alias("rts"), F.col("event_id").alias("right_id"))
-        return joins.as_of_join(ev.filter("event_id % 20 = 0").select("event_id", "ts", "user_id"), right, "ts", "rts", ["user_id"]).select("event_id", "right_id")
+        return joins.as_of_join(ev.filter(where).select("event_id", "ts", "user_id"), right, "ts", "rts", ["user_id"]).select("event_id", "right_id")
 
     query("as_of_join_by_user", as_of.format(by=" AND e.user_id = q.user_id"))(as_of_user)
+    query("as_of_join_by_user_all", every.format(by=" AND e.user_id = q.user_id"))(lambda spark, sf_dir: as_of_user(spark, sf_dir, "true"))
 
     @query("labelled_documents_semi_anti", "SELECT d.source, count(*) FILTER (l.doc_id IS NOT NULL) AS labelled, count(*) FILTER (l.doc_id IS NULL) AS unlabelled FROM documents d LEFT JOIN labels l USING (doc_id) GROUP BY d.source")
     def labelled_documents(spark, sf_dir):
@@ -510,11 +524,15 @@ def _operators() -> None:
         by = Window.orderBy("day")
         return days.select("day", "n", F.lag("n").over(by).alias("before"), F.sum("n").over(by.rangeBetween(-4, 0)).alias("in_window"), F.rank().over(Window.orderBy(F.desc("n"), "day")).alias("place"), F.ntile(4).over(by).alias("quarter"))
 
-    @query("json_coordinate_events", "SELECT event_id AS point_id, CAST(json_extract_string(props, '$.k') AS DOUBLE) AS c0, value AS c1 FROM events WHERE event_id % 10 = 0")
-    def json_coordinate(spark, sf_dir):
-        ev = table(spark, sf_dir, "events").filter("event_id % 10 = 0")
+    as_json = "SELECT event_id AS point_id, CAST(json_extract_string(props, '$.k') AS DOUBLE) AS c0, value AS c1 FROM events"
+
+    @query("json_coordinate_events", f"{as_json} WHERE event_id % 10 = 0")
+    def json_coordinate(spark, sf_dir, where="event_id % 10 = 0"):
+        ev = table(spark, sf_dir, "events").filter(where)
         return ev.select(F.col("event_id").alias("point_id"), F.get_json_object("props", "$.k").cast("double").alias("c0"), F.col("value").alias("c1"))
 
+    query("json_coordinate_events_all", as_json)(lambda spark, sf_dir: json_coordinate(spark, sf_dir, "true"))
+
     @query("embedding_arrays", "SELECT vec_id, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE)), 4) AS norm2, len(embedding)::INT AS d FROM embeddings")
     def embedding_arrays(spark, sf_dir):
         v = table(spark, sf_dir, "embeddings")
