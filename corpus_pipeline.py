@@ -56,7 +56,7 @@ STAGES = [
     ("sharded", sharded),
 ]
 
-#: SQL has no practical form of the similarity join and the k-d tree over whole tables; tests/llm compares run() with a brute-force version.
+#: SQL has no practical form of the similarity join and the k-d tree over whole tables; tests/llm compares the first three stages with a brute-force version, and the last two by what they must keep.
 ORACLE_SQL = None
 
 

@@ -1,9 +1,14 @@
 """The pipeline on a small table, against a plain version of its filtering stages."""
 
+import collections
+import re
+
 import corpus_pipeline
 from axisgrove.llm import decontaminate
 from pyspark.sql import functions as F
 
+from tests.llm.test_operators import brute_components, brute_rules, brute_windows, words
+
 SF = "/root/testdata/sf0.001"
 
 
@@ -25,3 +30,69 @@ def test_pipeline(spark):
     assert seen["mixed"].groupBy("doc_id").count().agg(F.max("count")).head()[0] <= 2
     assert seen["sharded"].count() == seen["mixed"].count() and seen["sharded"].select("shard").distinct().count() == 16
     assert corpus_pipeline.run(spark, SF).count() == seen["sharded"].count()
+
+
+def plain_quality(rows):
+    """(doc_id, text, lang, source) after the line rules."""
+    norm = lambda x: re.sub("[0-9]+", "0", re.sub(r"[\x20\x09-\x0D]+", " ", x).strip(" ")).lower()
+    filled = lambda t: [x for x in t.split("\n") if words(x)]
+    hosts = collections.defaultdict(set)
+    for _, t, _, s in rows:
+        hosts[s].add(t or "")
+    common = {s: {x for x, n in collections.Counter(x for t in texts for x in {norm(y) for y in filled(t)}).items() if n > 20 and 1000 * n > 20 * len(texts)} for s, texts in hosts.items()}
+    out = []
+    for (i, t, lang, s), failed in zip(rows, [v[5] for v in each_rules(rows)], strict=True):
+        gone = [x for x in filled(t or "") if norm(x) in common[s]]
+        n = len(words(t))
+        left = n - sum(len(words(x)) for x in gone)
+        if not failed and left >= 20 and 10 * left >= 3 * n:
+            out.append((i, "\n".join(x for x in t.split("\n") if not gone or norm(x) not in common[s]), lang, s))
+    return out
+
+
+def each_rules(rows):
+    return [brute_rules([r])[r[0]] for r in rows]
+
+
+def plain_single(rows):
+    """One document of each group of similar ones, the one of smallest id."""
+    sets, label = brute_components(rows, corpus_pipeline.SHINGLE, corpus_pipeline.SIMILAR)
+    best = {}
+    for k, v in label.items():
+        best[v] = min(best.get(v, k), k, key=lambda x: rows[x][0])
+    return [r for k, r in enumerate(rows) if not sets[k] or best[label[k]] == k]
+
+
+def test_filtering_stages_against_a_plain_version(spark):
+    """Rules, near duplicates and benchmark windows by sets and counters: the same documents and texts."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    rows = sorted(map(tuple, docs.select("doc_id", "text", "lang", "source").collect()))
+    items = list(map(tuple, spark.read.parquet(f"{SF}/benchmark.parquet").select("item_id", "text").collect()))
+    assert len({r[0] for r in rows}) == len(rows)
+    ruled = plain_quality(rows)
+    single = plain_single(ruled)
+    hits = brute_windows(single, items)
+    clean = [r for r in single if not hits[r[0]][1]]
+    assert len(rows) > len(ruled) > len(single) > len(clean) > 0
+    for (name, stage), expected in zip(corpus_pipeline.STAGES, (ruled, single, clean)):
+        docs = stage(spark, docs, SF).cache()
+        assert sorted(map(tuple, docs.collect())) == sorted((*r, len(r[1])) for r in expected), name
+
+
+def test_mix_and_shards_lose_nothing(spark):
+    """Every copy that the mix makes is a document as it was, every sharded row one of them, and run() gives the same rows."""
+    docs, kept = spark.read.parquet(f"{SF}/documents.parquet"), []
+    for _, stage in corpus_pipeline.STAGES:
+        docs = stage(spark, docs, SF).cache()
+        kept.append(collections.Counter(map(tuple, docs.select(*corpus_pipeline.COLUMNS).collect())))
+    assert set(kept[3]) <= set(kept[2]) and kept[4] == kept[3]
+    target, size = collections.Counter(), collections.Counter()
+    for r, n in kept[2].items():
+        size[r[3]] += n * len(words(r[1]))
+    for r, n in kept[3].items():
+        target[r[3]] += n * len(words(r[1]))
+    biggest = max(len(words(r[1])) for r in kept[2])
+    assert all(target[s] <= 2 * size[s] + biggest for s in size)
+    assert abs(sum(target.values()) - 1.5 * sum(size.values())) <= biggest * len(size)
+    run = corpus_pipeline.run(spark, SF)
+    assert collections.Counter(map(repr, map(tuple, run.collect()))) == collections.Counter(map(repr, map(tuple, docs.select(*run.columns).collect())))
