@@ -338,7 +338,7 @@ def _yearly(spark, sf_dir):
 
 def _windows() -> None:
     in_window = "SELECT o_orderkey, year(o_orderdate) AS y FROM orders"
-    for label, make in {"": lambda p: KdTree.build(p, PARAMS), "_fullrebuild": lambda p: FullRebuildTree.build(p, plain(shard_rows=4096)), "_logforest": lambda p: LogForest.build(p, plain(shard_rows=4096)), "_sequential": SequentialTree.build}.items():
+    for label, make in {"": lambda p: KdTree.build(p, PARAMS), "_fullrebuild": lambda p: FullRebuildTree.build(p, plain(shard_rows=4096, store_boxes=True)), "_logforest": lambda p: LogForest.build(p, plain(shard_rows=4096, store_boxes=True)), "_sequential": SequentialTree.build}.items():
         for width in (5, 3) if not label else (5,):
             def sizes(spark, sf_dir, make=make, width=width):
                 seen = []
@@ -360,7 +360,7 @@ def _windows() -> None:
 
 def _baselines() -> None:
     base, batch = "pmod(point_id, 10) <> 3", "pmod(point_id, 10) = 3"
-    makers = {"fullrebuild": lambda p: FullRebuildTree.build(p, plain(shard_rows=4096)), "logforest": lambda p: LogForest.build(p, plain(shard_rows=4096)), "sequential": SequentialTree.build}
+    makers = {"fullrebuild": lambda p: FullRebuildTree.build(p, plain(shard_rows=4096, store_boxes=True)), "logforest": lambda p: LogForest.build(p, plain(shard_rows=4096, store_boxes=True)), "sequential": SequentialTree.build}
     kept: dict = {}
     for label, make in makers.items():
         def held(spark, sf_dir, label=label, make=make):
@@ -391,7 +391,7 @@ def _baselines() -> None:
 
     @query("logforest_tree_sizes", "WITH n AS (SELECT count(*) // 512 AS b, count(*) % 512 AS rest FROM events), s AS (SELECT i AS slot, 512 * (1 << i) AS size FROM n, range(40) t(i) WHERE (b >> i) & 1 = 1 UNION ALL SELECT -1, rest FROM n WHERE rest > 0) SELECT slot::INT AS slot, size::BIGINT AS size FROM s")
     def logforest_tree_sizes(spark, sf_dir):
-        forest = LogForest(points(spark, sf_dir, "e3").filter("point_id % 2 = 0"), plain(shard_rows=4096), base=512, mode="exact")
+        forest = LogForest(points(spark, sf_dir, "e3").filter("point_id % 2 = 0"), plain(shard_rows=4096, store_boxes=True), base=512, mode="exact")
         sizes = forest.insert(points(spark, sf_dir, "e3").filter("point_id % 2 <> 0")).tree_sizes()
         return spark.createDataFrame(list(sizes.items()), "slot int, size bigint")
 

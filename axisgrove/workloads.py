@@ -30,8 +30,8 @@ RUNS = 3
 DESIGNS: dict[str, Callable] = {
     "weight-balanced": lambda p: KdTree.build(p, PARAMS),
     "weight-balanced with boxes": lambda p: KdTree.build(p, PARAMS.but(store_boxes=True)),
-    "log-method forest": lambda p: LogForest(p, plain(shard_rows=PARAMS.shard_rows)),
-    "full rebuild": lambda p: FullRebuildTree(p, plain(shard_rows=PARAMS.shard_rows)),
+    "log-method forest": lambda p: LogForest(p, plain(shard_rows=PARAMS.shard_rows, store_boxes=True)),
+    "full rebuild": lambda p: FullRebuildTree(p, plain(shard_rows=PARAMS.shard_rows, store_boxes=True)),
     "serial style": SequentialTree,
 }
 

@@ -148,3 +148,31 @@ def test_every_due_row_is_asked(spark):
             due = con.execute(f"SELECT point_id FROM ({point_sql(what[0])}) WHERE point_id % 100 = 0").fetchall()
             at = got.columns.index("query_id")
             assert sorted(r[at] for r in rows) == sorted(q for (q,) in due for _ in range(what[1])), name
+
+
+@pytest.mark.parametrize(("query", "rival"), [("fullrebuild_range_report_e3", "FullRebuildTree"), ("logforest_range_report_e3", "LogForest"), ("logforest_tree_sizes", "LogForest"), ("window5_year_sizes_o2_fullrebuild", "FullRebuildTree"), ("window5_year_sizes_o2_logforest", "LogForest")])
+def test_rivals_of_the_catalog_store_boxes(spark, monkeypatch, query, rival):
+    from axisgrove import catalog
+
+    class Asked(Exception):
+        pass
+
+    class Recorder:
+        def __init__(self, points, params, **more):
+            raise Asked(params)
+
+        build = classmethod(lambda cls, points, params: cls(points, params))
+
+    monkeypatch.setattr(catalog, rival, Recorder)
+    with pytest.raises(Asked) as found:
+        catalog.QUERIES[query](spark, "/root/testdata/sf0.01")
+    assert found.value.args[0].store_boxes
+
+
+def test_rivals_of_the_workloads_store_boxes(spark, cloud):
+    from axisgrove import workloads
+
+    for name in ("full rebuild", "log-method forest"):
+        made = workloads.DESIGNS[name](cloud)
+        trees = list(made.trees.values()) if name == "log-method forest" else [made.tree]
+        assert made.params.store_boxes and all(t.params.store_boxes for t in trees)
