@@ -123,12 +123,17 @@ def w7(spark, sf):
 
 
 def w8(spark, sf):
-    for paper, name in (("R1", "v10"), ("R2", "v7"), ("R3", "v16"), ("R4", "p2"), ("R6", "o2")):
+    """Real data: build, neighbours of all points, boxes around every 500th point (every 50th of the embeddings)."""
+    for paper, name in (("R1", "v10"), ("R2", "l2d"), ("R2", "v7"), ("R3", "v16"), ("R4", "l3"), ("R5", "l5"), ("R5", "e3"), ("R6", "o2")):
         pts = cut(points(spark, sf, name))
+        made = name.startswith("v")
+        boxes = boxes_around(pts.filter("pmod(point_id, 50) = 7" if made else "pmod(point_id, 500) = 7"), [0.1] * int(name[1:]) if made else HALF[name])
         for label, make in DESIGNS.items():
+            yield _row("W8", label, "build", f"{paper} {name}", timed(lambda make=make: make(pts)))
             tree = make(pts)
             for k in (1, 10):
                 yield _row("W8", label, f"{k}-nn of all points", f"{paper} {name}", timed(lambda tree=tree, k=k: spent(tree.knn(as_queries(pts), k)), 1))
+            yield _row("W8", label, "range report", f"{paper} {name}", timed(lambda tree=tree: spent(tree.range_report(boxes))))
 
 
 def w9(spark, sf):

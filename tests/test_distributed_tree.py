@@ -176,3 +176,13 @@ def test_rivals_of_the_workloads_store_boxes(spark, cloud):
         made = workloads.DESIGNS[name](cloud)
         trees = list(made.trees.values()) if name == "log-method forest" else [made.tree]
         assert made.params.store_boxes and all(t.params.store_boxes for t in trees)
+
+
+def test_real_data_workload_covers_the_survey(spark, monkeypatch):
+    from axisgrove import workloads
+
+    monkeypatch.setattr(workloads, "DESIGNS", {"weight-balanced": workloads.DESIGNS["weight-balanced"]})
+    monkeypatch.setattr(workloads, "timed", lambda run, runs=1: float(run() is None))
+    rows = list(workloads.w8(spark, SF))
+    sets = {"R1 v10", "R2 l2d", "R2 v7", "R3 v16", "R4 l3", "R5 l5", "R5 e3", "R6 o2"}
+    assert {(r["parameter"], r["operation"]) for r in rows} == {(s, o) for s in sets for o in ("build", "1-nn of all points", "10-nn of all points", "range report")}
