@@ -9,13 +9,12 @@ that passages which many documents share lead to no candidates between them.
 1. Shingles often seen are listed (a bounded list; it shapes the order, not the result).
 2. Prefixes of all nodes are joined on shingles that at least two nodes hold; a node with
    too few of those is linked with nothing and goes.
-3. Nodes that meet are clustered within tiles of bounded size, so that a large group of
-   near copies is held together by a few links and need not be expanded into all pairs.
-   Clusters that still share shingles are tried against each other by one node each.
-4. Every pair that then lies apart and shares a prefix shingle is tried: shingle groups
-   are cut into tiles, tiles are paired, sizes must lie in the band that the threshold
-   allows, and bits in which two signatures differ bound the overlap from above.
-5. What remains is decided by intersecting the sorted arrays.
+3. Nodes that share prefix shingles, directly or through others, go with their sets to one
+   tile of bounded bytes; what is too large for one is dealt to many (see ``_links``).
+4. Within a tile, pairs that are not connected yet are tried: sizes must lie in the band that
+   the threshold allows, and bits in which two signatures differ bound the overlap from above.
+5. What remains is decided by intersecting the sorted arrays, in the tile. Only links that
+   join two groups leave it, fewer than it has nodes, so no group becomes all of its pairs.
 """
 
 from __future__ import annotations
@@ -35,16 +34,14 @@ WIDTH, PERCENT = 4, 85
 FREQUENT = 1 << 16
 #: Shingles that are counted together when looking for frequent ones, and the least count there.
 COUNTED, LEAST_COUNT = 1 << 22, 4
-#: Nodes in a tile.
-TILE = 512
+#: Sets and signatures in a tile.
+TILE_BYTES = 8 << 20
 #: Signature bits: a power of two, twice the size of the set or more, within these bounds.
 LEAST_BITS, MOST_BITS = 64, 4096
 #: Nodes whose keys may be sent to every task; more are joined by shuffling.
 BROADCAST_NODES = 300_000
 #: Prefix shingles that one bucket of the packed comparison holds.
 PACKED_ROWS = 1 << 22
-#: Pairs that are laid out at a time.
-_PAIRS = 1 << 19
 
 
 def shared_least(n: int) -> int:
@@ -222,24 +219,18 @@ def _full_sets(docs: DataFrame, text: str, width: int, wanted: DataFrame) -> Dat
     side = F.broadcast(wanted) if wanted.count() <= BROADCAST_NODES else wanted
 
     def work(batches):
+        seen: set[int] = set()  # of the listed texts only
         for batch in batches:
             for part in slices(batch, text):
-                own = _sets(part, text, width)
-                yield pa.RecordBatch.from_arrays([pa.array([_node(x) for x in own], pa.int64()), pa.array([len(x) for x in own], pa.int64()), pa.array([x.tobytes() for x in own], pa.binary()), pa.array([_signature(x) for x in own], pa.binary())], names=["node", "n", "shingles", "signature"])
+                own = {_node(x): x for x in _sets(part, text, width)}
+                names = [k for k in own if k not in seen]
+                seen.update(names)
+                own = [own[k] for k in names]
+                yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array([len(x) for x in own], pa.int64()), pa.array([x.tobytes() for x in own], pa.binary()), pa.array([_signature(x) for x in own], pa.binary())], names=["node", "n", "shingles", "signature"])
 
     return held.join(side, "key", "left_semi").select(text).mapInArrow(work, "node bigint, n bigint, shingles binary, signature binary").dropDuplicates(["node"])
 
 
-def _differing(one: bytes, two: bytes) -> int:
-    a, b = np.frombuffer(one, np.uint8), np.frombuffer(two, np.uint8)
-    while len(a) != len(b):  # the longer is folded
-        if len(a) > len(b):
-            a = a[: len(a) // 2] | a[len(a) // 2 :]
-        else:
-            b = b[: len(b) // 2] | b[len(b) // 2 :]
-    return int(np.bitwise_count(a ^ b).sum())
-
-
 def _linked(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
     """Exact: 100 |a and b| >= percent |a or b|, by sorted arrays."""
     small, large = (a, b) if len(a) <= len(b) else (b, a)
@@ -249,63 +240,6 @@ def _linked(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
     return 100 * both >= percent * (len(a) + len(b) - both)
 
 
-def _cluster(nodes, sizes, sets, signatures, percent: int) -> list[tuple[int, int]]:
-    """Links that hold a tile together: each node is compared with the first node of every cluster so far."""
-    heads: list[int] = []
-    out = []
-    arrays = [np.frombuffer(s, dtype=np.uint64) for s in sets]
-    for i in np.lexsort((nodes, sizes)).tolist():
-        for h in reversed(heads):
-            if 100 * sizes[h] < percent * sizes[i]:
-                break  # heads are in order of size: the rest is smaller still
-            total = int(sizes[i] + sizes[h])
-            if (100 + percent) * ((total - _differing(signatures[i], signatures[h])) // 2) < percent * total:
-                continue
-            if _linked(arrays[i], arrays[h], percent):
-                out.append((int(nodes[h]), int(nodes[i])))
-                break
-        else:
-            heads.append(i)
-            continue
-        if not out or out[-1][1] != int(nodes[i]):
-            heads.append(i)
-    return out
-
-
-def _tiled(rows: DataFrame, key: str, count: str, pairs: bool) -> DataFrame:
-    """Adds ``__tile``: rows of a key held by many nodes are dealt to tiles of about TILE nodes.
-
-    With ``pairs`` a row goes to every pair of tiles that has its own, so any two rows of
-    the key meet in one tile; ``__half`` says on which side
-    and ``__alone`` that both sides are the same tile.
-    """
-    tiles = F.greatest(F.lit(1), F.ceil(F.col(count) / TILE)).cast("bigint")
-    own = F.pmod(F.xxhash64("node", F.lit(5)), tiles)
-    if not pairs:
-        return rows.withColumn("__tile", F.xxhash64(F.col(key), own))
-    rows = rows.withColumn("__own", own).withColumn("__other", F.explode(F.sequence(F.lit(0).cast("bigint"), tiles - 1)))
-    tile = F.xxhash64(F.col(key), F.least("__own", "__other"), F.greatest("__own", "__other"))
-    return rows.withColumns({"__tile": tile, "__half": (F.col("__own") > F.col("__other")).cast("int"), "__alone": (F.col("__own") == F.col("__other")).cast("int")})
-
-
-def cluster_tiles(members: DataFrame, percent: int) -> DataFrame:
-    """Links (a, b) within tiles of ``members`` (__tile, node, n, shingles, signature)."""
-
-    def work(batches):
-        for tile in whole_groups(batches, "__tile"):
-            keys = tile.column("__tile").to_numpy()
-            cuts = [0, *(np.flatnonzero(np.diff(keys)) + 1).tolist(), len(keys)]
-            links: list[tuple[int, int]] = []
-            nodes, sizes = tile.column("node").to_numpy(), tile.column("n").to_numpy()
-            sets, signatures = tile.column("shingles").to_pylist(), tile.column("signature").to_pylist()
-            for a, b in zip(cuts, cuts[1:], strict=False):
-                if b - a > 1:
-                    links += _cluster(nodes[a:b], sizes[a:b], sets[a:b], signatures[a:b], percent)
-            yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in links], pa.int64()), pa.array([y for _, y in links], pa.int64())], names=["a", "b"])
-
-    return members.select("__tile", "node", "n", "shingles", "signature").repartition("__tile").sortWithinPartitions("__tile").mapInArrow(work, "a bigint, b bigint")
-
-
 class _Signatures:
     """Signatures of many rows as one matrix of bytes for each length, and each folded once."""
 
@@ -332,99 +266,128 @@ class _Signatures:
         return out
 
 
-def _candidate_pairs(tile: pa.Table, percent: int) -> np.ndarray:
-    """Pairs of nodes of one key that lie apart, fit in size, and whose signatures allow a link."""
-    keys, sizes = tile.column("__tile").to_numpy(), tile.column("n").to_numpy()
-    order = np.lexsort((sizes, keys))
-    keys, sizes = keys[order], sizes[order]
-    nodes, groups, halves, alone = (tile.column(c).to_numpy()[order] for c in ("node", "group", "__half", "__alone"))
-    signatures = tile.column("signature").to_pylist()
+def _joined(tile: pa.Table, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Node pairs (a, b) that join the groups of one tile, as many as groups vanish.
+
+    ``tile`` has node, n, group, half, shingles, signature. Rows of one group are connected already;
+    where rows of both halves are there, only pairs across them are tried. Each row is compared with
+    smaller ones within the band of sizes, first with one row of every group; what the
+    signatures allow is decided by intersecting the sorted arrays.
+    """
+    none = np.zeros(0, dtype=np.int64)
+    nodes, sizes = tile.column("node").to_numpy(), tile.column("n").to_numpy()
+    order = np.lexsort((nodes, sizes))
+    nodes, sizes, group, half = nodes[order], sizes[order], tile.column("group").to_numpy()[order], tile.column("half").to_numpy()[order]
+    group = np.unique(group, return_inverse=True)[1]
+    sided = len(half) > 0 and bool((half != half[0]).any())
+    signatures, arrays = tile.column("signature").to_pylist(), tile.column("shingles").to_pylist()
     signatures = _Signatures([signatures[k] for k in order])
-    n = len(keys)
-    heads = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-    number = np.repeat(np.arange(len(heads)), np.diff(np.append(heads, n)))
-    # The rows after each that lie in its key and within the band of sizes: both are sorted.
-    widest = int(sizes.max()) + 2
-    upto = np.searchsorted(number * widest + sizes, number * widest + np.minimum(100 * sizes // percent, widest - 1), side="right")
-    many = upto - np.arange(n) - 1
-    ends = np.cumsum(many)
-    found, done = [np.zeros((0, 2), dtype=np.int64)], 0
-    while done < n:
-        last = max(int(np.searchsorted(ends, (ends[done - 1] if done else 0) + _PAIRS, side="right")), done + 1)
-        count = many[done:last]
-        i = np.repeat(np.arange(done, last), count)
-        j = i + 1 + np.arange(len(i)) - np.repeat(np.cumsum(count) - count, count)
-        keep = (groups[i] != groups[j]) & ((alone[i] == 1) | (halves[i] != halves[j]))
-        i, j = i[keep], j[keep]
+    arrays = [np.frombuffer(arrays[k], dtype=np.uint64) for k in order]
+    lowest = np.searchsorted(sizes, -(-percent * sizes // 100))
+    a, b = [none], [none]
+
+    def linked(i: int, j: np.ndarray) -> np.ndarray:
+        """Which rows of ``j`` are linked with row ``i``."""
         total = sizes[i] + sizes[j]
-        keep = (100 + percent) * ((total - signatures.differing(i, j)) // 2) >= percent * total
-        a, b = nodes[i[keep]], nodes[j[keep]]
-        found.append(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1))
-        done = last
-    return np.unique(np.concatenate(found), axis=0)
+        j = j[(100 + percent) * ((total - signatures.differing(np.full(len(j), i), j)) // 2) >= percent * total]
+        return j[[_linked(arrays[x], arrays[i], percent) for x in j.tolist()]] if len(j) else j
+
+    for i in range(1, len(nodes)):
+        near = np.arange(lowest[i], i)
+        if sided:
+            near = near[half[near] != half[i]]
+        for heads in True, False:
+            near = near[group[near] != group[i]]
+            if not len(near):
+                break
+            found = linked(i, near[len(near) - 1 - np.unique(group[near][::-1], return_index=True)[1]] if heads else near)
+            found = found[np.unique(group[found], return_index=True)[1]]
+            if len(found):
+                a.append(np.full(len(found), nodes[i]))
+                b.append(nodes[found])
+                group[np.isin(group, group[found])] = group[i]
+    return np.concatenate(a), np.concatenate(b)
 
 
-def apart_pairs(rows: DataFrame, percent: int) -> DataFrame:
-    """Distinct candidate pairs (a, b) from tiled rows (__tile, __half, __alone, node, n, group, signature)."""
+def joined_tiles(rows: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) that connect what is linked within each tile of ``rows`` (tile, node, n, group, half, shingles, signature)."""
 
     def work(batches):
-        for tile in whole_groups(batches, "__tile"):
-            found = _candidate_pairs(tile, percent)
-            yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], names=["a", "b"])
-
-    dealt = rows.select("__tile", "__half", "__alone", "node", "n", "group", "signature").repartition("__tile").sortWithinPartitions("__tile")
-    return dealt.mapInArrow(work, "a bigint, b bigint").distinct()
-
-
-def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs whose sets are linked."""
-    one, two = (sets.select(F.col("node").alias(c), F.col("shingles").alias(f"set_{c}")) for c in ("a", "b"))
+        for held in whole_groups(batches, "tile"):
+            keys = held.column("tile").to_numpy()
+            cuts = [0, *(np.flatnonzero(np.diff(keys)) + 1).tolist(), len(keys)]
+            for x, y in zip(cuts, cuts[1:], strict=False):
+                if y - x > 1:
+                    a, b = _joined(held.slice(x, y - x), percent)
+                    yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
 
-    def work(batches):
-        for batch in batches:
-            left, right = batch.column("set_a").to_pylist(), batch.column("set_b").to_pylist()
-            keep = [_linked(np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64), percent) for x, y in zip(left, right, strict=True)]
-            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+    return rows.select("tile", "node", "n", "group", "half", "shingles", "signature").repartition("tile").sortWithinPartitions("tile").mapInArrow(work, "a bigint, b bigint")
 
-    return pairs.join(one, "a").join(two, "b").select("a", "b", "set_a", "set_b").mapInArrow(work, "a bigint, b bigint")
 
+def _links(live: DataFrame, sets: DataFrame, percent: int, tile_bytes: int) -> DataFrame:
+    """Links (a, b) whose components are those of all linked nodes.
 
-def similar_groups(docs: DataFrame, keep: list[str], text: str = "text", width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
+    Nodes that share leading shingles, directly or by way of others, are a neighbourhood. One of up to
+    ``tile_bytes`` is a tile. A larger one is dealt to several tiles, and an eighth of a tile of
+    its nodes goes to all of them, which connects a large group of near copies in one pass. After
+    that each shingle that still holds several groups is taken by itself: nodes of its largest group
+    meet all others but not each other, in pairs of tiles where they are too many for one.
+    """
+    first = live.groupBy("shingle").agg(F.min("node").alias("first"))
+    around = components(live.join(first, "shingle").select(F.col("node").alias("a"), F.col("first").alias("b")).filter("a <> b"))
+    placed = cut(around.join(sets.select("node", "n"), "node").select("node", "n", "label", (F.col("n") * 8 + MOST_BITS // 8).alias("bytes")))
+    places = placed.groupBy("label").agg(F.ceil(F.sum("bytes") / tile_bytes).alias("tiles"))
+    placed = cut(placed.join(places, "label"))
+    alone = F.lit(0).alias("half")
+    shipped = lambda rows: rows.join(sets.drop("n"), "node")
+    links = cut(joined_tiles(shipped(placed.filter("tiles = 1").select(F.col("label").alias("tile"), "node", "n", F.col("node").alias("group"), alone)), percent))
+    large = placed.filter("tiles > 1")
+    if large.isEmpty():
+        return links
+    own = F.pmod(F.xxhash64("node", F.lit(5)), "tiles")
+    everywhere = F.pmod(F.xxhash64("node", F.lit(6)), F.col("tiles") * 8) == 0
+    dealt = large.withColumn("own", F.explode(F.when(everywhere, F.sequence(F.lit(0).cast("bigint"), F.col("tiles") - 1)).otherwise(F.array(own))))
+    links = cut(links.unionByName(joined_tiles(shipped(dealt.select(F.xxhash64("label", "own").alias("tile"), "node", "n", F.col("node").alias("group"), alone)), percent)))
+    group = components(links).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
+    rows = live.join(large.select("node", "n", "bytes"), "node").join(group, F.col("node") == F.col("__n"), "left")
+    rows = rows.select("shingle", "node", "n", "bytes", F.coalesce("__g", "node").alias("group"))
+    parts = rows.groupBy("shingle", "group").agg(F.sum("bytes").alias("bytes"))
+    mixed = parts.groupBy("shingle").agg(F.max(F.struct("bytes", "group")).alias("most"), F.sum("bytes").alias("all"), F.count("*").alias("groups")).filter("groups > 1")
+    inside, whole = F.col("most")["bytes"], F.col("all") <= tile_bytes
+    mixed = mixed.select("shingle", F.col("most")["group"].alias("main"), *(F.when(whole, few).otherwise(F.ceil(size * 2 / tile_bytes)).alias(c) for c, size, few in (("ins", inside, 0), ("outs", F.col("all") - inside, 1))))
+    rows = cut(rows.join(mixed, "shingle"))
+    number = F.lit(0).cast("bigint")
+    within_main = (F.col("group") == F.col("main")) & (F.col("ins") > 0)
+    number = F.when(within_main, F.col("outs") + F.pmod(F.xxhash64("node", F.lit(7)), F.greatest("ins", F.lit(1)))).otherwise(F.pmod(F.xxhash64("node", F.lit(7)), F.col("outs")))
+    rows = rows.withColumn("own", number).withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), F.when(within_main, F.col("outs")).otherwise(F.col("outs") + F.col("ins")) - 1)))
+    tile = F.xxhash64("shingle", F.least("own", "other"), F.greatest("own", "other"))
+    pairs = rows.select(tile.alias("tile"), "node", "n", "group", (F.col("own") > F.col("other")).cast("int").alias("half"))
+    return cut(links.unionByName(joined_tiles(shipped(pairs), percent)))
+
+
+def similar_groups(docs: DataFrame, keep: list[str], text: str = "text", width: int = WIDTH, percent: int = PERCENT, tile_bytes: int = TILE_BYTES) -> DataFrame:
     """``keep``, n_shingles and ``group``: documents with one group are connected by links.
 
     Null and empty texts have no shingles, are linked with nothing and have a null group;
     a text of fewer words than ``width`` is one shingle; repeated rows share a group; an
-    empty table gives no rows. Ties of any kind do not matter, as links are exact.
+    empty table gives no rows; very long texts count whole, alone in their slice. Ties of any kind do not matter, as links are
+    exact. Of the columns only ``keep`` are returned; they may have any names but key, node, n_shingles, prefix and group.
     """
     often = frequent_shingles(docs, text, width)
     sketched = cut(sketches(docs, keep, text, width, percent, often))
-    heads = _shared_heads(sketched.filter("n_shingles > 0").select("node", F.col("n_shingles").alias("n"), "prefix"), percent)
-    heads = cut(heads)
-    shared = heads.groupBy("shingle").agg(F.count("*").alias("holders")).filter("holders > 1")
-    live = cut(heads.join(shared, "shingle"))
+    heads = cut(_shared_heads(sketched.filter("n_shingles > 0").select("node", F.col("n_shingles").alias("n"), "prefix"), percent))
+    shared = heads.groupBy("shingle").agg(F.min("node").alias("x"), F.max("node").alias("y")).filter("x < y").select("shingle")
     # The smaller of the m of a node and of the smallest partner it may have.
     need = 1 + F.floor(F.col("n") * percent / 100 / 20)
+    live = heads.join(shared, "shingle")
     enough = live.groupBy("node", "n").agg(F.count("*").alias("found")).filter(F.col("found") >= need).select("node")
-    live = cut(live.join(enough, "node", "left_semi").select("shingle", "node", "holders", "leads"))
-    wanted = sketched.join(live.select("node").distinct(), "node", "left_semi").select("key").distinct()
+    # Linked nodes share one of the shingles that lead (m = 1), so the others need not be tried.
+    live = cut(live.filter("leads").join(enough, "node", "left_semi").select("shingle", "node"))
+    met = live.groupBy("shingle").agg(F.min("node").alias("x"), F.max("node").alias("y")).filter("x < y").select("shingle")
+    live = cut(live.join(met, "shingle", "left_semi"))
+    wanted = sketched.join(live.select("node").distinct(), "node", "left_semi").groupBy("node").agg(F.min("key").alias("key")).select("key")
     sets = cut(_full_sets(docs, text, width, cut(wanted)))
-    mark = live.groupBy("node").agg(F.min(F.xxhash64("shingle", F.lit(1))).alias("mark"))
-    size = mark.groupBy("mark").agg(F.count("*").alias("members")).filter("members > 1")
-    links = cut(cluster_tiles(_tiled(mark.join(size, "mark"), "mark", "members", False).join(sets, "node"), percent))
-    for first in (True, True, False):
-        group = components(links).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
-        # Linked nodes share one of the shingles that lead (m = 1), so the others need not be tried.
-        rows = live.filter("leads").join(group, F.col("node") == F.col("__n"), "left").select("shingle", "node", "holders", F.coalesce("__g", "node").alias("group"))
-        if first:  # a sixteenth of the shingles finds most of what the last round need not try any more
-            rows = rows.filter(F.pmod(F.xxhash64("shingle", F.lit(4)), F.lit(16)) == 0)
-        mixed = rows.groupBy("shingle").agg(F.min("group").alias("x"), F.max("group").alias("y")).filter("x <> y").select("shingle")
-        rows = rows.join(mixed, "shingle", "left_semi")
-        if first:  # clusters that lie apart are tried with one node each, before all of their nodes are
-            rows = rows.groupBy("shingle", "group").agg(F.min("node").alias("node"))
-            rows = rows.join(rows.groupBy("shingle").agg(F.count("*").alias("holders")), "shingle")
-        tried = _tiled(rows, "shingle", "holders", True).join(sets.select("node", "n", "signature"), "node")
-        links = cut(links.unionByName(verified(cut(apart_pairs(tried, percent)), sets, percent)))
-    label = components(links).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
+    label = components(_links(live, sets, percent, tile_bytes)).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
     out = sketched.join(label, F.col("node") == F.col("__n"), "left")
     return out.select(*keep, "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce("__g", "node")).alias("group"))
 

@@ -282,10 +282,7 @@ def brute_components(rows, width, percent):
     return sets, label
 
 
-@pytest.mark.parametrize(("width", "percent"), [(4, 85), (5, 80), (2, 50)])
-def test_jaccard_join(docs, rows, empty, width, percent, monkeypatch):
-    monkeypatch.setattr(jaccard_join, "TILE", 4)
-    found = jaccard_join.similar_groups(docs, ["doc_id"], width=width, percent=percent).collect()
+def same_groups(found, rows, width, percent):
     sets, label = brute_components(rows, width, percent)
     groups, expected = collections.defaultdict(set), collections.defaultdict(set)
     for r in found:
@@ -296,9 +293,29 @@ def test_jaccard_join(docs, rows, empty, width, percent, monkeypatch):
             expected[v].add(rows[k][0])
     assert sorted(map(str, map(sorted, [[str(x) for x in g] for g in groups.values()]))) == sorted(map(str, map(sorted, [[str(x) for x in g] for g in expected.values()])))
     assert {r["doc_id"]: r["n_shingles"] for r in found} == {rows[k][0]: len(s) for k, s in sets.items()}
+
+
+@pytest.mark.parametrize(("width", "percent", "tile_bytes"), [(4, 85, 8 << 20), (5, 80, 3000), (2, 50, 3000)])
+def test_jaccard_join(docs, rows, empty, width, percent, tile_bytes):
+    same_groups(jaccard_join.similar_groups(docs, ["doc_id"], width=width, percent=percent, tile_bytes=tile_bytes).collect(), rows, width, percent)
     assert jaccard_join.similar_groups(empty, ["doc_id"]).count() == 0
 
 
+@pytest.mark.parametrize("tile_bytes", [8 << 20, 20_000, 4000])
+def test_jaccard_join_of_a_large_group(spark, tile_bytes):
+    """Variants of one text, at similarities around the limit, and chains of such: one tile, many tiles, pairs of tiles."""
+    rng = random.Random(11)
+    base = [rng.choice(WORDS) + str(rng.randint(0, 99)) for _ in range(120)]
+    rows = [(0, " ".join(base))]
+    for i in range(1, 120):
+        w = list(base) if i % 3 else words(rows[-1][1])
+        for _ in range(rng.randint(1, 5)):
+            w[rng.randrange(len(w))] = f"new{rng.randint(0, 10**6)}"
+        rows.append((i, " ".join(w)))
+    found = jaccard_join.similar_groups(spark.createDataFrame(rows, "doc_id long, text string"), ["doc_id"], tile_bytes=tile_bytes).collect()
+    same_groups(found, rows, 4, 85)
+
+
 def test_one_of_each_group(spark, docs, rows):
     twice = docs.unionByName(docs.filter("doc_id = 3"))
     got = jaccard_join.one_of_each_group(twice, width=5, percent=80).collect()
