@@ -65,13 +65,14 @@ def draw_sample(points: DataFrame, s: int, seed: int = 1, how: str = "hash", n:
     what is sorted is small.
     """
     order = F.xxhash64("point_id", F.lit(seed))
-    share = F.pmod(order, F.lit(1 << 30)) / float(1 << 30)
     if how == "hash":
-        held = points.withColumn("__o", order)
+        held, by = points.withColumn("__o", order), ["__o", *points.columns]
         if n and n > 8 * s:
-            low = held.filter(share < 2.0 * s / n)
-            held = low if s >= 64 else held
-        return held.orderBy("__o", "point_id").limit(s).drop("__o")
+            # Low hashes are expected to be four times as many as are wanted; if they are not enough, all are sorted.
+            low = held.filter(F.col("__o") < F.lit(int(4 * s / n * 2**64) - 2**63))
+            held = low if low.limit(s).count() == s else held
+        return held.orderBy(*by).limit(s).drop("__o")
+    share = F.pmod(order, F.lit(1 << 30)) / float(1 << 30)
     total = n if n is not None else points.count()
     # Copies of a row in a sample with replacement follow a Poisson law of mean s / n.
     mean = s / max(1, total)

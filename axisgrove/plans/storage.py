@@ -6,7 +6,7 @@ import json
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 SHARD_SCHEMA = "shard_id bigint, size bigint, nodes bigint, height bigint, rebuilt bigint, moved bigint, rounds bigint, low array<double>, high array<double>, found bigint, absent_ids binary, absent_points binary, blob binary"
@@ -27,6 +27,20 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def numbered(df: DataFrame, column: str, *order: str) -> DataFrame:
+    """Adds the place of every row, from 0, in the order of some columns, without one task for all:
+    rows are dealt out by range, counted by partition (one number each), and numbered within it."""
+    parts = max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    held = cut(df.repartitionByRange(parts, *order).withColumn("__p", F.spark_partition_id()))
+    count = {r["__p"]: r["count"] for r in held.groupBy("__p").count().collect()}
+    before, at = [], 0
+    for p in range(max(count, default=0) + 1):
+        before.append(at)
+        at += count.get(p, 0)
+    place = F.row_number().over(Window.partitionBy("__p").orderBy(*order)) - 1
+    return held.withColumn(column, place + F.array(*[F.lit(b).cast("bigint") for b in before])[F.col("__p")]).drop("__p")
+
+
 class Segments:
     """Which folder holds which shard. Writing returns a new object; old folders stay as they are."""
 

@@ -12,6 +12,7 @@ from axisgrove.operators import inspection
 from axisgrove.operators.local import Skeleton
 from axisgrove.operators.sieve import sieve_offsets
 from axisgrove.operators.tree import KdTree, draw_sample
+from axisgrove.plans.storage import numbered
 from axisgrove.sources.tables import uniform_points, walk_points
 
 SMALL = TreeParams(shard_rows=300)
@@ -20,7 +21,7 @@ SF = "/root/testdata/sf0.001"
 
 def frame(spark, points, ids=None):
     data = {"point_id": np.arange(len(points)) if ids is None else ids} | {f"c{j}": points[:, j] for j in range(points.shape[1])}
-    return spark.createDataFrame(pd.DataFrame(data))
+    return spark.createDataFrame(pd.DataFrame(data), "point_id bigint, " + ", ".join(f"c{j} double" for j in range(points.shape[1])))
 
 
 def ids_of(df):
@@ -68,7 +69,7 @@ def test_neighbours_with_any_id(spark):
 
 
 def test_edges(spark):
-    empty = KdTree.build(frame(spark, np.zeros((0, 2))).selectExpr("CAST(point_id AS BIGINT) point_id", "CAST(c0 AS DOUBLE) c0", "CAST(c1 AS DOUBLE) c1"), SMALL)
+    empty = KdTree.build(frame(spark, np.zeros((0, 2))), SMALL)
     assert empty.size == 0 and empty.points().count() == 0
     q = spark.createDataFrame([(1, 0.0, 0.0)], "query_id bigint, c0 double, c1 double")
     assert empty.knn(q, 3).count() == 0
@@ -108,6 +109,49 @@ def test_sample_is_independent_of_layout(spark, cloud):
     assert ids_of(draw_sample(cloud.repartition(9), 100, n=2000)) == ids_of(draw_sample(cloud.coalesce(1), 100))
 
 
+def test_sample_is_of_least_hash(spark, cloud):
+    hashed = sorted((r["h"], r["point_id"]) for r in cloud.select(F.xxhash64("point_id", F.lit(1)).alias("h"), "point_id").collect())
+    for s in (1, 10, 100, 1999, 5000):
+        assert ids_of(draw_sample(cloud, s, n=2000)) == sorted(i for _, i in hashed[:s])
+    twice = cloud.withColumn("point_id", F.col("point_id") % 3)  # three hashes, all far apart: the threshold passes none or many
+    assert draw_sample(twice, 50, n=2000).count() == 50
+
+
+def test_numbered(spark, cloud):
+    got = numbered(cloud.select("point_id", "c0"), "place", "c0", "point_id").collect()
+    assert [r["place"] for r in sorted(got, key=lambda r: (r["c0"], r["point_id"]))] == list(range(2000))
+    assert numbered(cloud.filter("false"), "place", "c0").count() == 0
+
+
+@pytest.mark.parametrize("mode", ["capacity", "exact"])
+def test_forest_over_random_updates(spark, mode):
+    """Against a plain list of points, through insertions, deletions, repeated ids and an emptied forest."""
+    rng = np.random.default_rng(17)
+    held: list[tuple] = []
+    forest = LogForest(None, plain(shard_rows=200), base=64, mode=mode)
+    queries = [(q, float(rng.integers(0, 40)), float(rng.integers(0, 40))) for q in range(8)]
+    asked = spark.createDataFrame(queries, "query_id bigint, c0 double, c1 double")
+    boxes = asked.selectExpr("query_id", "c0 - 6 AS lo0", "c0 + 6 AS hi0", "c1 - 6 AS lo1", "c1 + 6 AS hi1")
+    make = lambda rows: spark.createDataFrame(rows, "point_id bigint, c0 double, c1 double")
+    fresh = lambda n: [(int(rng.integers(0, 400)), float(rng.integers(0, 40)), float(rng.integers(0, 40))) for _ in range(n)]
+    for step in ("i300", "i260", "d0.3", "d0.75", "i90", "d1.0", "i50", "d0.5"):
+        if step[0] == "i":
+            rows = fresh(int(step[1:]))
+            held, forest = held + rows, forest.insert(make(rows))
+        else:
+            gone = [p for p in held if rng.random() < float(step[1:])]
+            held, forest = [p for p in held if p not in set(gone)], forest.delete(make([*gone, (9999, 1.0, 1.0)]))
+        assert forest.size == len(held) and sorted(map(tuple, forest.points().collect())) == sorted(held), step
+        near, count = [], []
+        for q, x, y in queries:
+            best = sorted(((p[1] - x) ** 2 + (p[2] - y) ** 2, p[0]) for p in held)[:4]
+            near += [(q, r + 1, i, d) for r, (d, i) in enumerate(best)]
+            count.append((q, sum(x - 6 <= p[1] <= x + 6 and y - 6 <= p[2] <= y + 6 for p in held)))
+        assert sorted(map(tuple, forest.knn(asked, 4).collect())) == near, step
+        assert sorted(map(tuple, forest.range_count(boxes).collect())) == count, step
+        assert forest.range_report(boxes).count() == sum(n for _, n in count), step
+
+
 @pytest.mark.parametrize("name", ["knn10_e3", "range_count_o2", "delete_bag_copies_l2d", "insert_10pct_o2", "window_steps_events", "as_of_join_events"])
 def test_catalog_against_duckdb(spark, name):
     from axisgrove import catalog
@@ -119,7 +163,7 @@ def test_catalog_against_duckdb(spark, name):
     expected = con.execute(catalog.ORACLE[name]).df()
     cols = sorted(got.columns)
     assert cols == sorted(expected.columns)
-    key = lambda df: sorted(tuple("null" if v is None or v != v else float(v) for v in r) for r in df[cols].astype(object).itertuples(index=False))
+    key = lambda df: sorted(repr(tuple("null" if pd.isna(v) else v if isinstance(v, str) else float(v) for v in r)) for r in df[cols].astype(object).itertuples(index=False))
     assert key(got) == key(expected)
 
 
