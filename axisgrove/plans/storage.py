@@ -21,10 +21,34 @@ def shared_folder(spark: SparkSession) -> str:
     return context.getCheckpointDir()
 
 
+#: Shuffle files go as soon as the table that they were made for is written.
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def cut(df: DataFrame) -> DataFrame:
-    """The same rows without their lineage."""
-    shared_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
+    """The same rows without their lineage, from a Parquet table in the shared folder.
+
+    Unlike a checkpoint it is compressed, read by column and of known size, and the plan above it
+    inherits no constraints, whose number would multiply from one round of a loop to the next.
+    """
+    spark = df.sparkSession
+    place, before = f"{shared_folder(spark)}/cut-{uuid.uuid4().hex}", spark.conf.get(_CLEANUP, "false")
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.option("compression", "zstd").parquet(place)
+    finally:
+        spark.conf.set(_CLEANUP, before)
+    out = spark.read.schema(df.schema).parquet(place)
+    out.kept_at = place
+    return out
+
+
+def release(*made: DataFrame) -> None:
+    """Deletes tables that ``cut`` has written; only for those that no later job reads."""
+    for df in made:
+        jvm = df.sparkSession._jvm
+        path = jvm.org.apache.hadoop.fs.Path(df.kept_at)
+        path.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def numbered(df: DataFrame, column: str, *order: str) -> DataFrame:
