@@ -2,24 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import DataFrame, SparkSession
 
+from axisgrove.plans.storage import cut, release, shared_folder
+
+__all__ = ["cut", "release", "shared_folder", "table"]
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the parquet tables below ``sf_dir``."""
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """Materialise ``df`` in the shared checkpoint folder and forget how it was made.
-
-    The folder is the session's ``spark.checkpoint.dir``; only where that is unset
-    (local tests) a temporary folder is taken.
-    """
-    context = df.sparkSession.sparkContext
-    if not context.getCheckpointDir():
-        shared = context.getConf().get("spark.checkpoint.dir")
-        context.setCheckpointDir(shared or tempfile.mkdtemp(prefix="axisgrove-checkpoint-"))
-    return df.checkpoint(eager=True)

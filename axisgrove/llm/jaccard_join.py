@@ -19,12 +19,14 @@ that passages which many documents share lead to no candidates between them.
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from axisgrove.llm.common import cut, table
+from axisgrove.llm.common import cut, release, table
 from axisgrove.llm.components import components
 from axisgrove.llm.packing import bit_filter, whole_groups, within
 from axisgrove.llm.words import SPACED, Words, mix64, shingle_hashes, slices
@@ -274,17 +276,15 @@ def _joined(tile: pa.Table, percent: int) -> tuple[np.ndarray, np.ndarray]:
     smaller ones within the band of sizes, first with one row of every group; what the
     signatures allow is decided by intersecting the sorted arrays.
     """
-    none = np.zeros(0, dtype=np.int64)
     nodes, sizes = tile.column("node").to_numpy(), tile.column("n").to_numpy()
     order = np.lexsort((nodes, sizes))
     nodes, sizes, group, half = nodes[order], sizes[order], tile.column("group").to_numpy()[order], tile.column("half").to_numpy()[order]
-    group = np.unique(group, return_inverse=True)[1]
+    _, first, group = np.unique(group, return_index=True, return_inverse=True)
     sided = len(half) > 0 and bool((half != half[0]).any())
     signatures, arrays = tile.column("signature").to_pylist(), tile.column("shingles").to_pylist()
     signatures = _Signatures([signatures[k] for k in order])
     arrays = [np.frombuffer(arrays[k], dtype=np.uint64) for k in order]
     lowest = np.searchsorted(sizes, -(-percent * sizes // 100))
-    a, b = [none], [none]
 
     def linked(i: int, j: np.ndarray) -> np.ndarray:
         """Which rows of ``j`` are linked with row ``i``."""
@@ -303,10 +303,12 @@ def _joined(tile: pa.Table, percent: int) -> tuple[np.ndarray, np.ndarray]:
             found = linked(i, near[len(near) - 1 - np.unique(group[near][::-1], return_index=True)[1]] if heads else near)
             found = found[np.unique(group[found], return_index=True)[1]]
             if len(found):
-                a.append(np.full(len(found), nodes[i]))
-                b.append(nodes[found])
                 group[np.isin(group, group[found])] = group[i]
-    return np.concatenate(a), np.concatenate(b)
+    # A star for each group that came about: a node of every one that is in it now, and the least of those.
+    least = np.full(len(first), np.iinfo(np.int64).max)
+    np.minimum.at(least, group[first], nodes[first])
+    head = least[group[first]]
+    return nodes[first][head != nodes[first]], head[head != nodes[first]]
 
 
 def joined_tiles(rows: DataFrame, percent: int) -> DataFrame:
@@ -324,45 +326,77 @@ def joined_tiles(rows: DataFrame, percent: int) -> DataFrame:
     return rows.select("tile", "node", "n", "group", "half", "shingles", "signature").repartition("tile").sortWithinPartitions("tile").mapInArrow(work, "a bigint, b bigint")
 
 
+def _neighbourhoods(live: DataFrame, sizes: DataFrame, tile_bytes: int) -> DataFrame:
+    """(label, node, n, bytes, tiles) of nodes that share shingles of ``live`` (shingle, node), directly or through others."""
+    first = live.groupBy("shingle").agg(F.min("node").alias("first"))
+    label = components(live.join(first, "shingle").select(F.col("node").alias("a"), F.col("first").alias("b")).filter("a <> b"))
+    placed = cut(label.join(sizes, "node").withColumn("bytes", F.col("n") * 8 + MOST_BITS // 8))
+    tiles = placed.groupBy("label").agg(F.ceil(F.sum("bytes") / tile_bytes).alias("tiles"))
+    return cut(placed.join(tiles, "label"))
+
+
+def _rarest_first(sets: DataFrame, percent: int) -> DataFrame:
+    """(shingle, node) of the leading shingles of ``sets`` that others of them hold, too, in the order of how many do.
+
+    Shingles that a node has alone come first in that order, so they only shorten the rest.
+    """
+
+    def flat(batches):
+        for batch in batches:
+            for node, n, own in zip(*(batch.column(c).to_pylist() for c in ("node", "n", "shingles")), strict=True):
+                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(own, dtype=np.int64)), pa.array(np.full(n, node)), pa.array(np.full(n, n))], names=["shingle", "node", "n"])
+
+    rows = sets.select("node", "n", "shingles").mapInArrow(flat, "shingle bigint, node bigint, n bigint")
+    often = rows.groupBy("shingle").agg(F.count("*").alias("often")).filter("often > 1")
+    mine = Window.partitionBy("node")
+    rank = F.col("n") - F.count("*").over(mine) + F.row_number().over(mine.orderBy("often", "shingle"))
+    return rows.join(often, "shingle").withColumn("rank", rank).filter(F.col("rank") <= F.col("n") - F.ceil(F.col("n") * percent / 100) + 1).select("shingle", "node")
+
+
 def _links(live: DataFrame, sets: DataFrame, percent: int, tile_bytes: int) -> DataFrame:
     """Links (a, b) whose components are those of all linked nodes.
 
     Nodes that share leading shingles, directly or by way of others, are a neighbourhood. One of up to
-    ``tile_bytes`` is a tile. A larger one is dealt to several tiles, and an eighth of a tile of
+    ``tile_bytes`` is a tile. The order by hash lets passages that few documents share hold together
+    larger ones; there the leading shingles are chosen again, the rarest first, which parts most.
+    What is still too large is dealt to several tiles, and an eighth of a tile of
     its nodes goes to all of them, which connects a large group of near copies in one pass. After
     that each shingle that still holds several groups is taken by itself: nodes of its largest group
     meet all others but not each other, in pairs of tiles where they are too many for one.
     """
-    first = live.groupBy("shingle").agg(F.min("node").alias("first"))
-    around = components(live.join(first, "shingle").select(F.col("node").alias("a"), F.col("first").alias("b")).filter("a <> b"))
-    placed = cut(around.join(sets.select("node", "n"), "node").select("node", "n", "label", (F.col("n") * 8 + MOST_BITS // 8).alias("bytes")))
-    places = placed.groupBy("label").agg(F.ceil(F.sum("bytes") / tile_bytes).alias("tiles"))
-    placed = cut(placed.join(places, "label"))
-    alone = F.lit(0).alias("half")
     shipped = lambda rows: rows.join(sets.drop("n"), "node")
-    links = cut(joined_tiles(shipped(placed.filter("tiles = 1").select(F.col("label").alias("tile"), "node", "n", F.col("node").alias("group"), alone)), percent))
-    large = placed.filter("tiles > 1")
-    if large.isEmpty():
-        return links
+    alone = F.lit(0).alias("half")
+    links = []
+    for again in False, True:
+        placed = _neighbourhoods(live, sets.select("node", "n"), tile_bytes)
+        whole = placed.filter("tiles = 1").select(F.col("label").alias("tile"), "node", "n", F.col("node").alias("group"), alone)
+        links.append(cut(joined_tiles(shipped(whole), percent)))
+        large = placed.filter("tiles > 1")
+        if large.isEmpty():
+            return reduce(DataFrame.unionByName, links)
+        if not again:
+            live = cut(_rarest_first(sets.join(large.select("node"), "node", "left_semi"), percent))
     own = F.pmod(F.xxhash64("node", F.lit(5)), "tiles")
     everywhere = F.pmod(F.xxhash64("node", F.lit(6)), F.col("tiles") * 8) == 0
     dealt = large.withColumn("own", F.explode(F.when(everywhere, F.sequence(F.lit(0).cast("bigint"), F.col("tiles") - 1)).otherwise(F.array(own))))
-    links = cut(links.unionByName(joined_tiles(shipped(dealt.select(F.xxhash64("label", "own").alias("tile"), "node", "n", F.col("node").alias("group"), alone)), percent)))
-    group = components(links).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
+    links.append(cut(joined_tiles(shipped(dealt.select(F.xxhash64("label", "own").alias("tile"), "node", "n", F.col("node").alias("group"), alone)), percent)))
+    group = components(links[-1]).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
     rows = live.join(large.select("node", "n", "bytes"), "node").join(group, F.col("node") == F.col("__n"), "left")
     rows = rows.select("shingle", "node", "n", "bytes", F.coalesce("__g", "node").alias("group"))
     parts = rows.groupBy("shingle", "group").agg(F.sum("bytes").alias("bytes"))
     mixed = parts.groupBy("shingle").agg(F.max(F.struct("bytes", "group")).alias("most"), F.sum("bytes").alias("all"), F.count("*").alias("groups")).filter("groups > 1")
-    inside, whole = F.col("most")["bytes"], F.col("all") <= tile_bytes
-    mixed = mixed.select("shingle", F.col("most")["group"].alias("main"), *(F.when(whole, few).otherwise(F.ceil(size * 2 / tile_bytes)).alias(c) for c, size, few in (("ins", inside, 0), ("outs", F.col("all") - inside, 1))))
+    inside, one = F.col("most")["bytes"], F.col("all") <= tile_bytes
+    mixed = mixed.select("shingle", F.col("most")["group"].alias("main"), *(F.when(one, few).otherwise(F.ceil(size * 2 / tile_bytes)).alias(c) for c, size, few in (("ins", inside, 0), ("outs", F.col("all") - inside, 1))))
     rows = cut(rows.join(mixed, "shingle"))
-    number = F.lit(0).cast("bigint")
     within_main = (F.col("group") == F.col("main")) & (F.col("ins") > 0)
-    number = F.when(within_main, F.col("outs") + F.pmod(F.xxhash64("node", F.lit(7)), F.greatest("ins", F.lit(1)))).otherwise(F.pmod(F.xxhash64("node", F.lit(7)), F.col("outs")))
-    rows = rows.withColumn("own", number).withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), F.when(within_main, F.col("outs")).otherwise(F.col("outs") + F.col("ins")) - 1)))
+    place = F.xxhash64("node", F.lit(7))
+    number = F.when(within_main, F.col("outs") + F.pmod(place, F.greatest("ins", F.lit(1)))).otherwise(F.pmod(place, F.col("outs")))
+    last = F.when(within_main, F.col("outs")).otherwise(F.col("outs") + F.col("ins")) - 1
+    rows = rows.withColumn("own", number).withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), last)))
     tile = F.xxhash64("shingle", F.least("own", "other"), F.greatest("own", "other"))
     pairs = rows.select(tile.alias("tile"), "node", "n", "group", (F.col("own") > F.col("other")).cast("int").alias("half"))
-    return cut(links.unionByName(joined_tiles(shipped(pairs), percent)))
+    links.append(cut(joined_tiles(shipped(pairs), percent)))
+    return reduce(DataFrame.unionByName, links)
 
 
 def similar_groups(docs: DataFrame, keep: list[str], text: str = "text", width: int = WIDTH, percent: int = PERCENT, tile_bytes: int = TILE_BYTES) -> DataFrame:
@@ -384,10 +418,12 @@ def similar_groups(docs: DataFrame, keep: list[str], text: str = "text", width:
     # Linked nodes share one of the shingles that lead (m = 1), so the others need not be tried.
     live = cut(live.filter("leads").join(enough, "node", "left_semi").select("shingle", "node"))
     met = live.groupBy("shingle").agg(F.min("node").alias("x"), F.max("node").alias("y")).filter("x < y").select("shingle")
-    live = cut(live.join(met, "shingle", "left_semi"))
-    wanted = sketched.join(live.select("node").distinct(), "node", "left_semi").groupBy("node").agg(F.min("key").alias("key")).select("key")
-    sets = cut(_full_sets(docs, text, width, cut(wanted)))
+    live, before = cut(live.join(met, "shingle", "left_semi")), live
+    release(heads, before)
+    wanted = cut(sketched.join(live.select("node").distinct(), "node", "left_semi").groupBy("node").agg(F.min("key").alias("key")).select("key"))
+    sets = cut(_full_sets(docs, text, width, wanted))
     label = components(_links(live, sets, percent, tile_bytes)).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
+    release(live, wanted, sets)
     out = sketched.join(label, F.col("node") == F.col("__n"), "left")
     return out.select(*keep, "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce("__g", "node")).alias("group"))
 
