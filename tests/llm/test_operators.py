@@ -9,6 +9,7 @@ import zlib
 
 import numpy as np
 import pytest
+import regex
 from pyspark.sql import functions as F
 
 from axisgrove.llm import decontaminate, html_text, jaccard_join, kd_sharding, line_rules, mixing, personal_data, quotations, suffix_dedup, url_filter
@@ -179,6 +180,65 @@ def test_addresses_with_parts_of_zero(spark):
     assert len(got) == len(texts) and [r["b"].count("ip:") for r in sorted(got)[:4]] == [4, 2, 1, 0]
 
 
+def brute_votes(kind, m, ahead, after):
+    hit = lambda pattern, t: regex.search(pattern, t) is not None
+    form, listed, context = hit(personal_data.STRICT[kind], m), hit(personal_data.GAZETTEER[kind], m), hit(personal_data.CONTEXT[kind], ahead)
+    if kind == "secret":
+        path = hit(r"[\p{L}\p{N}./?&#]$", ahead) or hit(r"^[.][\p{L}\p{N}]|^[?&/]", after)
+        return (2 * form - 1, int(listed), int(context), -1 if path else int(hit(r"""[=:]\s?["']?$""", ahead)))
+    return (2 * form - 1, 2 * listed - 1, int(context), -1 if hit(r"[\p{L}\p{N}_=/#$]$", ahead) or hit(r"^[\p{L}\p{N}_=/]", after) else 0)
+
+
+def brute_shape(m):
+    n = len(m)
+    return (sum(n >= x for x in (8, 16, 32, 64)), sum(c in "0123456789" for c in m) * 5 // n, min(8, len(set(m)) // 4), int(any(c.islower() for c in m)) + 2 * int(any(c.isupper() for c in m)))
+
+
+def test_added_spans_against_a_plain_version(spark):
+    """Candidates, votes, shapes and verdicts of all loose kinds, computed one span at a time."""
+    rng = random.Random(21)
+    key = lambda n, of: "".join(rng.choice(of) for _ in range(n))
+    makers = [
+        lambda: f'token = "{key(40, "0123456789abcdef")}"',
+        lambda: f"api_key: {key(32, 'ABCDEFGHabcdefgh0123456789')}",
+        lambda: f"see /archive/{key(24, 'abcdefgh-')}9.html",
+        lambda: f"AKIA{key(16, 'ABCDEFGHJK234567')}",
+        lambda: f"call ({rng.randint(201, 989)}) 555-{rng.randint(1000, 9999)}",
+        lambda: f"+1 ({rng.randint(201, 989)}) 555-{rng.randint(1000, 9999)}",
+        lambda: f"mail {rng.choice(['ann.lee', 'x' * 80])} [at] {rng.choice(['mail', 'list'])} [dot] {rng.choice(['org', 'zzz', 'de'])}",
+        lambda: f"a{rng.randint(0, 9)}@b.com (at) c.org",
+        lambda: f"from Dr. {rng.choice(['Anna', 'Peter', 'Zorp'])} {rng.choice(['Miller', 'X'])}",
+        lambda: f"IBAN {rng.choice(['DE', 'FR', 'XX'])}{key(2, '0123456789')} {key(4, '0123456789')} {key(4, '0123456789')} {key(4, '0123456789')} {key(4, '0123456789')} {key(2, '0123456789')}",
+        lambda: key(30, "abcdefgh") + str(rng.randint(0, 9)),
+    ]
+    texts = [" ".join(rng.choice([rng.choice(makers)(), rng.choice(WORDS), "é😀"]) for _ in range(rng.randint(1, 12))) for _ in range(200)] + [None, "", " ".join(makers[0]() for _ in range(400)), "token = " + key(5000, "0123456789abcdef")]
+    texts += texts[:5]
+    found, counts = [], collections.Counter()
+    for t in texts:
+        own = []
+        for kind, pattern in personal_data.LOOSE.items():
+            for m in regex.finditer(pattern, t or ""):
+                # What stands ahead starts at the end of the match before.
+                last = max((x.end() for x in regex.finditer(pattern, t) if x.end() <= m.start()), default=0)
+                ahead, after = t[max(last, m.start() - personal_data.AROUND) : m.start()], t[m.end() : m.end() + 2]
+                if kind == "email" and (ahead.endswith("@") or after.startswith("@")) or kind == "phone" and regex.search(r"\+[0-9][ ().0-9-]*$", ahead):
+                    continue
+                own.append((kind, m.start(), m.end(), (kind, brute_votes(kind, m[0], ahead, after), brute_shape(m[0]))))
+                counts[own[-1][3]] += 1
+        found.append(own)
+    weights = personal_data.train(dict(counts))
+    expected = []
+    for t, own in zip(texts, found, strict=True):
+        yes = [f"{k}:{a}:{b}" for k, a, b, what in own if sum(weights[x] for x in personal_data.features(*what)) > np.log(personal_data.THRESHOLD / (1 - personal_data.THRESHOLD))]
+        every = [*filter(None, brute_spans(t).split(",")), *yes]
+        expected.append(",".join(sorted(every, key=lambda x: (personal_data.KINDS.index(x.split(":")[0]), *map(int, x.split(":")[1:])))))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = personal_data.personal_data(df, ["doc_id"]).select("doc_id", personal_data.listed(F.col("spans")).alias("s")).collect()
+    assert [r["s"] for r in sorted(got)] == expected
+    kinds = {x.split(":")[0] for e in expected for x in e.split(",") if x}
+    assert {"secret", "phone", "email"} <= kinds
+
+
 def test_reliabilities_find_the_better_labeler():
     counts = {("name", (1, 1, 1, 0)): 80, ("name", (1, 1, 0, 0)): 60, ("name", (-1, -1, 0, -1)): 90, ("name", (-1, -1, 1, 0)): 40, ("name", (1, -1, 0, -1)): 5}
     odds, likely = personal_data.reliabilities(counts)
