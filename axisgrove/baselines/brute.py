@@ -9,11 +9,23 @@ from axisgrove.functions.geometry import box_contains, dist2
 from axisgrove.model import axes, dimensions_of, normal_points
 
 
+#: Requests that may be sent to every task; the comparison is for a small, stated set of them.
+MOST_REQUESTS = 1_000_000
+
+
+def _few(requests: DataFrame) -> DataFrame:
+    """A broadcast of requests, whose number is checked before."""
+    n = requests.count()
+    if n > MOST_REQUESTS:
+        raise ValueError(f"{n} requests are too many to compare with every point; at most {MOST_REQUESTS}, or use a tree")
+    return F.broadcast(requests)
+
+
 def brute_knn(points: DataFrame, queries: DataFrame, k: int) -> DataFrame:
     """(query_id, rank, point_id, dist2): a nested loop over a small set of requests, then the best k of each."""
     names = axes(dimensions_of(points))
     asked = queries.select("query_id", *[F.col(c).cast("double").alias(f"q_{c}") for c in names])
-    pairs = normal_points(points).join(F.broadcast(asked), F.lit(True))
+    pairs = normal_points(points).join(_few(asked), F.lit(True))
     far = pairs.withColumn("dist2", dist2([F.col(c) for c in names], [F.col(f"q_{c}") for c in names]))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy("dist2", "point_id"))
     return far.withColumn("rank", rank.cast("int")).filter(F.col("rank") <= k).select("query_id", "rank", "point_id", "dist2")
@@ -23,7 +35,7 @@ def brute_range(points: DataFrame, boxes: DataFrame) -> DataFrame:
     """(query_id, point_id, c0, ...) of the points in each closed box."""
     d = dimensions_of(points)
     inside = box_contains([F.col(c) for c in axes(d)], [F.col(c) for c in axes(d, "lo")], [F.col(c) for c in axes(d, "hi")])
-    return normal_points(points).join(F.broadcast(boxes), inside).select("query_id", "point_id", *axes(d))
+    return normal_points(points).join(_few(boxes), inside).select("query_id", "point_id", *axes(d))
 
 
 def brute_count(points: DataFrame, boxes: DataFrame) -> DataFrame:

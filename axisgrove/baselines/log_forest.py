@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from axisgrove.functions.geometry import dist2
 from axisgrove.model import Report, TreeParams, axes, dimensions_of, normal_points, plain
-from axisgrove.operators.tree import KdTree, located
+from axisgrove.operators.tree import KdTree
 from axisgrove.plans.storage import cut, numbered
 
 
@@ -103,8 +103,7 @@ class LogForest:
         names = other.names
         asked = asked.select(*names).distinct()
         for s, tree in self.trees.items():
-            ends = [r["node"] for r in located(asked, tree.top).select("node").distinct().collect()]
-            here = tree.points({x for e in ends for x in tree.top.shards[e]}).select(*names)
+            here = tree.points_around(asked).select(*names)
             hit = here.join(asked, names, "left_semi").groupBy(*names).agg(F.count("*").alias("copies"))
             if s in self.dead:  # what was marked before is not marked again
                 hit = hit.join(self.dead[s].select(*names), names, "left_anti").unionByName(self.dead[s])

@@ -623,10 +623,13 @@ def _operators() -> None:
     def streamed(spark, sf_dir, name, build, mode="complete"):
         schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
         stream = spark.readStream.schema(schema).option("pathGlobFilter", "events*.parquet").parquet(sf_dir)
-        out = f"{name}_{uuid.uuid4().hex[:8]}"
-        q = build(stream).writeStream.format("memory").queryName(out).outputMode(mode).trigger(availableNow=True).start()
+        out = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+        # Results go to files, one folder a batch; of complete results the last batch has all.
+        write = lambda batch, number: batch.write.parquet(f"{out}/rows/batch={number}")
+        q = build(stream).writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{out}/state").trigger(availableNow=True).start()
         q.awaitTermination()
-        return spark.table(out)
+        rows = spark.read.parquet(f"{out}/rows")
+        return (rows.filter(F.col("batch") == rows.agg(F.max("batch")).head()[0]) if mode == "complete" else rows).drop("batch")
 
     day = "epoch(date_trunc('day', ts))::BIGINT"
 

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from axisgrove.operators.local import LocalTree
+from axisgrove.operators.tree import valued
 
 NODE_SCHEMA = "shard_id bigint, number bigint, parent bigint, depth bigint, kind string, dim int, val double, size bigint, left_size bigint, right_size bigint, box_low array<double>, box_high array<double>"
 
@@ -22,8 +23,8 @@ def node_rows(tree) -> DataFrame:
     """Nodes of the shards (numbered in preorder) and of the top tier (shard_id -1). kind: interior, leaf,
     heavy (all points agree), shard (an end of the top tier)."""
     depth = {s: tree.top.depth(e) for e in tree.top.ends() for s in tree.top.shards[e]}
-    items = [x for s, k in depth.items() for x in (F.lit(s).cast("bigint"), F.lit(k).cast("bigint"))]
-    base = F.create_map(*items)[F.col("shard_id")] if items else F.lit(0).cast("bigint")
+    above = np.zeros(max(depth, default=-1) + 1, np.int64)
+    above[list(depth)] = list(depth.values())
 
     def work(batches):
         for batch in batches:
@@ -43,7 +44,7 @@ def node_rows(tree) -> DataFrame:
                     rows.append((shard, i, int(parent[i]), above + int(depths[i]), kind, int(local.dim[i]), float(local.val[i]), int(local.size[i]), *sizes, *box))
                 yield _batch(rows)
 
-    inner = tree.segments.read().select("shard_id", base.alias("above"), "blob").mapInArrow(work, NODE_SCHEMA)
+    inner = valued(tree.segments.read().select("shard_id", "blob"), "shard_id", {"above": above}).mapInArrow(work, NODE_SCHEMA)
     top = tree.top
     rows = []
     for k in tree._order():

@@ -1,8 +1,8 @@
 """k nearest neighbours and box queries on a distributed tree.
 
-Requests are routed by the top tier, grouped by shard in chunks of bounded size, joined with
-the shard's row and answered together inside it. A box that contains a whole shard is
-answered from sizes alone.
+Requests are routed by descending the top tier, grouped by shard in chunks of bounded size, joined
+with the shard's row and answered together inside it. Only shards that are asked for are read; few
+requests go to the shards, where they stay. A box that contains a whole node is answered from its size alone.
 """
 
 from __future__ import annotations
@@ -19,14 +19,28 @@ from axisgrove.operators.tree import CHUNK, KdTree, matrix, send
 from axisgrove.plans.storage import cut
 
 
-def _per_shard(requests: DataFrame, tree: KdTree, columns: list[str], answer, schema: str) -> DataFrame:
+#: Requests of up to so many bytes are sent to all tasks, which read shards; more are joined by shuffling.
+REQUEST_BYTES = 32 << 20
+#: Second searches of more shards a request than this are done in two waves, of the nearest NEAREST shards first.
+MANY, NEAREST = 8, 4
+
+
+def _per_shard(requests: DataFrame, tree: KdTree, columns: list[str], answer, schema: str, load: dict[int, int] | None = None) -> DataFrame:
     """``answer(local_tree, request_table, shard)`` for requests (shard_id, ...) in chunks of about CHUNK a shard.
 
-    A shard that very many requests ask for is sent to several tasks.
+    How many requests each shard gets is one number a shard on the driver; it says which shards
+    are read, whether requests or shards are moved, and which go to several tasks.
     """
-    load = requests.groupBy("shard_id").agg(F.count("*").alias("__n"))
-    dealt = requests.join(load, "shard_id").withColumn("__chunk", F.pmod(F.xxhash64("query_id", F.lit(9)), F.ceil(F.col("__n") / CHUNK)))
-    packed = dealt.groupBy("shard_id", "__chunk").agg(F.collect_list(F.struct(*columns)).alias("requests"))
+    load = _load(requests) if load is None else load
+    if not load:
+        return requests.sparkSession.createDataFrame([], schema)
+    busy = [(s, -(-n // CHUNK)) for s, n in load.items() if n > CHUNK]
+    chunk = F.lit(0).cast("bigint")
+    if busy:
+        split = requests.sparkSession.createDataFrame(busy, "__s bigint, __many bigint")
+        requests = requests.join(F.broadcast(split), F.col("shard_id") == F.col("__s"), "left")
+        chunk = F.pmod(F.xxhash64("query_id", F.lit(9)), F.coalesce("__many", F.lit(1)))
+    packed = requests.withColumn("__chunk", chunk).groupBy("shard_id", "__chunk").agg(F.collect_list(F.struct(*columns)).alias("requests"))
 
     def work(batches):
         for batch in batches:
@@ -36,8 +50,14 @@ def _per_shard(requests: DataFrame, tree: KdTree, columns: list[str], answer, sc
                 asked = {c: part.field(j).to_numpy(zero_copy_only=False) for j, c in enumerate(columns)}
                 yield from answer(tree, asked, batch.column("shard_id")[i].as_py())
 
-    shards = tree.segments.read().select("shard_id", "blob")
-    return packed.join(shards, "shard_id").select("shard_id", "requests", "blob").mapInArrow(work, schema)
+    shards = tree.segments.read(set(load) if len(load) < len(tree.segments.held) else None).select("shard_id", "blob")
+    if not busy and sum(load.values()) * 8 * (len(columns) + 1) <= REQUEST_BYTES:
+        packed = F.broadcast(packed)
+    return shards.join(packed, "shard_id").select("shard_id", "requests", "blob").mapInArrow(work, schema)
+
+
+def _load(requests: DataFrame) -> dict[int, int]:
+    return {r["shard_id"]: r["count"] for r in requests.groupBy("shard_id").count().collect()}
 
 
 def _stack(asked: dict, names: list[str]) -> np.ndarray:
@@ -47,7 +67,7 @@ def _stack(asked: dict, names: list[str]) -> np.ndarray:
 _NEAR = "query_id bigint, point_id bigint, dist2 double"
 
 
-def _search(requests: DataFrame, tree: KdTree, k: int) -> DataFrame:
+def _search(requests: DataFrame, tree: KdTree, k: int, load: dict[int, int] | None = None) -> DataFrame:
     names = axes(tree.top.d)
 
     def answer(local, asked, shard):
@@ -55,38 +75,34 @@ def _search(requests: DataFrame, tree: KdTree, k: int) -> DataFrame:
         rows, place = np.nonzero(~np.isinf(dist))
         yield pa.RecordBatch.from_arrays([pa.array(asked["query_id"][rows]), pa.array(who[rows, place]), pa.array(dist[rows, place])], names=["query_id", "point_id", "dist2"])
 
-    return _per_shard(requests, tree, ["query_id", *names, "bound"], answer, _NEAR)
+    return _per_shard(requests, tree, ["query_id", *names, "bound"], answer, _NEAR, load)
 
 
-def _routed(queries: DataFrame, tree: KdTree, k: int, fan_out: bool) -> DataFrame:
+def _routed(queries: DataFrame, tree: KdTree, k: int, fan_out: bool, nearest: tuple[int, int] | None = None) -> DataFrame:
     """(query_id, coordinates, bound, shard_id): the shards of the lowest node with k points around a
-    query, or with ``fan_out`` all others whose box comes within the bound."""
-    names, d = axes(tree.top.d), tree.top.d
-    held = send(queries.sparkSession, (tree.top, *tree.top.shard_boxes()))
+    query, or with ``fan_out`` all others whose box comes within the bound. ``nearest`` (from, to) takes
+    of each query's shards, the nearest first, only those places."""
+    names = axes(tree.top.d)
+    held = send(queries.sparkSession, tree.top.routes())
 
     def work(batches):
-        top, shards, low, high = cloudpickle.loads(held.value)
-        for batch in batches:
-            points, bound = matrix(batch, names), batch.column("bound").to_numpy(zero_copy_only=False)
-            home = top.home(points, k)
-            if fan_out:
-                rows, found = [], []
-                for a in range(0, len(points), 1024):
-                    part = points[a : a + 1024]
-                    total = np.zeros((len(part), len(shards)))
-                    for j in range(d):
-                        gap = np.maximum(np.maximum(low[None, :, j] - part[:, j, None], part[:, j, None] - high[None, :, j]), 0.0)
-                        total += gap * gap
-                    r, s = np.nonzero(total <= bound[a : a + 1024, None])
-                    keep = np.array([shards[y] not in home[a + x] for x, y in zip(r.tolist(), s.tolist(), strict=True)], dtype=bool)
-                    rows.append(r[keep] + a)
-                    found.append(shards[s[keep]])
-                rows, found = np.concatenate([*rows, np.zeros(0, np.int64)]), np.concatenate([*found, np.zeros(0, np.int64)])
-            else:
-                rows = np.repeat(np.arange(len(points)), [len(h) for h in home])
-                found = np.array([s for h in home for s in h], dtype=np.int64)
-            out = batch.take(pa.array(rows.astype(np.int64)))
-            yield out.append_column("shard_id", pa.array(found.astype(np.int64)))
+        routes = cloudpickle.loads(held.value)
+        for whole in batches:
+            for at in range(0, whole.num_rows, 4096):
+                batch = whole.slice(at, 4096)
+                points, bound = matrix(batch, names), batch.column("bound").to_numpy(zero_copy_only=False)
+                home = routes.home(points, k)
+                if fan_out:
+                    rows, place, dist = routes.near(points, bound, home)
+                    if nearest:
+                        order = np.lexsort((place, dist, rows))
+                        rows, place = rows[order], place[order]
+                        first = np.searchsorted(rows, rows)
+                        keep = (np.arange(len(rows)) - first >= nearest[0]) & (np.arange(len(rows)) - first < nearest[1])
+                        rows, place = rows[keep], place[keep]
+                else:
+                    rows, place = routes.below(np.arange(len(points)), home)
+                yield batch.take(pa.array(rows)).append_column("shard_id", pa.array(routes.shards[place]))
 
     kinds = "query_id bigint, " + ", ".join(f"{c} double" for c in names) + ", bound double, shard_id bigint"
     return queries.select("query_id", *names, "bound").mapInArrow(work, kinds)
@@ -102,7 +118,8 @@ def knn(tree: KdTree, queries: DataFrame, k: int, max_radius: float | None = Non
 
     First the shards of the lowest node around the query that holds k points are searched;
     the k-th distance found bounds the others, which are searched where their box comes
-    within it (ties included). ``max_radius`` leaves out points farther away.
+    within it (ties included); where that leaves many, the nearest few first, which narrows the
+    bound. ``max_radius`` leaves out points farther away.
     """
     if k < 1:
         raise ValueError("k must be at least 1")
@@ -114,35 +131,52 @@ def knn(tree: KdTree, queries: DataFrame, k: int, max_radius: float | None = Non
     first = cut(_best(_search(_routed(asked, tree, k, False), tree, k), k))
     if len(tree.segments.held) == 1:
         return first
-    reach = first.filter(F.col("rank") == k).select(F.col("query_id").alias("__q"), F.col("dist2").alias("__r"))
-    again = asked.join(reach, F.col("query_id") == F.col("__q"), "left").withColumn("bound", F.least("bound", F.coalesce("__r", F.lit(float("inf"))))).drop("__q", "__r")
-    more = _search(_routed(again, tree, k, True), tree, k)
-    return _best(first.drop("rank").unionByName(more), k)
 
-
-def _classified(boxes: DataFrame, tree: KdTree) -> DataFrame:
-    """(query_id, lo.., hi.., shard_id, inside, inside_count): per box one row for the total of the shards
-    it contains (shard_id null), one for each of those, and one for every shard it cuts."""
+    def narrowed(found: DataFrame) -> DataFrame:
+        reach = found.filter(F.col("rank") == k).select(F.col("query_id").alias("__q"), F.col("dist2").alias("__r"))
+        return asked.join(reach, F.col("query_id") == F.col("__q"), "left").withColumn("bound", F.least("bound", F.coalesce("__r", F.lit(float("inf"))))).drop("__q", "__r")
+
+    again = _routed(narrowed(first), tree, k, True)
+    load = _load(again)
+    if sum(load.values()) <= MANY * first.select("query_id").distinct().count():
+        return _best(first.drop("rank").unionByName(_search(again, tree, k, load)), k)
+    # The nearest shards of a query are the same for any bound that they are within.
+    close = _search(_routed(narrowed(first), tree, k, True, (0, NEAREST)), tree, k)
+    first = cut(_best(first.drop("rank").unionByName(close), k))
+    rest = _search(_routed(narrowed(first), tree, k, True, (NEAREST, 1 << 62)), tree, k)
+    return _best(first.drop("rank").unionByName(rest), k)
+
+
+def _classified(boxes: DataFrame, tree: KdTree, whole: bool) -> DataFrame:
+    """(query_id, lo.., hi.., shard_id, inside, cnt, contained): a row for every shard that a box cuts, and for
+    what it contains either one row a node (shard_id null, points in cnt, shards in contained) or,
+    with ``whole``, one a shard."""
     d = tree.top.d
     low_names, high_names = axes(d, "lo"), axes(d, "hi")
-    shards, low, high = tree.top.shard_boxes()
-    sizes = np.array([tree.top.shard_size[s] for s in shards.tolist()], dtype=np.int64)
-    held = send(boxes.sparkSession, (shards, low, high, sizes))
+    held = send(boxes.sparkSession, tree.top.routes())
 
     def work(batches):
-        shards, low, high, sizes = cloudpickle.loads(held.value)
-        for batch in batches:
-            a, b = matrix(batch, low_names), matrix(batch, high_names)
-            for c in range(0, len(a), 512):
-                x, y = a[c : c + 512, None, :], b[c : c + 512, None, :]
-                meets = ((x <= high[None]) & (low[None] <= y)).all(axis=2) & (x <= y).all(axis=2)
-                inside = meets & ((x <= low[None]) & (high[None] <= y)).all(axis=2)
-                rows, found = np.nonzero(meets)
-                out = batch.slice(c, 512).take(pa.array(rows))
-                yield out.append_column("shard_id", pa.array(shards[found])).append_column("inside", pa.array(inside[rows, found])).append_column("cnt", pa.array(np.where(inside[rows, found], sizes[found], 0)))
+        routes = cloudpickle.loads(held.value)
+
+        def laid(batch, rows, shards, inside, count, contained):
+            out = batch.take(pa.array(rows))
+            for name, v in (("shard_id", shards), ("inside", pa.array(np.full(len(rows), inside))), ("cnt", pa.array(count)), ("contained", pa.array(contained))):
+                out = out.append_column(name, v)
+            return out
+
+        for every in batches:
+            for at in range(0, every.num_rows, 4096):
+                batch = every.slice(at, 4096)
+                (rows, nodes), (r, place) = routes.boxes(matrix(batch, low_names), matrix(batch, high_names))
+                yield laid(batch, r, pa.array(routes.shards[place]), False, np.zeros(len(r), np.int64), np.zeros(len(r), np.int64))
+                if whole:
+                    rows, place = routes.below(rows, nodes)
+                    yield laid(batch, rows, pa.array(routes.shards[place]), True, routes.shard_size[place], np.ones(len(rows), np.int64))
+                else:
+                    yield laid(batch, rows, pa.nulls(len(rows), pa.int64()), True, routes.size[nodes], routes.stop[nodes] - routes.start[nodes])
 
     kinds = "query_id bigint, " + ", ".join(f"{c} double" for c in [*low_names, *high_names])
-    return boxes.mapInArrow(work, kinds + ", shard_id bigint, inside boolean, cnt bigint")
+    return boxes.mapInArrow(work, kinds + ", shard_id bigint, inside boolean, cnt bigint, contained bigint")
 
 
 def normal_boxes(boxes: DataFrame, d: int) -> DataFrame:
@@ -155,13 +189,13 @@ def normal_boxes(boxes: DataFrame, d: int) -> DataFrame:
 
 
 def range_count(tree: KdTree, boxes: DataFrame) -> DataFrame:
-    """(query_id, cnt) of every closed box; 0 for empty and inverted ones. Shards inside a box are not read."""
+    """(query_id, cnt) of every closed box; 0 for empty and inverted ones. Nodes inside a box are counted by their size, their shards not read."""
     d = tree.top.d
     asked = normal_boxes(boxes, d)
     if not tree.size:
         return asked.select("query_id", F.lit(0).cast("bigint").alias("cnt"))
     low_names, high_names = axes(d, "lo"), axes(d, "hi")
-    pairs = _classified(asked, tree)
+    pairs = _classified(asked, tree, False)
 
     def answer(local, asked, shard):
         yield pa.RecordBatch.from_arrays([pa.array(asked["query_id"]), pa.array(local.ranges(_stack(asked, low_names), _stack(asked, high_names), False))], names=["query_id", "cnt"])
@@ -179,7 +213,7 @@ def range_report(tree: KdTree, boxes: DataFrame) -> DataFrame:
     schema = "query_id bigint, point_id bigint, " + ", ".join(f"{c} double" for c in names)
     if not tree.size:
         return boxes.sparkSession.createDataFrame([], schema)
-    pairs = _classified(normal_boxes(boxes, d), tree)
+    pairs = _classified(normal_boxes(boxes, d), tree, True)
 
     def answer(local, asked, shard):
         inside = asked["inside"].astype(bool)
@@ -207,9 +241,9 @@ def visit_counts(tree: KdTree, requests: DataFrame, k: int | None = None) -> Dat
         yield pa.RecordBatch.from_arrays([pa.array(asked["query_id"]), pa.array(visits[:, 0]), pa.array(visits[:, 1])], names=["query_id", "leaves", "interiors"])
 
     if k is None:
-        pairs = _classified(normal_boxes(requests, d), tree)
+        pairs = _classified(normal_boxes(requests, d), tree, False)
         seen = _per_shard(pairs.filter("NOT inside"), tree, ["query_id", *low_names, *high_names], answer, schema)
-        contained = pairs.groupBy("query_id").agg(F.sum(F.col("inside").cast("bigint")).alias("contained"))
+        contained = pairs.groupBy("query_id").agg(F.sum("contained").alias("contained"))
     else:
         pairs = _routed(requests.withColumn("bound", F.lit(float("inf"))), tree, k, False)
         seen = _per_shard(pairs, tree, ["query_id", *names, "bound"], answer, schema)

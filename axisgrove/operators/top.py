@@ -105,11 +105,103 @@ class TopTree:
         names = [s for s, n in self.shard_size.items() if n and s in self.low]
         return np.array(names, np.int64), np.array([self.low[s] for s in names]).reshape(-1, self.d), np.array([self.high[s] for s in names]).reshape(-1, self.d)
 
-    def home(self, points: np.ndarray, k: int) -> list[list[int]]:
-        """For each point the shards of the lowest node on its path that holds k points."""
-        out = []
-        for end in self.locate(points).tolist():
-            while self.size[end] < k and self.parent[end] >= 0:
-                end = self.parent[end]
-            out.append([s for e in self.ends(end) for s in self.shards[e]])
-        return out
+    def routes(self) -> Routes:
+        return Routes(self)
+
+
+class Routes:
+    """The top tier as arrays for finding shards: a descent that follows only nodes whose box is of interest.
+
+    Shards are listed in the order of their ends from left to right, so those below a node are a
+    range. Boxes are tight: those of the shards, joined upward.
+    """
+
+    def __init__(self, top: TopTree):
+        n, d = len(top.dim), top.d
+        self.d, self.tree = d, top.arrays()
+        self.left, self.right, self.parent, self.size = (np.array(x, np.int64) for x in (top.left, top.right, top.parent, top.size))
+        low, high = np.full((n, d), np.inf), np.full((n, d), -np.inf)
+        start, stop = np.zeros(n, np.int64), np.zeros(n, np.int64)
+        shards: list[int] = []
+        order, stack = [], [0]
+        while stack:
+            k = stack.pop()
+            order.append(k)
+            start[k] = len(shards)
+            if top.left[k] >= 0:
+                stack += [top.right[k], top.left[k]]
+            else:
+                shards += [s for s in top.shards[k] if top.shard_size.get(s)]
+                stop[k] = len(shards)
+        self.shards = np.array(shards, np.int64)
+        self.shard_low = np.array([top.low[s] for s in shards], float).reshape(-1, d)
+        self.shard_high = np.array([top.high[s] for s in shards], float).reshape(-1, d)
+        self.shard_size = np.array([top.shard_size[s] for s in shards], np.int64)
+        for k in reversed(order):
+            if top.left[k] >= 0:
+                a, b = top.left[k], top.right[k]
+                low[k], high[k], stop[k] = np.minimum(low[a], low[b]), np.maximum(high[a], high[b]), stop[b]
+            elif stop[k] > start[k]:
+                low[k], high[k] = self.shard_low[start[k] : stop[k]].min(axis=0), self.shard_high[start[k] : stop[k]].max(axis=0)
+        self.low, self.high, self.start, self.stop = low, high, start, stop
+
+    def below(self, rows: np.ndarray, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(row, place of a shard) for every shard below the node of each row."""
+        many = self.stop[nodes] - self.start[nodes]
+        places = np.repeat(self.start[nodes] - (np.cumsum(many) - many), many) + np.arange(int(many.sum()))
+        return np.repeat(rows, many), places
+
+    def home(self, points: np.ndarray, k: int) -> np.ndarray:
+        """For each point the lowest node on its path that holds k points."""
+        at = descend(*self.tree, points)
+        while True:
+            low = np.flatnonzero((self.size[at] < k) & (self.parent[at] >= 0))
+            if not len(low):
+                return at
+            at[low] = self.parent[at[low]]
+
+    def near(self, points: np.ndarray, bound: np.ndarray, home: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(row, place, squared distance) of the shards within each bound that are not below the home node."""
+
+        def gaps(rows, low, high):
+            total = np.zeros(len(rows))
+            for j in range(self.d):
+                x = points[rows, j]
+                gap = np.maximum(np.maximum(low[:, j] - x, x - high[:, j]), 0.0)
+                total += gap * gap
+            return total
+
+        rows, nodes, found = np.arange(len(points)), np.zeros(len(points), np.int64), []
+        while len(rows):
+            keep = (self.stop[nodes] > self.start[nodes]) & (nodes != home[rows])
+            rows, nodes = rows[keep], nodes[keep]
+            keep = gaps(rows, self.low[nodes], self.high[nodes]) <= bound[rows]
+            rows, nodes = rows[keep], nodes[keep]
+            ends = self.left[nodes] < 0
+            r, place = self.below(rows[ends], nodes[ends])
+            dist = gaps(r, self.shard_low[place], self.shard_high[place])
+            near = dist <= bound[r]
+            found.append((r[near], place[near], dist[near]))
+            rows, nodes = np.repeat(rows[~ends], 2), np.stack([self.left[nodes[~ends]], self.right[nodes[~ends]]], axis=1).ravel()
+        if not found:
+            return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+        return tuple(np.concatenate(x) for x in zip(*found, strict=True))
+
+    def boxes(self, a: np.ndarray, b: np.ndarray) -> tuple[tuple[np.ndarray, np.ndarray], tuple[np.ndarray, np.ndarray]]:
+        """(row, node) of the topmost nodes that lie in each closed box, and (row, place) of the shards that it cuts."""
+        usable = np.flatnonzero((a <= b).all(axis=1))
+        rows, nodes = usable, np.zeros(len(usable), np.int64)
+        none = np.zeros(0, np.int64)
+        inside, cut = [(none, none)], [(none, none)]
+        while len(rows):
+            keep = (self.stop[nodes] > self.start[nodes]) & (a[rows] <= self.high[nodes]).all(axis=1) & (self.low[nodes] <= b[rows]).all(axis=1)
+            rows, nodes = rows[keep], nodes[keep]
+            whole = (a[rows] <= self.low[nodes]).all(axis=1) & (self.high[nodes] <= b[rows]).all(axis=1)
+            inside.append((rows[whole], nodes[whole]))
+            rows, nodes = rows[~whole], nodes[~whole]
+            ends = self.left[nodes] < 0
+            r, place = self.below(rows[ends], nodes[ends])
+            meets = (a[r] <= self.shard_high[place]).all(axis=1) & (self.shard_low[place] <= b[r]).all(axis=1)
+            cut.append((r[meets], place[meets]))
+            rows, nodes = np.repeat(rows[~ends], 2), np.stack([self.left[nodes[~ends]], self.right[nodes[~ends]]], axis=1).ravel()
+        return tuple(np.concatenate(x) for x in zip(*inside, strict=True)), tuple(np.concatenate(x) for x in zip(*cut, strict=True))

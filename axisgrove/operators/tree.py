@@ -53,6 +53,30 @@ def located(points: DataFrame, top: TopTree, column: str = "node", how: str = "a
     return points.mapInArrow(work, f"{kinds}, `{column}` bigint")
 
 
+def valued(rows: DataFrame, key: str, values: dict[str, np.ndarray], base: int = 0) -> DataFrame:
+    """Adds columns with ``values[name][key - base]``: arrays go to tasks once, and a row looks its place up directly."""
+    held = send(rows.sparkSession, values)
+
+    def work(batches):
+        arrays = cloudpickle.loads(held.value)
+        for batch in batches:
+            at = batch.column(key).to_numpy(zero_copy_only=False) - base
+            for name, v in arrays.items():
+                batch = batch.append_column(name, pa.array(v[at]))
+            yield batch
+
+    kinds = [f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema]
+    names = {"i": "bigint", "f": "double", "b": "boolean"}
+    return rows.mapInArrow(work, ", ".join(kinds + [f"`{c}` {names[v.dtype.kind]}" for c, v in values.items()]))
+
+
+def by_node(top: TopTree, found: dict[int, object], rest, kind) -> np.ndarray:
+    """One value a node of the top tier: those of ``found``, elsewhere ``rest``."""
+    out = np.full(len(top.dim), rest, dtype=kind)
+    out[list(found)] = list(found.values())
+    return out
+
+
 def hash_order(params: TreeParams):
     """Sampling order of rows: fixed by id, whatever the partitions."""
     return F.xxhash64("point_id", F.lit(params.seed))
@@ -140,9 +164,9 @@ def _bucket_skeletons(rows: DataFrame, open_: dict[int, int], top: TopTree, para
         (k,) = open_
         sample = draw_sample(rows.filter(F.col("node") == k), s, params.seed, n=open_[k]).select(*names).toPandas().to_numpy(dtype=float)
         return {k: Skeleton.from_sample(sample, params.levels, params.split_rule, depth[k])}
-    need = F.create_map(*[x for k, n in open_.items() for x in (F.lit(k), F.lit(min(1.0, 2.0 * s / max(1, n))))])
+    need = by_node(top, {k: min(1.0, 2.0 * s / max(1, n)) for k, n in open_.items()}, 0.0, float)
     share = F.pmod(hash_order(params), F.lit(1 << 30)) / float(1 << 30)
-    sample = rows.filter(F.col("node").isin(list(open_)) & (share < need[F.col("node")])).select("node", *names)
+    sample = valued(rows, "node", {"__need": need}).filter(share < F.col("__need")).select("node", *names)
 
     def draw(key, table):
         k = key[0].as_py()
@@ -157,7 +181,7 @@ def _bucket_skeletons(rows: DataFrame, open_: dict[int, int], top: TopTree, para
 def _median_splits(rows: DataFrame, open_: dict[int, int], top: TopTree, params: TreeParams) -> dict[int, Skeleton | None]:
     """One true median for every open end: its dimension from extents, its value by an exact aggregate."""
     names = axes(top.d)
-    here = rows.filter(F.col("node").isin(list(open_)))
+    here = valued(rows, "node", {"__open": by_node(top, dict.fromkeys(open_, True), False, bool)}).filter("__open").drop("__open")
     ends = {r["node"]: r for r in here.groupBy("node").agg(*[F.min(c).alias(f"lo_{c}") for c in names], *[F.max(c).alias(f"hi_{c}") for c in names]).collect()}
     pick: dict[int, int] = {}
     for k, r in ends.items():
@@ -169,9 +193,7 @@ def _median_splits(rows: DataFrame, open_: dict[int, int], top: TopTree, params:
             pick[k] = usable[0]
     if not pick:
         return dict.fromkeys(open_)
-    which = F.create_map(*[x for k, j in pick.items() for x in (F.lit(k), F.lit(j))])
-    x = F.element_at(F.array(*names), which[F.col("node")] + 1)
-    asked = here.filter(F.col("node").isin(list(pick))).withColumn("__x", x)
+    asked = valued(rows, "node", {"__dim": by_node(top, pick, -1, np.int64)}).filter("__dim >= 0").withColumn("__x", F.element_at(F.array(*names), (F.col("__dim") + 1).cast("int")))
     # The element of rank n / 2 (from 0) in ascending order.
     upper = asked.groupBy("node").agg(F.expr("-percentile_disc(0.5) WITHIN GROUP (ORDER BY -__x)").alias("m"), F.min("__x").alias("lo"))
     found = asked.join(upper, "node").groupBy("node").agg(F.first("m").alias("m"), F.first("lo").alias("lo"), F.min(F.when(F.col("__x") > F.col("lo"), F.col("__x"))).alias("next")).collect()
@@ -208,7 +230,7 @@ def refine(rows: DataFrame, top: TopTree, open_: dict[int, int], params: TreePar
         if params.movement == "eager":
             rows = cut(rows.repartition("node"))
             report.moved += sum(waiting.values())
-        new = {r["node"]: r["count"] for r in rows.filter(F.col("node").isin(grown)).groupBy("node").count().collect()}
+        new = {r["node"]: r["count"] for r in valued(rows, "node", {"__new": by_node(top, dict.fromkeys(grown, True), False, bool)}).filter("__new").groupBy("node").count().collect()}
         counts.update({k: new.get(k, 0) for k in grown})
         fresh += grown
         waiting = {k: counts[k] for k in fresh if counts[k] > params.shard_rows and k not in stuck}
@@ -217,19 +239,27 @@ def refine(rows: DataFrame, top: TopTree, open_: dict[int, int], params: TreePar
         many = max(1, math.ceil(counts[k] / params.shard_rows)) if k in stuck else 1
         pieces[k] = top.new_shards(many)
         top.shards[k] = pieces[k]
-    first = F.create_map(*[x for k, s in pieces.items() for x in (F.lit(k), F.lit(s[0]).cast("bigint"))])
-    many = F.create_map(*[x for k, s in pieces.items() for x in (F.lit(k), F.lit(len(s)).cast("bigint"))])
-    shard = first[F.col("node")] + F.pmod(F.xxhash64("point_id", F.lit(3)), many[F.col("node")])
     report.moved += sum(counts[k] for k in fresh)
-    return rows.withColumn("shard_id", shard), [s for k in fresh for s in pieces[k]]
+    return shard_of(rows, top, pieces), [s for k in fresh for s in pieces[k]]
+
+
+def shard_of(rows: DataFrame, top: TopTree, pieces: dict[int, list[int]], spread: bool = True) -> DataFrame:
+    """Adds shard_id for points with ``node``: the shards of an end are numbered in a row, and an id names one of
+    them, or with ``spread`` off the first; null for ends without any."""
+    first = by_node(top, {k: s[0] for k, s in pieces.items()}, -1, np.int64)
+    many = by_node(top, {k: len(s) for k, s in pieces.items()}, 1, np.int64)
+    own = F.pmod(F.xxhash64("point_id", F.lit(3)), F.col("__many")) if spread else F.lit(0)
+    return valued(rows, "node", {"__first": first, "__many": many}).withColumn("shard_id", F.when(F.col("__first") >= 0, F.col("__first") + own)).drop("__first", "__many")
 
 
 def deal(rows: DataFrame, shards: list[int]) -> DataFrame:
     """Shards to partitions in order: neighbours share one, none is split, none is hashed onto another."""
     spark = rows.sparkSession
     n = max(1, min(len(shards), max(int(spark.conf.get("spark.sql.shuffle.partitions")), len(shards) // 8)))
-    place = F.create_map(*[x for i, s in enumerate(sorted(shards)) for x in (F.lit(s), F.lit(i * n // len(shards)))])
-    return rows.repartitionById(n, place[F.col("shard_id")])
+    low, order = min(shards), np.array(sorted(shards))
+    place = np.zeros(int(order[-1]) - low + 1, np.int64)
+    place[order - low] = np.arange(len(order)) * n // len(order)
+    return valued(rows, "shard_id", {"__place": place}, low).repartitionById(n, F.col("__place").cast("int")).drop("__place")
 
 
 class KdTree:
@@ -327,7 +357,8 @@ class KdTree:
             return self.delete(clean).insert(clean)
         if on_conflict == "ignore":
             names = ["point_id", *axes(self.top.d)]
-            clean = clean.dropDuplicates(names).join(self.points().select(*names), names, "left_anti")
+            clean = clean.dropDuplicates(names)
+            clean = clean.join(self.points_around(clean).select(*names), names, "left_anti")
         rows = cut(located(clean, self.top))
         delta = {r["node"]: r["count"] for r in rows.groupBy("node").count().collect()}
         if not delta:
@@ -344,15 +375,14 @@ class KdTree:
         report.rebuilt = sum(open_.values())
         source = None
         if rebuild:
-            source = rows.filter(F.col("node").isin(sorted(under))).drop("node")
+            source = valued(rows, "node", {"__under": by_node(self.top, dict.fromkeys(under, True), False, bool)}).filter("__under").drop("node", "__under")
             if gone:
                 source = source.unionByName(self.points(gone).drop("shard_id"))
         also = None
         patched = {k: self.top.shards[k][0] for k in patch if delta.get(k)}
         if patched:
             names = axes(top.d)
-            shard = F.create_map(*[x for k, s in patched.items() for x in (F.lit(k), F.lit(s).cast("bigint"))])
-            part = rows.filter(F.col("node").isin(sorted(patched))).withColumn("shard_id", shard[F.col("node")])
+            part = valued(rows, "node", {"shard_id": by_node(self.top, patched, -1, np.int64)}).filter("shard_id >= 0")
 
             def patch_shard(key, old, new):
                 counters = Counters()
@@ -379,11 +409,8 @@ class KdTree:
         if not ends:
             report = Report(absent=rows.drop("node"))
             return KdTree(self.spark, self.top, self.segments, params, report, dict(self.heights))
-        lists = F.create_map(*[x for e, s in ends.items() for x in (F.lit(e), F.array(*[F.lit(i).cast("bigint") for i in s]))])
-        found_in = lists[F.col("node")]
         # Ids name the one of several shards of a point; by coordinates such shards are asked one after the other.
-        chosen = F.element_at(found_in, (F.pmod(F.xxhash64("point_id", F.lit(3)), F.size(found_in)) + 1).cast("int")) if match == "id" else found_in[0]
-        rows = cut(rows.withColumn("shard_id", chosen))
+        rows = cut(shard_of(rows, self.top, ends, match == "id"))
         if match == "coords" and any(len(s) > 1 for s in ends.values()):
             return self._delete_heavy(rows, copies)
         touched = {r["shard_id"] for r in rows.filter(F.col("shard_id").isNotNull()).select("shard_id").distinct().collect()}
@@ -431,7 +458,7 @@ class KdTree:
 
         names = axes(self.top.d)
         asked = rows.groupBy(*names).agg(F.count("*").alias("asked"))
-        held = self.points().join(asked, names).withColumn("turn", F.row_number().over(Window.partitionBy(*names).orderBy("point_id")))
+        held = self.points_around(rows.drop("node", "shard_id")).join(asked, names).withColumn("turn", F.row_number().over(Window.partitionBy(*names).orderBy("point_id")))
         victims = held if copies == "all" else held.filter("turn <= asked")
         return self.delete(victims.select("point_id", *names), "id")
 
@@ -451,6 +478,11 @@ class KdTree:
 
         return self.segments.read(only).select("shard_id", "blob").mapInArrow(work, "shard_id bigint, point_id bigint, " + ", ".join(f"{c} double" for c in names))
 
+    def points_around(self, rows: DataFrame) -> DataFrame:
+        """All points of the shards that hold the places of ``rows``; no other shard is read."""
+        ends = [r["node"] for r in located(rows, self.top).select("node").distinct().collect()]
+        return self.points({s for e in ends for s in self.top.shards[e]})
+
     def subtree_points(self, node: int) -> DataFrame:
         """All points below a node of the top tier, from its shards alone."""
         return self.points({s for e in self.top.ends(node) for s in self.top.shards[e]})

@@ -14,17 +14,26 @@ from axisgrove.plans.storage import Segments
 
 
 def save(tree: KdTree, path: str, batch_id: int = -1) -> None:
-    """Writes one line of JSON: parameters, top tier, which folder holds which shard, the last batch applied."""
+    """Writes one line of JSON: parameters, top tier, which folder holds which shard, the last batch applied.
+
+    A version is a file of its own, named by its batch; the newest that is complete counts, so a driver
+    that is lost while it writes leaves the version before.
+    """
     top = tree.top
     held = {k: getattr(top, k) for k in ("d", "dim", "val", "left", "right", "parent", "size", "next_shard")}
     held |= {k: {str(x): y for x, y in getattr(top, k).items()} for k in ("shards", "low", "high", "shard_size")}
     text = json.dumps({"top": held, "segments": tree.segments.manifest(), "params": tree.params.__dict__, "heights": {str(k): v for k, v in tree.heights.items()}, "batch_id": batch_id})
-    tree.spark.createDataFrame([(text,)], "value string").coalesce(1).write.mode("overwrite").text(path)
+    tree.spark.createDataFrame([(text,)], "value string").coalesce(1).write.mode("overwrite").text(f"{path}/version={batch_id + 1}")
 
 
 def load(spark: SparkSession, path: str) -> tuple[KdTree, int]:
     """The tree, and the last batch that was applied to it."""
-    read = json.loads(spark.read.text(path, wholetext=True).head()[0])
+    jvm, conf = spark._jvm, spark._jsc.hadoopConfiguration()
+    place = jvm.org.apache.hadoop.fs.Path(path)
+    files = place.getFileSystem(conf)
+    done = [str(x.getPath().getName()) for x in files.listStatus(place) if files.exists(jvm.org.apache.hadoop.fs.Path(x.getPath(), "_SUCCESS"))]
+    newest = max(int(x.removeprefix("version=")) for x in done if x.startswith("version="))
+    read = json.loads(spark.read.text(f"{path}/version={newest}", wholetext=True).head()[0])
     top = TopTree(read["top"]["d"])
     for k in ("dim", "val", "left", "right", "parent", "size", "next_shard"):
         setattr(top, k, read["top"][k])

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark import cloudpickle
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import udtf
@@ -10,38 +11,54 @@ from axisgrove.operators.tree import KdTree
 
 
 def register(spark: SparkSession, tree: KdTree, name: str = "kd") -> None:
-    """Views <name>_nodes, <name>_points, <name>_shards and table functions <name>_shards_in_box and <name>_shards_near.
+    """Views <name>_nodes, <name>_points, <name>_shards and table functions.
 
-    ``SELECT * FROM kd_shards_in_box(array(lo..), array(hi..))`` gives the shards that a box meets;
-    ``kd_shards_near(array(c..), dist2)`` those within a squared distance of a point.
+    ``SELECT * FROM kd_shards_in_box(array(lo..), array(hi..))`` gives the shards that a box meets,
+    and whether it contains them; ``kd_shards_near(array(c..), dist2)`` those within a squared distance of
+    a point; ``kd_tree_nodes(max_depth)`` the nodes of the top tier. All descend the top tier.
+    Neighbours of the rows of a SELECT: ``knn_sql``.
     """
     tree.nodes().createOrReplaceTempView(f"{name}_nodes")
     tree.points().createOrReplaceTempView(f"{name}_points")
     tree.segments.read().select("shard_id", "size", "nodes", "height", "low", "high").createOrReplaceTempView(f"{name}_shards")
-    shards, low, high = tree.top.shard_boxes()
-    packed = cloudpickle.dumps((shards.tolist(), low.tolist(), high.tolist()))
+    packed = cloudpickle.dumps(tree.top.routes())
 
     class InBox:
         def __init__(self):
-            self.shards, self.low, self.high = cloudpickle.loads(packed)
+            self.routes = cloudpickle.loads(packed)
 
         def eval(self, lo, hi):
-            for s, a, b in zip(self.shards, self.low, self.high, strict=True):
-                if all(x <= q and p <= y for x, y, p, q in zip(lo, hi, a, b, strict=True)):
-                    yield s, all(x <= p and q <= y for x, y, p, q in zip(lo, hi, a, b, strict=True))
+            (rows, nodes), (_, cut) = self.routes.boxes(np.array([lo], float), np.array([hi], float))
+            for places, inside in ((self.routes.below(rows, nodes)[1], True), (cut, False)):
+                for s in self.routes.shards[places].tolist():
+                    yield s, inside
 
     class Near:
         def __init__(self):
-            self.shards, self.low, self.high = cloudpickle.loads(packed)
+            self.routes = cloudpickle.loads(packed)
 
         def eval(self, point, limit):
-            for s, a, b in zip(self.shards, self.low, self.high, strict=True):
-                total = 0.0
-                for x, p, q in zip(point, a, b, strict=True):
-                    gap = max(p - x, x - q, 0.0)
-                    total += gap * gap
-                if total <= limit:
-                    yield s, total
+            _, places, far = self.routes.near(np.array([point], float), np.array([limit], float), np.array([-1]))
+            yield from zip(self.routes.shards[places].tolist(), far.tolist(), strict=True)
+
+    class TopNodes:
+        def __init__(self):
+            self.routes = cloudpickle.loads(packed)
+
+        def eval(self, most):
+            dim, val, left, right = self.routes.tree
+            stack = [(0, 0)]
+            while stack:
+                k, depth = stack.pop()
+                yield k, depth, int(dim[k]), float(val[k]), int(self.routes.size[k])
+                if left[k] >= 0 and depth < most:
+                    stack += [(int(right[k]), depth + 1), (int(left[k]), depth + 1)]
 
     spark.udtf.register(f"{name}_shards_in_box", udtf(InBox, returnType="shard_id bigint, inside boolean"))
     spark.udtf.register(f"{name}_shards_near", udtf(Near, returnType="shard_id bigint, dist2 double"))
+    spark.udtf.register(f"{name}_tree_nodes", udtf(TopNodes, returnType="node_id bigint, depth int, dim int, val double, size bigint"))
+
+
+def knn_sql(spark: SparkSession, tree: KdTree, queries_sql: str, k: int, view: str) -> None:
+    """A view of the k nearest points of every row (query_id, c0, ...) of a SELECT: ``SELECT * FROM view`` answers them together."""
+    tree.knn(spark.sql(queries_sql), k).createOrReplaceTempView(view)

@@ -11,6 +11,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from axisgrove.model import TreeParams
 from axisgrove.operators.tree import KdTree
+from axisgrove.plans import snapshot
 
 
 def run_window(batches: Iterable[tuple[object, DataFrame]], width: int, probe: Callable[[object, object], None], make=None):
@@ -34,11 +35,21 @@ class StreamingTree:
     """Keeps a tree up to date from a stream of points with a day; days older than the window are taken out.
 
     foreachBatch may repeat a batch after a failure: the number of the last batch that was
-    applied is kept with the tree, and a repeated one is passed over.
+    applied is kept with the tree, and a repeated one is passed over. With ``home``, a folder that
+    outlives the driver, tree and number are saved after every batch, and a new driver goes on from there.
     """
 
-    def __init__(self, days: int, params: TreeParams | None = None):
-        self.days, self.params, self.tree, self.last, self.newest = days, params or TreeParams(), None, -1, None
+    def __init__(self, days: int, params: TreeParams | None = None, home: str | None = None):
+        self.days, self.params, self.home, self.tree, self.last, self.newest = days, params or TreeParams(), home, None, -1, None
+
+    @classmethod
+    def restored(cls, spark, days: int, home: str) -> StreamingTree:
+        tree, last = snapshot.load(spark, home)
+        held = cls(days, tree.params, home)
+        held.tree, held.last = tree, last
+        high = [h[0] for h in tree.top.high.values()]
+        held.newest = int(max(high) // held.edge(1)) if high else None
+        return held
 
     def apply(self, batch: DataFrame, batch_id: int) -> None:
         """One micro-batch of (point_id, c0, ..., day)."""
@@ -55,13 +66,16 @@ class StreamingTree:
         finally:
             batch.unpersist()
         self.last = batch_id
+        if self.home and self.tree is not None:
+            snapshot.save(self.tree, self.home, batch_id)
 
     def _expire(self) -> None:
-        """Coordinate 0 is in days or seconds; ``edge`` says where the window begins on it."""
-        edge = self.edge(self.newest - self.days + 1)
-        old = self.tree.points().filter(F.col("c0") < F.lit(float(edge))).drop("shard_id")
-        if not old.isEmpty():
-            self.tree = self.tree.delete(old)
+        """Coordinate 0 is in days or seconds; ``edge`` says where the window begins on it. Only shards that
+        reach below that are read."""
+        edge = float(self.edge(self.newest - self.days + 1))
+        reach = {s for s, low in self.tree.top.low.items() if low[0] < edge}
+        if reach:
+            self.tree = self.tree.delete(self.tree.points(reach).filter(F.col("c0") < F.lit(edge)).drop("shard_id"))
 
     def edge(self, day: int) -> float:
         return float(day) * 86400.0
