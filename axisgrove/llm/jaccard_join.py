@@ -9,8 +9,9 @@ that passages which many documents share lead to no candidates between them.
 1. Shingles often seen are listed (a bounded list; it shapes the order, not the result).
 2. Prefixes of all nodes are joined on shingles that at least two nodes hold; a node with
    too few of those is linked with nothing and goes.
-3. Nodes that share prefix shingles, directly or through others, go with their sets to one
-   tile of bounded bytes; what is too large for one is dealt to many (see ``_links``).
+3. For the sets of what stays, the leading shingles are chosen again, the rarest first. Nodes that
+   share those, directly or through others, go with their sets to one tile of bounded bytes;
+   what is too large for one is dealt to many (see ``_links``).
 4. Within a tile, pairs that are not connected yet are tried: sizes must lie in the band that
    the threshold allows, and bits in which two signatures differ bound the overlap from above.
 5. What remains is decided by intersecting the sorted arrays, in the tile. Only links that
@@ -112,7 +113,7 @@ def frequent_shingles(docs: DataFrame, text: str, width: int, most: int = FREQUE
             yield report()
 
     counts = docs.select(text).mapInArrow(count, "shingle bigint, n bigint").groupBy("shingle").agg(F.sum("n").alias("n"))
-    listed = counts.orderBy(F.desc("n"), "shingle").limit(most).collect()
+    listed = cut(counts.orderBy(F.desc("n"), "shingle").limit(most)).orderBy(F.desc("n"), "shingle").collect()
     return np.array([r["shingle"] for r in reversed(listed)], dtype=np.int64).view(np.uint64)
 
 
@@ -336,46 +337,48 @@ def _neighbourhoods(live: DataFrame, sizes: DataFrame, tile_bytes: int) -> DataF
 
 
 def _rarest_first(sets: DataFrame, percent: int) -> DataFrame:
-    """(shingle, node) of the leading shingles of ``sets`` that others of them hold, too, in the order of how many do.
+    """(shingle, node) of the leading shingles of ``sets`` that others of them hold, too, the rarest first.
 
-    Shingles that a node has alone come first in that order, so they only shorten the rest.
+    The order has a zone of least hashes ahead, three times as large as the share that leads, and within it
+    shingles by the number of sets that hold them: what passages in common contribute comes last and
+    drops out. Only the zone is counted; a set that has too little of it goes on by hash.
     """
+    bound = np.uint64(min((1 << 64) - 1, 3 * (100 - percent) * (1 << 64) // 100))
 
     def flat(batches):
         for batch in batches:
-            for node, n, own in zip(*(batch.column(c).to_pylist() for c in ("node", "n", "shingles")), strict=True):
-                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(own, dtype=np.int64)), pa.array(np.full(n, node)), pa.array(np.full(n, n))], names=["shingle", "node", "n"])
+            for node, n, packed in zip(*(batch.column(c).to_pylist() for c in ("node", "n", "shingles")), strict=True):
+                own = np.frombuffer(packed, dtype=np.uint64)
+                zone, leads = int(np.searchsorted(own, bound)), n - (percent * n + 99) // 100 + 1
+                own = own[: max(zone, leads)]
+                yield pa.RecordBatch.from_arrays([pa.array(own.view(np.int64)), pa.array(np.full(len(own), node)), pa.array(np.full(len(own), leads - zone, np.int32)), pa.array(own >= bound)], names=["shingle", "node", "spare", "beyond"])
 
-    rows = sets.select("node", "n", "shingles").mapInArrow(flat, "shingle bigint, node bigint, n bigint")
+    rows = sets.select("node", "n", "shingles").mapInArrow(flat, "shingle bigint, node bigint, spare int, beyond boolean")
     often = rows.groupBy("shingle").agg(F.count("*").alias("often")).filter("often > 1")
     mine = Window.partitionBy("node")
-    rank = F.col("n") - F.count("*").over(mine) + F.row_number().over(mine.orderBy("often", "shingle"))
-    return rows.join(often, "shingle").withColumn("rank", rank).filter(F.col("rank") <= F.col("n") - F.ceil(F.col("n") * percent / 100) + 1).select("shingle", "node")
+    # Shingles that a node has alone come before all others, so that they only use up places.
+    rank = F.row_number().over(mine.orderBy("beyond", "often", "shingle"))
+    return rows.join(often, "shingle").withColumns({"rank": rank, "held": F.count("*").over(mine)}).filter("rank <= spare + held").select("shingle", "node")
 
 
-def _links(live: DataFrame, sets: DataFrame, percent: int, tile_bytes: int) -> DataFrame:
+def _links(sets: DataFrame, percent: int, tile_bytes: int) -> DataFrame:
     """Links (a, b) whose components are those of all linked nodes.
 
     Nodes that share leading shingles, directly or by way of others, are a neighbourhood. One of up to
-    ``tile_bytes`` is a tile. The order by hash lets passages that few documents share hold together
-    larger ones; there the leading shingles are chosen again, the rarest first, which parts most.
-    What is still too large is dealt to several tiles, and an eighth of a tile of
+    ``tile_bytes`` is a tile. A larger one is dealt to several tiles, and an eighth of a tile of
     its nodes goes to all of them, which connects a large group of near copies in one pass. After
     that each shingle that still holds several groups is taken by itself: nodes of its largest group
     meet all others but not each other, in pairs of tiles where they are too many for one.
     """
     shipped = lambda rows: rows.join(sets.drop("n"), "node")
     alone = F.lit(0).alias("half")
-    links = []
-    for again in False, True:
-        placed = _neighbourhoods(live, sets.select("node", "n"), tile_bytes)
-        whole = placed.filter("tiles = 1").select(F.col("label").alias("tile"), "node", "n", F.col("node").alias("group"), alone)
-        links.append(cut(joined_tiles(shipped(whole), percent)))
-        large = placed.filter("tiles > 1")
-        if large.isEmpty():
-            return reduce(DataFrame.unionByName, links)
-        if not again:
-            live = cut(_rarest_first(sets.join(large.select("node"), "node", "left_semi"), percent))
+    live = cut(_rarest_first(sets, percent))
+    placed = _neighbourhoods(live, sets.select("node", "n"), tile_bytes)
+    whole = placed.filter("tiles = 1").select(F.col("label").alias("tile"), "node", "n", F.col("node").alias("group"), alone)
+    links = [cut(joined_tiles(shipped(whole), percent))]
+    large = placed.filter("tiles > 1")
+    if large.isEmpty():
+        return links[0]
     own = F.pmod(F.xxhash64("node", F.lit(5)), "tiles")
     everywhere = F.pmod(F.xxhash64("node", F.lit(6)), F.col("tiles") * 8) == 0
     dealt = large.withColumn("own", F.explode(F.when(everywhere, F.sequence(F.lit(0).cast("bigint"), F.col("tiles") - 1)).otherwise(F.array(own))))
@@ -418,12 +421,12 @@ def similar_groups(docs: DataFrame, keep: list[str], text: str = "text", width:
     # Linked nodes share one of the shingles that lead (m = 1), so the others need not be tried.
     live = cut(live.filter("leads").join(enough, "node", "left_semi").select("shingle", "node"))
     met = live.groupBy("shingle").agg(F.min("node").alias("x"), F.max("node").alias("y")).filter("x < y").select("shingle")
-    live, before = cut(live.join(met, "shingle", "left_semi")), live
-    release(heads, before)
-    wanted = cut(sketched.join(live.select("node").distinct(), "node", "left_semi").groupBy("node").agg(F.min("key").alias("key")).select("key"))
+    meeting = live.join(met, "shingle", "left_semi").select("node").distinct()
+    wanted = cut(sketched.join(meeting, "node", "left_semi").groupBy("node").agg(F.min("key").alias("key")).select("key"))
+    release(heads, live)
     sets = cut(_full_sets(docs, text, width, wanted))
-    label = components(_links(live, sets, percent, tile_bytes)).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
-    release(live, wanted, sets)
+    label = components(_links(sets, percent, tile_bytes)).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
+    release(wanted, sets)
     out = sketched.join(label, F.col("node") == F.col("__n"), "left")
     return out.select(*keep, "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce("__g", "node")).alias("group"))
 
