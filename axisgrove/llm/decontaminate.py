@@ -22,7 +22,7 @@ from pyspark import cloudpickle
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from axisgrove.llm.common import cut, table
+from axisgrove.llm.common import cut, keeping, table
 from axisgrove.llm.words import ALNUM, Words, slices
 
 WIDTH = 10
@@ -120,6 +120,7 @@ def _covered(starts: np.ndarray, stops: np.ndarray, n: int) -> np.ndarray:
     return np.cumsum(step[:-1]) > 0
 
 
+@keeping
 def contaminated_words(docs: DataFrame, items: DataFrame, keep: list[str], text: str = "text", item_id: str = "item_id", item_text: str = "text", width: int = WIDTH, with_text: bool = False) -> DataFrame:
     """``keep`` of every document, n_words, hits array<struct<start,stop>> (word spans that
     windows cover, merged) and items array<string> (ids of the items found, sorted);
@@ -127,7 +128,8 @@ def contaminated_words(docs: DataFrame, items: DataFrame, keep: list[str], text:
 
     Nulls and texts without words have no words and no hits; a null item text gives no
     window; a null item id counts as "None"; repeated rows are judged each alone; empty
-    tables give no rows, or no hits.
+    tables give no rows, or no hits; a text is searched whole, however long.
+    A kept column that has the name of a result comes back with ``_in`` added.
     """
     spark = docs.sparkSession
     bytes_ = items.agg(F.sum(F.octet_length(item_text))).head()[0] or 0

@@ -18,7 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from axisgrove.llm.common import table
+from axisgrove.llm.common import keeping, table
 
 # Element names by role.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -410,11 +410,13 @@ def default_model() -> TreeModel:
     return TreeModel().fit(*labelled_pages())
 
 
+@keeping
 def extract(pages: DataFrame, keep: tuple[str, ...] = ("page_id", "url"), html: str = "html", out: str = "main_text", model: TreeModel | None = None) -> DataFrame:
     """``keep`` and the main text: white space inside a block is one space, blocks are joined by newlines.
 
     A null or empty page has an empty text. Repeated rows are treated alike, an empty table gives no
     rows, and a page is never cut however long it is.
+    A kept column that has the name of a result comes back with ``_in`` added.
     """
     model = model or default_model()
     fields = pages.select(*keep, html)

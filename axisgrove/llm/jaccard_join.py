@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from axisgrove.llm.common import cut, release, table
+from axisgrove.llm.common import cut, keeping, release, table
 from axisgrove.llm.components import components
 from axisgrove.llm.packing import bit_filter, whole_groups, within
 from axisgrove.llm.words import SPACED, Words, mix64, shingle_hashes, slices
@@ -402,13 +402,14 @@ def _links(sets: DataFrame, percent: int, tile_bytes: int) -> DataFrame:
     return reduce(DataFrame.unionByName, links)
 
 
+@keeping
 def similar_groups(docs: DataFrame, keep: list[str], text: str = "text", width: int = WIDTH, percent: int = PERCENT, tile_bytes: int = TILE_BYTES) -> DataFrame:
     """``keep``, n_shingles and ``group``: documents with one group are connected by links.
 
     Null and empty texts have no shingles, are linked with nothing and have a null group;
     a text of fewer words than ``width`` is one shingle; repeated rows share a group; an
     empty table gives no rows; very long texts count whole, alone in their slice. Ties of any kind do not matter, as links are
-    exact. Of the columns only ``keep`` are returned; they may have any names but key, node, n_shingles, prefix and group.
+    exact. A kept column that has the name of a result comes back with ``_in`` added.
     """
     often = frequent_shingles(docs, text, width)
     sketched = cut(sketches(docs, keep, text, width, percent, often))

@@ -7,8 +7,9 @@ bytes. Medians are exact: all nodes of a level are narrowed down together by his
 the driver; rows find their leaf by comparisons with literals, without a join or shuffle.
 
 The dimensions given here are functions of the text, so that equal texts meet in one leaf.
-Where the rows of one median value weigh more than ``TOLERANCE`` of their node, the value
-is divided by text checksum, and a group of equal texts that is still too heavy by id.
+Where the rows of one median value weigh more than a share (``tolerance``) of their node, the value
+is divided by text checksum. A group of equal texts stays together unless it alone weighs more than
+that: then the law (bytes near equal) can't be kept without dividing it, and it is divided by id.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from axisgrove.llm.common import cut, table
+from axisgrove.llm.common import cut, set_aside, table
 
 #: Cells of a histogram in the search for a median.
 BINS = 4096
@@ -26,12 +27,13 @@ BINS = 4096
 TOLERANCE = 0.004
 #: Rows that one task numbers.
 ROWS_PER_RUN = 500_000
-DIMENSIONS = ("size", "text_crc32", "beyond_ascii", "lines")
+DIMENSIONS = ("size", "beyond_ascii", "lines", "spaces", "digits")
 TIES = ("text_crc32", "doc_id")
+MEASURES = ("size", "text_crc32", "beyond_ascii", "lines", "spaces", "digits")
 
 
 def text_metadata(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",), text: str = "text") -> DataFrame:
-    """``keep``, size (UTF-8 bytes plus one), text_crc32, beyond_ascii (bytes past one a character), lines."""
+    """``keep``, size (UTF-8 bytes plus one), text_crc32, beyond_ascii (bytes past one a character), lines, spaces, digits."""
     whole = F.coalesce(F.col(text), F.lit(""))
     size = F.octet_length(whole).cast("bigint")
     return docs.select(
@@ -40,6 +42,8 @@ def text_metadata(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",), text: st
         F.crc32(whole.cast("binary")).alias("text_crc32"),
         (size - F.length(whole)).alias("beyond_ascii"),
         (F.length(whole) - F.length(F.replace(whole, F.lit("\n"), F.lit(""))) + 1).cast("bigint").alias("lines"),
+        (F.length(whole) - F.length(F.replace(whole, F.lit(" "), F.lit("")))).cast("bigint").alias("spaces"),
+        (F.length(whole) - F.length(F.translate(whole, "0123456789", ""))).cast("bigint").alias("digits"),
     )
 
 
@@ -115,7 +119,7 @@ def _boundaries(rows: DataFrame, ranges: dict[int, tuple[Column, int, int, float
     return found
 
 
-def grow(rows: DataFrame, depth: int, dimensions=DIMENSIONS, ties=TIES, weight: str = "size") -> KdTree:
+def grow(rows: DataFrame, depth: int, dimensions=DIMENSIONS, ties=TIES, weight: str = "size", tolerance: float = TOLERANCE) -> KdTree:
     """The tree of ``depth`` levels over rows that hold the dimensions, ties and weight as integers."""
     tree = KdTree(depth)
     wide = None
@@ -129,7 +133,7 @@ def grow(rows: DataFrame, depth: int, dimensions=DIMENSIONS, ties=TIES, weight:
         for k in range(2**level, 2 ** (level + 1)):
             tree.splits[k] = Split()
         goal = {k: s["w"] / 2 for k, s in stats.items()}
-        slack = {k: s["w"] * TOLERANCE for k, s in stats.items()}
+        slack = {k: s["w"] * tolerance for k, s in stats.items()}
         widest = {k: max(dimensions, key=lambda c, s=s: ((s[f"hi_{c}"] - s[f"lo_{c}"]) / wide[c], -dimensions.index(c))) for k, s in stats.items()}
         pending = {k: (widest[k], s[f"lo_{widest[k]}"], s[f"hi_{widest[k]}"], goal[k]) for k, s in stats.items()}
         done_before = dict.fromkeys(stats, 0.0)
@@ -186,30 +190,33 @@ def with_slots(rows: DataFrame, shard: str = "shard", order: tuple[str, ...] = (
     return numbered.withColumn("slot", (F.col("__ahead") + F.col("__n") - 1).cast("bigint")).drop("__run", "__ahead", "__n")
 
 
-def kd_shards(docs: DataFrame, shards: int | None = 16, target_bytes: int | None = None, keep: tuple[str, ...] = ("doc_id",), text: str = "text") -> tuple[DataFrame, KdTree]:
-    """Metadata rows with ``shard``, and the tree.
+def kd_shards(docs: DataFrame, shards: int | None = 16, target_bytes: int | None = None, keep: tuple[str, ...] = ("doc_id",), text: str = "text", tolerance: float = TOLERANCE) -> tuple[DataFrame, KdTree]:
+    """Metadata rows with ``shard``, and the tree. Kept columns that have the name of a measure or of
+    ``shard`` come back with ``_in`` added; ``doc_id`` must be among them.
 
     ``shards`` (a power of two) or ``target_bytes`` fixes the depth. A null text has no
     bytes and counts one; null ids come first; equal rows are told apart by nothing and
-    stay together; an empty table gives an empty result and a tree of one-sided splits.
+    stay together; long texts are measured whole; an empty table gives an empty result and a tree of one-sided splits.
     """
-    rows = cut(text_metadata(docs, keep, text))
+    docs = set_aside(docs.select(*keep, F.col(text).alias("__text")), [*MEASURES, "shard"])
+    rows = cut(text_metadata(docs, tuple(c for c in docs.columns if c != "__text"), "__text"))
     if target_bytes:
         depth = depth_for(rows.agg(F.sum("size")).head()[0] or 0, target_bytes)
     else:
         depth = (shards or 1).bit_length() - 1
         if 1 << depth != (shards or 1):
             raise ValueError("the number of shards must be a power of two")
-    tree = grow(rows, depth)
+    tree = grow(rows, depth, tolerance=tolerance)
     return rows.withColumn("shard", tree.leaf()), tree
 
 
 def with_shard(docs: DataFrame, tree: KdTree, text: str = "text") -> DataFrame:
-    """The documents with ``size`` and ``shard``; every row finds its leaf where it is."""
-    measures = ["size", "text_crc32", "beyond_ascii", "lines"]
-    others = [c for c in docs.columns if c not in {*measures, "shard"}]
-    held = text_metadata(docs, tuple(others), text) if text not in others else text_metadata(docs.withColumn("__text", F.col(text)), tuple(others), "__text")
-    return held.withColumn("shard", tree.leaf()).select(*others, "size", "shard")
+    """The documents with ``size`` and ``shard``; every row finds its leaf where it is. Columns that have the name
+    of a measure or of ``shard`` come back with ``_in`` added; nulls, ties, repeats and empty tables as in ``kd_shards``.
+    """
+    docs = set_aside(docs.withColumn("__text", F.col(text)), [*MEASURES, "shard"])
+    others = [c for c in docs.columns if c != "__text"]
+    return text_metadata(docs, tuple(others), "__text").withColumn("shard", tree.leaf()).select(*[F.col(f"`{c}`") for c in others], "size", "shard")
 
 
 def write_shards(docs: DataFrame, tree: KdTree, path: str, text: str = "text") -> None:

@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from axisgrove.llm.common import cut, table
+from axisgrove.llm.common import cut, keeping, table
 
 SPACE = r"[\x20\x09-\x0D]+"
 WINDOW = 8
@@ -68,7 +68,7 @@ def base_rules(docs: DataFrame, keep: list, text: str = "text") -> DataFrame:
     df = docs.select(*keep, whole.alias("__t"), words_of(whole).alias("__w"))
     df = df.withColumn("__h", _windows(F.col("__w")))
     df = df.select(
-        *[c for c in df.columns if not c.startswith("__")],
+        *[c for c in df.columns if c not in ("__t", "__w", "__h")],
         F.size("__w").cast("bigint").alias("n_words"),
         F.length(F.array_join("__w", "")).cast("bigint").alias("word_chars"),
         (F.length("__t") - F.length(F.regexp_replace("__t", r"[#*$%&|<>]", ""))).cast("bigint").alias("n_symbols"),
@@ -106,12 +106,14 @@ def boilerplate(docs: DataFrame, text: str = "text", host: str = "source", least
     return hit.groupBy("__host", "__x", "__y").agg(F.sum("line.n").cast("bigint").alias("removed"), F.collect_set("line.h").alias("lines"))
 
 
+@keeping
 def judged(docs: DataFrame, keep: list[str], text: str = "text", host: str = "source", with_text: bool = False) -> DataFrame:
     """``keep``, the base measures, removed (words in boilerplate lines), kept; with
     ``with_text`` also clean_text, without the boilerplate lines (null stays null).
 
     A null or empty text has no words and fails the base rules; lines are compared without
-    regard to ties or order; repeated rows are judged alike; an empty table gives no rows.
+    regard to ties or order; repeated rows are judged alike; a text counts whole, however long; an empty table gives no rows.
+    A kept column that has the name of a result comes back with ``_in`` added.
     """
     bad = boilerplate(docs, text, host).select(F.col("__host").alias("__bh"), F.col("__x").alias("__bx"), F.col("__y").alias("__by"), "removed", *([F.col("lines").alias("__bad")] if with_text else []))
     bad = cut(bad)

@@ -20,7 +20,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from axisgrove.llm.common import cut, table
+from axisgrove.llm.common import cut, keeping, set_aside, table
 
 #: Weights of the sources in order of their names, repeating.
 WEIGHTS = (5, 2, 1)
@@ -30,8 +30,12 @@ SHARE, MOST = 1.5, 2
 CELLS_PER_DOUBLING = 1024
 
 
+@keeping
 def with_sizes(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id", "source")) -> DataFrame:
-    """``keep`` and ``size``: the number of words between ASCII white space (null: 0)."""
+    """``keep`` and ``size``: the number of words between ASCII white space (null or empty: 0), of whole
+    texts however long; repeated rows stay; an empty table gives no rows.
+    A kept column that has the name of a result comes back with ``_in`` added.
+    """
     fields = docs.select(*keep, text)
     schema = ", ".join(f"`{c}` {fields.schema[c].dataType.simpleString()}" for c in keep) + ", size bigint"
 
@@ -75,6 +79,9 @@ def uniform(key: Column, seed: str) -> Column:
     return (F.conv(digits, 16, 10).cast("double") + F.lit(0.5)) / F.lit(4503599627370496.0)
 
 
+_INNER = ("__mass", "__s", "__source", "__expected", "__whole", "__p", "__u", "__rank", "__cell", "__c", "__before", "__edge", "__lacking", "__some", "__all", "__upto")
+
+
 def pareto_mix(sized: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int = MOST, seed: str = "mix", importance: str | None = None) -> DataFrame:
     """``sized`` (doc_id, source, size and more) plus source_size, target, copies, taken.
 
@@ -84,9 +91,10 @@ def pareto_mix(sized: DataFrame, weights=WEIGHTS, share: float = SHARE, most: in
 
     Nulls: a null source is a source of its own, a null id a key like any other; a document without
     words takes none. Repeated ids get the same random number and are told apart by size,
-    so ties are taken in a fixed order. An empty table gives an empty mix. Reruns agree.
+    so ties are taken in a fixed order. An empty table gives an empty mix. Reruns agree. Columns of ``sized``
+    that have the name of a result, or of an inner column (two underscores ahead), come back with ``_in`` added.
     """
-    sized = sized.drop("source_size", "target", "copies", "taken")
+    sized = set_aside(sized, ["source_size", "target", "copies", "taken", *_INNER])
     w = F.col(importance).cast("double") if importance else F.lit(1.0)
     totals = sized.groupBy("source").agg(F.sum("size").alias("source_size"), F.sum(F.col("size") * w).alias("__mass"))
     goal = targets(totals.select("source", "source_size"), weights, share, most).join(totals.select(F.col("source").alias("__s"), "__mass"), F.col("source").eqNullSafe(F.col("__s"))).drop("__s")

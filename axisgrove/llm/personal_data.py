@@ -21,7 +21,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from axisgrove.llm.common import cut, table
+from axisgrove.llm.common import cut, keeping, table
 
 KINDS = ("email", "ip", "card", "phone", "name", "iban", "secret")
 
@@ -251,11 +251,13 @@ def classified(found: DataFrame, keep: list[str], threshold: float = THRESHOLD)
     return found.select(*keep, F.array_sort(F.transform("base", plain)).alias("base"), spans.alias("spans"))
 
 
+@keeping
 def personal_data(docs: DataFrame, keep: list[str], text: str = "text") -> DataFrame:
     """``keep``, base and spans: arrays of (k, start, stop, kind, span), offsets in code points.
 
     A null text is empty and has no spans; a text is searched whole however long it is;
     repeated rows are treated alike; an empty table gives no rows.
+    A kept column that has the name of a result comes back with ``_in`` added.
     """
     return classified(cut(find_spans(docs, keep, text)), keep)
 

@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from axisgrove.llm.common import cut, table
+from axisgrove.llm.common import cut, set_aside, table
 
 MARK = r"^(?:[ \t]*>)+[ \t]?"
 SPACE = r"[\x20\x09-\x0D]+"
@@ -62,8 +62,11 @@ def linked(messages: DataFrame, conversation: str = "conv_id", turn: str = "turn
 
     Null or empty texts quote and say nothing; messages without conversation or turn are
     linked with nothing and are their own thread; messages that share a turn share its
-    passages and its reply; repeated rows stay; an empty table gives no rows.
+    passages and its reply; repeated rows stay; texts of any length are taken whole; an empty table gives
+    no rows. Columns that have the name of a result, or of an inner column
+    (two underscores ahead), come back with ``_in`` added.
     """
+    messages = set_aside(messages, ["own_text", "n_quoted", "n_linked", "reply_to", "thread", "depth", "__c", "__t", "__to", "__n", "__root", "__depth"])
     whole = F.coalesce(F.col(text), F.lit(""))
     named = messages.select(F.col(conversation).alias("c"), F.col(turn).alias("t"), passages(whole).alias("p")).filter(F.col("c").isNotNull() & F.col("t").isNotNull())
     each = cut(named.select("c", "t", F.explode("p").alias("p")).select("c", "t", (F.col("p.level") > 0).alias("quoted"), F.xxhash64(_normal(F.col("p.passage"))).alias("h"), F.hash(_normal(F.col("p.passage"))).alias("g")))
@@ -79,20 +82,18 @@ def linked(messages: DataFrame, conversation: str = "conv_id", turn: str = "turn
         if ahead.filter(F.col("t2").isNotNull()).isEmpty():
             break
         up = cut(ahead.select("c", "t", F.coalesce("root2", "root").alias("root"), (F.col("depth") + F.coalesce("depth2", F.lit(0))).alias("depth")))
-    known = replies.join(up, ["c", "t"]).select(F.col("c").alias("__c"), F.col("t").alias("__t"), F.col("to").alias("__to"), "n_linked", "root", "depth")
-    taken = {"own_text", "n_quoted", "n_linked", "reply_to", "thread", "depth"}
-    df = messages.select(*[x for x in messages.columns if x not in taken])
-    df = df.join(known, (F.col(conversation) == F.col("__c")) & (F.col(turn) == F.col("__t")), "left")
+    known = replies.join(up, ["c", "t"]).select(F.col("c").alias("__c"), F.col("t").alias("__t"), F.col("to").alias("__to"), F.col("n_linked").alias("__n"), F.col("root").alias("__root"), F.col("depth").alias("__depth"))
+    df = messages.join(known, (F.col(conversation) == F.col("__c")) & (F.col(turn) == F.col("__t")), "left")
     quoted = F.size(F.filter(passages(F.coalesce(F.col(text), F.lit(""))), lambda p: p["level"] > 0)).cast("bigint")
     added = {
         "own_text": unquoted(F.coalesce(F.col(text), F.lit(""))),
         "n_quoted": quoted,
-        "n_linked": F.coalesce("n_linked", F.lit(0)).cast("bigint"),
+        "n_linked": F.coalesce("__n", F.lit(0)).cast("bigint"),
         "reply_to": F.col("__to"),
-        "thread": F.coalesce("root", F.col(turn)),
-        "depth": F.coalesce("depth", F.lit(0)).cast("bigint"),
+        "thread": F.coalesce("__root", F.col(turn)),
+        "depth": F.coalesce("__depth", F.lit(0)).cast("bigint"),
     }
-    return df.select(*[x for x in df.columns if x not in {"__c", "__t", "__to", "n_linked", "root", "depth"}], *[v.alias(k) for k, v in added.items()])
+    return df.select(*[F.col(f"`{x}`") for x in messages.columns], *[v.alias(k) for k, v in added.items()])
 
 
 def in_reply_order(found: DataFrame, conversation: str = "conv_id", turn: str = "turn") -> DataFrame:

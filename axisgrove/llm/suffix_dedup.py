@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from axisgrove.llm.anchors import runs
-from axisgrove.llm.common import cut, table
+from axisgrove.llm.common import cut, keeping, release, table
 from axisgrove.llm.packing import bit_filter, whole_groups, within
 from axisgrove.llm.words import mix64, multipliers, slices, text_bytes
 
@@ -340,13 +340,14 @@ def _merged(spans: list[dict], size: int, length: int) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
+@keeping
 def without_repeats(docs: DataFrame, keep: list[str], doc_id: str = "doc_id", text: str = "text", length: int = LENGTH) -> DataFrame:
     """``keep``, n_bytes, removed array<struct<start,stop>> (byte spans, merged) and kept (the bytes left).
 
     A null text is empty; null ids come after all others; equal rows are one document, which
     does not repeat itself, and are judged alike; documents that share an id but not the
-    text are ordered by a hash of it; texts shorter than ``length`` keep all; an empty table
-    gives no rows.
+    text are ordered by a hash of it; texts shorter than ``length`` keep all, longer ones are taken
+    whole; an empty table gives no rows. A kept column that has the name of a result comes back with ``_in`` added.
     """
     named = docs.withColumns({**_identity(text), "__doc": F.coalesce(F.col(doc_id).cast("bigint"), F.lit(_LAST))})
     # Exact copies of a whole text are known without looking into it, where their list is small enough to send along.

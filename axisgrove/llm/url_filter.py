@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from axisgrove.llm.common import table
+from axisgrove.llm.common import keeping, table
 
 #: Rule (host and path) to verdict.
 RULES = {"net/": "block", "example.net/en/": "allow", "example.com/de/": "block", "org/fr/": "allow"}
@@ -199,11 +199,13 @@ def default_model() -> UrlModel:
     return UrlModel([*labelled_urls(), ("", False), (None, False)])
 
 
+@keeping
 def judge_urls(pages: DataFrame, keep: tuple[str, ...] = ("page_id",), url: str = "url", rules: dict[str, str] | None = None, model: UrlModel | None = None, threshold: float = 0.5) -> DataFrame:
     """``keep``, host, path, rule, verdict and score (the trees' probability of unwanted).
 
     Null and malformed URLs have an empty host and path, fit no rule and are judged by the
-    trees. Repeated rows are judged alike; an empty table gives no rows.
+    trees. Repeated rows are judged alike, URLs of any length whole; an empty table gives no rows.
+    A kept column that has the name of a result comes back with ``_in`` added.
     """
     rules, model = RULES if rules is None else rules, model or default_model()
     fields = pages.select(*keep, url)

@@ -239,6 +239,40 @@ def test_added_spans_against_a_plain_version(spark):
     assert {"secret", "phone", "email"} <= kinds
 
 
+CLASHES = ["size", "source_size", "target", "copies", "taken", "n_words", "_host", "hits", "items", "base", "spans", "host", "path", "rule", "node", "key", "prefix", "n_shingles", "group", "lines", "shard", "text_crc32", "n_bytes", "removed", "kept", "own_text", "thread", "depth", "root", "n_linked", "main_text", "__x", "__t"]
+
+
+def test_columns_of_any_name_pass_through(spark, docs, rows):
+    """Every operator with kept columns named like its results and inner columns: no crash, nothing dropped, and the same results."""
+    named = docs.filter("doc_id IS NOT NULL").withColumns({c: F.concat(F.lit(c + ":"), F.col("doc_id")) for c in CLASHES})
+    items = spark.createDataFrame([(0, rows[3][1])], "item_id long, text string")
+    keep = ["doc_id", *CLASHES]
+    pages = named.withColumns({"url": F.lit("http://a.net/x"), "html": F.lit("<p>one two</p>")})
+    runs = {
+        "sizes": lambda d, k: mixing.with_sizes(d, keep=tuple([*k, "source"])),
+        "rules": lambda d, k: line_rules.judged(d, k),
+        "benchmark": lambda d, k: decontaminate.contaminated_words(d, items, k),
+        "spans": lambda d, k: personal_data.personal_data(d, k),
+        "urls": lambda d, k: url_filter.judge_urls(pages if len(k) > 1 else pages.drop(*CLASHES), tuple(k)),
+        "html": lambda d, k: html_text.extract(pages if len(k) > 1 else pages.drop(*CLASHES), tuple(k)),
+        "groups": lambda d, k: jaccard_join.similar_groups(d, k),
+        "repeats": lambda d, k: suffix_dedup.without_repeats(d, k),
+        "shards": lambda d, k: kd_sharding.kd_shards(d, 2, keep=tuple(k))[0],
+        "sharded": lambda d, k: kd_sharding.with_shard(d, kd_sharding.kd_shards(d, 2, keep=tuple(k))[1]),
+        "mix": lambda d, k: mixing.pareto_mix(mixing.with_sizes(d, keep=tuple([*k, "source"]))),
+        "quotes": lambda d, k: quotations.linked(d.withColumns({"conv_id": F.lit(1).cast("bigint"), "turn": F.col("doc_id")})),
+    }
+    for name, run in runs.items():
+        plain, found = run(named.drop(*CLASHES), ["doc_id"]), run(named, keep)
+        results = [c for c in plain.columns if c != "doc_id"]
+        assert set(plain.columns) <= set(found.columns), name
+        both = [sorted(map(repr, df.select("doc_id", *results).collect())) for df in (found, plain)]
+        assert both[0] == both[1], name
+        for c in CLASHES if name not in ("mix", "quotes") else [x for x in CLASHES if not x.startswith("__")]:
+            back = next(x for x in (c, c + "_in", c + "_in_in") if x in found.columns and x not in results)
+            assert all(r[0] == f"{c}:{r[1]}" for r in found.select(f"`{back}`", "doc_id").collect()), (name, c)
+
+
 def test_reliabilities_find_the_better_labeler():
     counts = {("name", (1, 1, 1, 0)): 80, ("name", (1, 1, 0, 0)): 60, ("name", (-1, -1, 0, -1)): 90, ("name", (-1, -1, 1, 0)): 40, ("name", (1, -1, 0, -1)): 5}
     odds, likely = personal_data.reliabilities(counts)
