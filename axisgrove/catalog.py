@@ -5,10 +5,12 @@ from __future__ import annotations
 import math
 import uuid
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from axisgrove import comparison
 from axisgrove.baselines import FullRebuildTree, LogForest, SequentialTree, ZOrderTree, brute_count, brute_knn, brute_range
 from axisgrove.baselines.full_rebuild import exact_root_median
 from axisgrove.functions.geometry import box_union, dist2, nearest
@@ -396,6 +398,42 @@ def _baselines() -> None:
         return spark.createDataFrame(list(sizes.items()), "slot int, size bigint")
 
 
+# --- all designs side by side ---------------------------------------------------------
+
+
+def _comparison() -> None:
+    labels = list(comparison.designs(PARAMS.shard_rows))
+    listed = f"(SELECT unnest([{', '.join(repr(x) for x in labels)}]) AS design)"
+    for name in ("o2", "e3", "l5", "l9", "l2d"):
+        d = dimensions(name)
+        left = f"SELECT * FROM ({point_sql(name)}) WHERE point_id % 100 <> 5"
+
+        def together(ask, spark, sf_dir, name=name):
+            pts = cut(points(spark, sf_dir, name))
+            parts = [ask(comparison.updated(make, pts), pts).withColumn("design", F.lit(label)) for label, make in comparison.designs(PARAMS.shard_rows).items()]
+            return reduce(DataFrame.unionByName, parts)
+
+        query(f"designs_range_count_{name}", f"SELECT design, query_id, cnt FROM {listed}, ({count_sql(left, box_sql(name), d)})")(lambda spark, sf_dir, name=name, together=together: together(lambda tree, pts: tree.range_count(boxes_around(pts.filter("point_id % 500 = 7"), HALF[name])), spark, sf_dir))
+        query(f"designs_knn10_{name}", f"SELECT design, query_id, rank, point_id, dist2 FROM {listed}, ({knn_sql(left, asked_sql(name, PERCENT), d, 10)})")(lambda spark, sf_dir, together=together: together(lambda tree, pts: tree.knn(as_queries(pts.filter(PERCENT)), 10), spark, sf_dir))
+
+    @query("design_ratios_e3")
+    def design_ratios(spark, sf_dir):
+        """Seconds of every design and operation, and their ratios to the weight-balanced tree."""
+        pts = points(spark, sf_dir, "e3")
+        rows = comparison.ratios(comparison.measured(pts, as_queries(pts.filter(PERCENT)), boxes_of(spark, sf_dir, "e3"), PARAMS.shard_rows))
+        return spark.createDataFrame([(r["design"], r["operation"], r["seconds"], r["ratio"]) for r in rows], "design string, operation string, seconds double, ratio double")
+
+    query("balance_study")(lambda spark, sf_dir: comparison.balance_study(spark))
+
+    @query("balance_study_order", "SELECT unnest(['uniform', 'uniform then walk', 'walk']) AS stream, true AS work_falls, true AS height_rises")
+    def balance_study_order(spark, sf_dir):
+        """Whether from the least to the greatest slack rebuilt points become fewer and the tree not lower, by stream."""
+        found = comparison.balance_study(spark, slacks=(0.01, 0.1, 0.5), n=6000, batches=60)
+        at = lambda c, a: F.max(F.when(F.col("slack") == a, F.col(c)))
+        falls = (at("rebuild_ratio", 0.01) > at("rebuild_ratio", 0.1)) & (at("rebuild_ratio", 0.1) > at("rebuild_ratio", 0.5))
+        return found.groupBy("stream").agg(falls.alias("work_falls"), (at("height", 0.01) <= at("height", 0.5)).alias("height_rises"))
+
+
 # --- measures (no SQL twin: they count what the engine does) -------------------------
 
 
@@ -656,5 +694,5 @@ def _operators() -> None:
         return held.tree.range_count(box)
 
 
-for _part in (_construction, _searches, _updates, _windows, _baselines, _measures, _operators):
+for _part in (_construction, _searches, _updates, _windows, _baselines, _comparison, _measures, _operators):
     _part()
