@@ -155,11 +155,13 @@ def sketches(docs: DataFrame, keep: list[str], text: str, width: int, percent: i
 
 
 def _shared_heads(nodes: DataFrame, percent: int) -> DataFrame:
-    """(shingle, node, n, leads) of the prefix shingles that more than one node holds, and of few others.
+    """(shingle, node) of the leading shingles that more than one node holds, and of few others, for nodes
+    that have enough shared shingles in their prefix to be linked with any.
 
     First every slice packs, for each shingle, the least and the greatest node that holds
     it, so a shingle that very many nodes hold is two numbers a slice; where the two differ
-    over all slices, the shingle is shared. A bitmap of those then picks the rows.
+    over all slices, the shingle is shared. A bitmap of those then picks the rows, where a node's
+    whole prefix is at hand, so that nodes with too few go before anything is moved.
     """
     total = nodes.agg(F.sum(F.size("prefix"))).head()[0] or 0
     buckets = max(64, total // PACKED_ROWS)
@@ -206,14 +208,16 @@ def _shared_heads(nodes: DataFrame, percent: int) -> DataFrame:
         bits = np.frombuffer(held.value, dtype=np.uint8)
         for batch in batches:
             shingle, row = flat(batch)
-            keep = within(bits, shingle >> np.uint64(16))
             n = batch.column("n").to_numpy()
+            keep = within(bits, shingle >> np.uint64(16))
+            # The smaller of the m of a node and of the smallest partner it may have.
+            keep &= (np.bincount(row[keep], minlength=len(n)) >= shared_least(percent * n // 100))[row]
             place = np.arange(len(row)) - (batch.column("prefix").offsets.to_numpy()[:-1] - batch.column("prefix").offsets.to_numpy()[0])[row]
-            leads = (place < (n - (percent * n + 99) // 100 + 1)[row])[keep]
-            row = row[keep]
-            yield pa.RecordBatch.from_arrays([pa.array(shingle[keep].view(np.int64)), *[pa.array(batch.column(c).to_numpy()[row]) for c in ("node", "n")], pa.array(leads)], names=["shingle", "node", "n", "leads"])
+            # Linked nodes share one of the shingles that lead (m = 1), so the others need not be tried.
+            keep &= place < (n - (percent * n + 99) // 100 + 1)[row]
+            yield pa.RecordBatch.from_arrays([pa.array(shingle[keep].view(np.int64)), pa.array(batch.column("node").to_numpy()[row[keep]])], names=["shingle", "node"])
 
-    return nodes.mapInArrow(pick, "shingle bigint, node bigint, n bigint, leads boolean").distinct()
+    return nodes.mapInArrow(pick, "shingle bigint, node bigint").distinct()
 
 
 def _full_sets(docs: DataFrame, text: str, width: int, wanted: DataFrame) -> DataFrame:
@@ -414,17 +418,12 @@ def similar_groups(docs: DataFrame, keep: list[str], text: str = "text", width:
     often = frequent_shingles(docs, text, width)
     sketched = cut(sketches(docs, keep, text, width, percent, often))
     heads = cut(_shared_heads(sketched.filter("n_shingles > 0").select("node", F.col("n_shingles").alias("n"), "prefix"), percent))
-    shared = heads.groupBy("shingle").agg(F.min("node").alias("x"), F.max("node").alias("y")).filter("x < y").select("shingle")
-    # The smaller of the m of a node and of the smallest partner it may have.
-    need = 1 + F.floor(F.col("n") * percent / 100 / 20)
-    live = heads.join(shared, "shingle")
-    enough = live.groupBy("node", "n").agg(F.count("*").alias("found")).filter(F.col("found") >= need).select("node")
-    # Linked nodes share one of the shingles that lead (m = 1), so the others need not be tried.
-    live = cut(live.filter("leads").join(enough, "node", "left_semi").select("shingle", "node"))
-    met = live.groupBy("shingle").agg(F.min("node").alias("x"), F.max("node").alias("y")).filter("x < y").select("shingle")
-    meeting = live.join(met, "shingle", "left_semi").select("node").distinct()
+    sketched, before = cut(sketched.drop("prefix")), sketched
+    release(before)
+    met = heads.groupBy("shingle").agg(F.min("node").alias("x"), F.max("node").alias("y")).filter("x < y").select("shingle")
+    meeting = heads.join(met, "shingle", "left_semi").select("node").distinct()
     wanted = cut(sketched.join(meeting, "node", "left_semi").groupBy("node").agg(F.min("key").alias("key")).select("key"))
-    release(heads, live)
+    release(heads)
     sets = cut(_full_sets(docs, text, width, wanted))
     label = components(_links(sets, percent, tile_bytes)).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
     release(wanted, sets)

@@ -1,7 +1,9 @@
 """Removal of repeated byte strings by suffix sorting with difference covers, block by block.
 
 All strings of ``length`` bytes that also start earlier (in a document of smaller id, or
-earlier in the same one) are found exactly; what they cover is removed.
+earlier in the same one) are found; what they cover is removed. Strings in different surroundings are compared
+byte by byte in the sorting. Equal runs and whole copies are taken as equal by their hashes, of 128 bits
+for a run (its anchor and all its bytes) and 96 for a text, not byte by byte.
 
 A suffix array of the whole corpus is never held. Windows are dealt out by their anchor (see
 ``anchors``), which equal windows share, so that equal suffixes meet:
@@ -350,13 +352,10 @@ def without_repeats(docs: DataFrame, keep: list[str], doc_id: str = "doc_id", te
     whole; an empty table gives no rows. A kept column that has the name of a result comes back with ``_in`` added.
     """
     named = docs.withColumns({**_identity(text), "__doc": F.coalesce(F.col(doc_id).cast("bigint"), F.lit(_LAST))})
-    # Exact copies of a whole text are known without looking into it, where their list is small enough to send along.
+    # Exact copies of a whole text are known without looking into it; their list is sent along where it is short.
     twins = cut(named.groupBy("__x", "__y").agg(F.min("__doc").alias("__first"), F.max("__doc").alias("__last"), F.first(F.octet_length(text)).alias("size")).filter("__first < __last").select("__x", "__y", "__first"))
-    copied = named
-    if 0 < twins.count() <= BROADCAST_TEXTS:
-        copied = named.join(F.broadcast(twins), ["__x", "__y"], "left").withColumn("__copy", F.coalesce(F.col("__doc") > F.col("__first"), F.lit(False))).drop("__first")
-    else:
-        copied = named.withColumn("__copy", F.lit(False))
+    listed = F.broadcast(twins) if twins.count() <= BROADCAST_TEXTS else twins
+    copied = named.join(listed, ["__x", "__y"], "left").withColumn("__copy", F.coalesce(F.col("__doc") > F.col("__first"), F.lit(False))).drop("__first")
     own = copied.filter(~F.col("__copy") & (F.octet_length(text) >= length))
     total = docs.agg(F.sum(F.octet_length(text))).head()[0] or 0
     buckets = max(64, total // _BYTES_A_BUCKET)
@@ -374,6 +373,7 @@ def without_repeats(docs: DataFrame, keep: list[str], doc_id: str = "doc_id", te
     span = ["doc", "x", "y", "start", "n"]
     spans = candidates.filter("settled").select(*span).unionByName(judged.filter("repeats").select(*span)).unionByName(found)
     spans = cut(spans.groupBy(F.col("doc").alias("__d"), F.col("x").alias("__x1"), F.col("y").alias("__y1")).agg(F.collect_set(F.struct("start", "n")).alias("__spans")).withColumn("__many", F.size("__spans")))
+    release(candidates, judged, wanted)
     side = F.broadcast(spans) if (spans.agg(F.sum("__many")).head()[0] or 0) <= BROADCAST_SPANS else spans
     marked = copied.join(side.drop("__many"), (F.col("__doc") == F.col("__d")) & (F.col("__x") == F.col("__x1")) & (F.col("__y") == F.col("__y1")), "left")
 
