@@ -280,6 +280,54 @@ def test_reliabilities_find_the_better_labeler():
     assert odds["true"][0][1] > odds["false"][0][1]
 
 
+def plain_shards(rows, depth):
+    """doc_id to shard by sorting the rows of every node: weighted median of the widest measure, ties by checksum, then id."""
+    wide = {c: max(1, max(r[c] for r in rows) - min(r[c] for r in rows)) for c in kd_sharding.DIMENSIONS}
+
+    def divide(rows, at, level):
+        if level == depth or not rows:
+            return {r["doc_id"]: at for r in rows}
+        total = sum(r["size"] for r in rows)
+        spread = lambda c: (max(r[c] for r in rows) - min(r[c] for r in rows)) / wide[c]
+        column = max(kd_sharding.DIMENSIONS, key=lambda c: (spread(c), -kd_sharding.DIMENSIONS.index(c)))
+        goal, here, names, values, ahead = total / 2, rows, [], [], 0
+        while True:
+            before = 0
+            for v in sorted({r[column] for r in here}):
+                own = sum(r["size"] for r in here if r[column] == v)
+                if before + own >= goal - ahead or v == max(r[column] for r in here):
+                    break
+                before += own
+            lower, upper = ahead + before, ahead + before + own
+            names.append(column)
+            rest = [c for c in kd_sharding.TIES if c not in names]
+            if min(goal - lower, upper - goal) > kd_sharding.TOLERANCE * total and rest:
+                values.append(v)
+                here, ahead, column = [r for r in here if r[column] == v], lower, rest[0]
+                continue
+            values.append(v if upper - goal <= goal - lower else v - 1)
+            break
+        above = lambda r: tuple(r[c] for c in names) > tuple(values)
+        low, high = [r for r in rows if not above(r)], [r for r in rows if above(r)]
+        return divide(low, 2 * at, level + 1) | divide(high, 2 * at + 1, level + 1)
+
+    return {k: v - 2**depth for k, v in divide(rows, 1, 0).items()}
+
+
+@pytest.mark.parametrize("depth", [1, 3, 4])
+def test_kd_shards_against_sorting(spark, depth):
+    rng = random.Random(depth)
+    copy = "same " * 40
+    rows = [(i, copy if i % 5 == 0 else "\n".join(" ".join(rng.choice(["word", "é", "12", "x" * rng.randint(1, 30)]) for _ in range(rng.randint(0, 30))) for _ in range(rng.randint(1, 4)))) for i in range(300)] + [(300, None), (301, "")]
+    held, _ = kd_sharding.kd_shards(spark.createDataFrame(rows, "doc_id long, text string"), 2**depth)
+    measured = []
+    for i, t in rows:
+        t = t or ""
+        n = len(t.encode())
+        measured.append({"doc_id": i, "size": n + 1, "text_crc32": zlib.crc32(t.encode()), "beyond_ascii": n - len(t), "lines": t.count("\n") + 1, "spaces": t.count(" "), "digits": sum(c in "0123456789" for c in t)})
+    assert {r["doc_id"]: r["shard"] for r in held.collect()} == plain_shards(measured, depth)
+
+
 def test_kd_shards(docs, rows, empty):
     held, tree = kd_sharding.kd_shards(docs, 4)
     got = kd_sharding.with_slots(held).collect()

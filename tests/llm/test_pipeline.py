@@ -96,3 +96,21 @@ def test_mix_and_shards_lose_nothing(spark):
     assert abs(sum(target.values()) - 1.5 * sum(size.values())) <= biggest * len(size)
     run = corpus_pipeline.run(spark, SF)
     assert collections.Counter(map(repr, map(tuple, run.collect()))) == collections.Counter(map(repr, map(tuple, docs.select(*run.columns).collect())))
+
+
+def test_pipeline_edges(spark, tmp_path):
+    """Nulls in every column, empty and long texts, repeated rows and ties go through all stages; an empty table stays empty."""
+    long = " ".join(f"w{i % 997}x{i % 89}" for i in range(30000))
+    plain = " ".join(f"word{i}" for i in range(60))
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    rows = [(None, None, None, None, None), (1, None, "en", "a", 0), (2, "", "en", None, 0), (3, long, None, "a", None), (4, plain, "en", "a", 1), (4, plain, "en", "a", 1), (5, plain, "en", "b", 1), (None, plain + " more", None, None, None), (6, "few words", "en", "b", 1)]
+    docs = spark.createDataFrame(rows, schema)
+    (spark.createDataFrame([(1, " ".join(f"other{i}" for i in range(20))), (2, None)], "item_id long, text string")).write.parquet(f"{tmp_path}/benchmark.parquet")
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    got = corpus_pipeline.run(spark, str(tmp_path)).collect()
+    # Only the long text and one of the copies are left; each is taken at most twice.
+    assert {r["text"] for r in got} <= {long, plain} and all(0 <= r["shard"] < 16 for r in got)
+    taken = docs.filter("false")
+    for name, stage in corpus_pipeline.STAGES:
+        taken = stage(spark, taken, str(tmp_path))
+        assert taken.count() == 0, name
