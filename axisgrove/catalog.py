@@ -136,10 +136,12 @@ def _construction() -> None:
     def one_dim_order_o1(spark, sf_dir):
         tree = tree_of(spark, sf_dir, "o1")
         ends = tree.nodes().filter("shard_id >= 0 AND kind <> 'interior'").select("shard_id", "number", F.col("box_low")[0].alias("a"), F.col("box_high")[0].alias("b"), "size")
-        place = {s: i for i, s in enumerate(s for e in tree.top.ends() for s in tree.top.shards[e])}
-        at = F.create_map(*[x for s, i in place.items() for x in (F.lit(s).cast("bigint"), F.lit(i))])[F.col("shard_id")]
-        before = F.lag("b").over(Window.orderBy(at, "number"))
-        return ends.withColumn("before", before).agg(F.sum("size").alias("points"), F.count_if(F.col("a") < F.col("before")).alias("out_of_order"))
+        # Within a shard leaf by leaf; between shards, one row each, in the order of the top tier.
+        inner = ends.withColumn("before", F.lag("b").over(Window.partitionBy("shard_id").orderBy("number")))
+        inner = inner.groupBy("shard_id").agg(F.sum("size").alias("n"), F.count_if(F.col("a") < F.col("before")).alias("wrong"), F.min("a").alias("a"), F.max("b").alias("b"))
+        place = spark.createDataFrame([(s, i) for i, s in enumerate(s for e in tree.top.ends() for s in tree.top.shards[e])], "shard_id bigint, place bigint")
+        outer = inner.join(place, "shard_id").withColumn("before", F.lag("b").over(Window.orderBy("place")))
+        return outer.agg(F.sum("n").alias("points"), (F.sum("wrong") + F.count_if(F.col("a") < F.col("before"))).alias("out_of_order"))
 
     @query("heavy_leaf_l2d", f"SELECT c0, c1, count(*) AS multiplicity FROM ({point_sql('l2d')}) GROUP BY c0, c1")
     def heavy_leaf_l2d(spark, sf_dir):

@@ -38,11 +38,16 @@ def sieve_offsets(points: DataFrame, skeleton: Skeleton, chunk: Column | None =
     """
     held = with_bucket(points, skeleton).withColumn("chunk", (chunk if chunk is not None else F.spark_partition_id()).cast("bigint"))
     counts = held.groupBy("chunk", "bucket").agg(F.count("*").alias("n"))
-    buckets = points.sparkSession.range(skeleton.buckets).withColumnRenamed("id", "bucket")
-    grid = counts.select("chunk").distinct().join(F.broadcast(buckets), F.lit(True))
+    kind = counts.schema["bucket"].dataType
+    grid = counts.select("chunk").distinct().withColumn("bucket", F.explode(F.sequence(F.lit(0).cast(kind), F.lit(skeleton.buckets - 1).cast(kind))))
     full = grid.join(counts, ["chunk", "bucket"], "left").withColumn("n", F.coalesce("n", F.lit(0)).cast("bigint"))
-    before = Window.orderBy("bucket", "chunk").rowsBetween(Window.unboundedPreceding, -1)
-    return full.withColumn("start", F.coalesce(F.sum("n").over(before), F.lit(0)).cast("bigint"))
+    # Running sums within each bucket, behind the totals of the buckets before: one row a bucket.
+    ahead = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    totals = counts.groupBy("bucket").agg(F.sum("n").alias("all"))
+    first = grid.select("bucket").distinct().join(totals, "bucket", "left").select("bucket", F.coalesce(F.sum("all").over(ahead), F.lit(0)).alias("first"))
+    before = Window.partitionBy("bucket").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
+    inner = full.withColumn("inner", F.coalesce(F.sum("n").over(before), F.lit(0)))
+    return inner.join(first, "bucket").select("chunk", "bucket", "n", (F.col("first") + F.col("inner")).cast("bigint").alias("start"))
 
 
 @dataclass
