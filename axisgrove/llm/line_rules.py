@@ -26,6 +26,8 @@ LEAST_DOCUMENTS, SHARE_PER_MILLE = 20, 20
 KEPT_TENTHS = 3
 #: Boilerplate lines, and texts that hold some, that are sent to every task; longer lists are joined by shuffling.
 BROADCAST_LINES, BROADCAST_TEXTS = 200_000, 100_000
+#: Hashes of boilerplate lines that such texts may hold together, to be sent: 8 bytes each.
+BROADCAST_HASHES = 1_000_000
 
 
 def let(value: Column, use) -> Column:
@@ -117,7 +119,8 @@ def judged(docs: DataFrame, keep: list[str], text: str = "text", host: str = "so
     """
     bad = boilerplate(docs, text, host).select(F.col("__host").alias("__bh"), F.col("__x").alias("__bx"), F.col("__y").alias("__by"), "removed", *([F.col("lines").alias("__bad")] if with_text else []))
     bad = cut(bad)
-    if bad.count() <= BROADCAST_TEXTS:
+    texts, hashes = bad.agg(F.count("*"), F.sum(F.size("__bad")) if with_text else F.lit(0)).head()
+    if texts <= BROADCAST_TEXTS and (hashes or 0) <= BROADCAST_HASHES:
         bad = F.broadcast(bad)
     base = base_rules(docs, [*keep, F.col(host).alias("_host"), *[c.alias(f"_id{i}") for i, c in enumerate(_identity(F.col(text)))], *([F.col(text).alias("_text")] if with_text else [])], text)
     df = base.join(bad, F.col("_host").eqNullSafe(F.col("__bh")) & (F.col("_id0") == F.col("__bx")) & (F.col("_id1") == F.col("__by")), "left")
