@@ -1,9 +1,10 @@
-"""Brute force without rows for all pairs."""
+"""Brute force and the lateral join without rows for all pairs."""
 
 import numpy as np
 import pandas as pd
 
 from axisgrove.baselines import brute_knn
+from axisgrove.operators import joins
 
 
 def _frame(spark, ids, pts):
@@ -27,3 +28,12 @@ def test_brute_knn_makes_no_row_for_a_pair(spark):
         assert "NestedLoop" not in got._jdf.queryExecution().toString() and "Cartesian" not in got._jdf.queryExecution().toString()
         assert sorted(map(tuple, got.collect())) == _expected(ids, pts, np.arange(n), pts[:n] + 0.5, k)
     assert brute_knn(points, points.filter("false").withColumnRenamed("point_id", "query_id"), 3).count() == 0
+
+def test_lateral_join_ranks_no_pairs(spark):
+    rng = np.random.default_rng(7)
+    ids, pts = np.arange(400), rng.integers(0, 30, (400, 1)).astype(float)
+    points = _frame(spark, ids, pts)
+    got = joins.knn_lateral(points.filter("point_id % 5 = 0"), points, 3)
+    assert "NestedLoop" not in got._jdf.queryExecution().toString() and "Cartesian" not in got._jdf.queryExecution().toString()
+    expected = [(q, i, d) for q, _, i, d in _expected(ids, pts, ids[::5], pts[::5], 3)]
+    assert sorted(map(tuple, got.collect())) == sorted(expected)
