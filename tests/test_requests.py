@@ -5,10 +5,11 @@ import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
-from axisgrove.baselines import LogForest
+from axisgrove.baselines import FullRebuildTree, LogForest
 from axisgrove.model import TreeParams, plain
 from axisgrove.operators import local, queries
 from axisgrove.operators.tree import KdTree
+from axisgrove.plans import storage
 
 
 def _cloud(rng, n):
@@ -36,7 +37,7 @@ def test_block_finds_what_the_walk_finds(monkeypatch, params):
     asked = np.concatenate([pts[:5], pts[2000:2200], rng.random((50, 3)) * [0.1, 1e5, 50]])
     passed = np.zeros((len(asked), 2), np.int64)
     walked = tree.knn(asked, 10, None, passed)
-    monkeypatch.setattr(local, "BLOCK", 1 << 62)
+    monkeypatch.setattr(local, "BLOCK", (1 << 12, 1 << 40))
     assert tree.boxes == params.store_boxes
     for bound in (None, walked[0][:, 4]):
         dist, who = tree.knn(asked, 10, bound)
@@ -60,3 +61,20 @@ def test_equal_requests_are_answered_once(spark, monkeypatch, make):
     low = boxes.fillna(-np.inf).orderBy("query_id").select("lo0", "lo1", "lo2").toPandas().to_numpy()
     assert sorted(map(tuple, tree.range_count(boxes).collect())) == [(i, int(((pts >= a) & (pts <= b)).all(axis=1).sum())) for i, (a, b) in enumerate(zip(low, high, strict=True))]
     assert seen and max(seen) <= 4
+
+
+def test_points_are_not_moved_to_meet_a_small_batch(spark, monkeypatch):
+    rng = np.random.default_rng(33)
+    frame = _frame(spark, "point_id", _cloud(rng, 2000))
+    batch = frame.filter("point_id % 7 = 0").withColumn("c1", F.when(F.col("point_id") % 2 == 0, F.col("c1")).otherwise(-1.0))
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        for most, hint in ((storage.BATCH_BYTES, True), (0, False)):
+            monkeypatch.setattr(storage, "BATCH_BYTES", most)
+            joined = frame.join(storage.few(batch), ["point_id", "c0", "c1", "c2"], "left_anti")
+            assert ("BroadcastHashJoin" in joined._jdf.queryExecution().executedPlan().toString()) == hint
+            for made in (FullRebuildTree(frame, plain(shard_rows=300)).delete(batch), LogForest(frame, plain(shard_rows=300), base=256).delete(batch)):
+                assert sorted(r[0] for r in made.points().select("point_id").collect()) == [i for i in range(2000) if i % 14]
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
