@@ -48,6 +48,15 @@ def with_sizes(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("do
     return fields.mapInArrow(count, schema)
 
 
+def word_count(text: Column) -> Column:
+    """The number of words between ASCII white space (null or empty: 0), counted by the JVM: no text goes through Python.
+
+    Every word becomes one letter with the white space after it; only white space ahead of the first can be left.
+    """
+    letters = F.regexp_replace(text, r"[^\x20\x09-\x0D]++[\x20\x09-\x0D]*+", "x")
+    return F.coalesce(F.length(F.ltrim(letters, F.lit(" \t\n\v\f\r"))), F.lit(0)).cast("bigint")
+
+
 def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = SHARE, most: int = MOST) -> DataFrame:
     """source, source_size, target: words to take from each source.
 
@@ -98,7 +107,8 @@ def pareto_mix(sized: DataFrame, weights=WEIGHTS, share: float = SHARE, most: in
     w = F.col(importance).cast("double") if importance else F.lit(1.0)
     totals = sized.groupBy("source").agg(F.sum("size").alias("source_size"), F.sum(F.col("size") * w).alias("__mass"))
     goal = targets(totals.select("source", "source_size"), weights, share, most).join(totals.select(F.col("source").alias("__s"), "__mass"), F.col("source").eqNullSafe(F.col("__s"))).drop("__s")
-    # One row a source: small enough to send along for any list of sources that has names; Spark checks the size.
+    # One row a source, as a table of known size: it is sent along where it is small; else all documents would be moved to meet it.
+    goal = cut(goal)
     docs = sized.join(goal.withColumnRenamed("source", "__source"), F.col("source").eqNullSafe(F.col("__source")), "left").drop("__source")
     rate = F.when(F.col("source_size") > 0, F.col("target") / (F.col("__mass") if importance else F.col("source_size"))).otherwise(F.lit(0.0))
     docs = docs.withColumn("__expected", F.least(rate * w, F.lit(float(most))))
@@ -112,7 +122,7 @@ def pareto_mix(sized: DataFrame, weights=WEIGHTS, share: float = SHARE, most: in
     cells = cells.select(F.col("source").alias("__source"), F.col("__cell").alias("__c"), "__words", F.coalesce(F.sum("__words").over(run), F.lit(0)).alias("__before"), lacking)
     # Only a document in the cell where the target is reached must be ordered.
     over = F.col("__c").isNotNull() & (F.col("__before") + F.col("__words") > F.col("__lacking"))
-    reached = cells.groupBy("__source").agg(F.min(F.when(over, F.struct("__c", "__before"))).alias("__edge"), F.first("__lacking").alias("__lacking"))
+    reached = cut(cells.groupBy("__source").agg(F.min(F.when(over, F.struct("__c", "__before"))).alias("__edge"), F.first("__lacking").alias("__lacking")))
     docs = docs.join(reached, F.col("source").eqNullSafe(F.col("__source")), "left")
     edge_cell = F.col("__edge").getField("__c")
     docs = docs.withColumn("__some", F.coalesce(F.col("__cell") == edge_cell, F.lit(False)))

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from axisgrove.llm import decontaminate, jaccard_join, kd_sharding, line_rules, mixing
-from axisgrove.llm.common import table
+from axisgrove.llm.common import cut, table
 
 #: Columns that every stage but the last returns.
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
@@ -36,8 +36,8 @@ def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every document as often as the mix takes it."""
-    sized = mixing.with_sizes(docs.withColumn("__t", F.col("text")), "__t", keep=tuple(COLUMNS))
+    """Every document as often as the mix takes it. Texts are counted once, and stay in the JVM."""
+    sized = cut(docs.select(*COLUMNS).withColumn("size", mixing.word_count(F.col("text"))))
     taken = mixing.pareto_mix(sized).filter("copies > 0")
     return taken.withColumn("__copy", F.explode(F.sequence(F.lit(1).cast("bigint"), "copies"))).select(*COLUMNS)
 

@@ -98,6 +98,24 @@ def test_mix_and_shards_lose_nothing(spark):
     assert collections.Counter(map(repr, map(tuple, run.collect()))) == collections.Counter(map(repr, map(tuple, docs.select(*run.columns).collect())))
 
 
+def test_mix_moves_no_text(spark, monkeypatch):
+    """No text goes through Python or is moved to meet what its source lacks, and words are counted as in ``with_sizes``."""
+    texts = [None, "", " ", "\n\t a", "a", "a ", " a  b\x0b\x0cc\r\n", "ä\u00a0b \u3000c 😀 d", "x\x1cy\x85z", " " * 5000, "x " * 5000]
+    docs = spark.createDataFrame([(i, t, "en", f"s{i % 3}", 0) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
+    plain = {r["doc_id"]: r["size"] for r in corpus_pipeline.mixing.with_sizes(docs).collect()}
+    assert {r["doc_id"]: r["n"] for r in docs.select("doc_id", corpus_pipeline.mixing.word_count(F.col("text")).alias("n")).collect()} == plain
+    counted = []
+    monkeypatch.setattr(corpus_pipeline.mixing, "with_sizes", lambda *a, **b: counted.append(a))
+    held = spark.range(4000).selectExpr("id AS doc_id", "array_join(transform(sequence(1, 20), i -> md5(concat(id, '-', i))), ' ') AS text", "'en' AS lang", "concat('s', id % 3) AS source", "id AS n_chars")
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "256k")
+    try:
+        plan = corpus_pipeline.mixed(spark, held, SF)._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+    assert not counted and "InArrow" not in plan and "SortMergeJoin" not in plan
+
+
 def test_pipeline_edges(spark, tmp_path):
     """Nulls in every column, empty and long texts, repeated rows and ties go through all stages; an empty table stays empty."""
     long = " ".join(f"w{i % 997}x{i % 89}" for i in range(30000))
