@@ -230,3 +230,19 @@ def test_real_data_workload_covers_the_survey(spark, monkeypatch):
     rows = list(workloads.w8(spark, SF))
     sets = {"R1 v10", "R2 l2d", "R2 v7", "R3 v16", "R4 l3", "R5 l5", "R5 e3", "R6 o2"}
     assert {(r["parameter"], r["operation"]) for r in rows} == {(s, o) for s in sets for o in ("build", "1-nn of all points", "10-nn of all points", "range report")}
+
+
+def test_shards_are_asked_for_by_runs(spark):
+    """Shards next to each other are named by their ends, so no plan holds a literal for each; the same shards are found."""
+    from axisgrove.plans.storage import among
+
+    rng = np.random.default_rng(5)
+    for some in ([], [4], [-3, -2, 7], list(range(40)), [*range(10, 30), 50, 52, *range(60, 75)], rng.choice(400, 150, replace=False).tolist()):
+        found = spark.range(-5, 400).filter(among("id", some))
+        assert sorted(r[0] for r in found.collect()) == sorted(some)
+    pts = spark.range(6000).selectExpr("id AS point_id", "CAST(id AS DOUBLE) AS c0", "CAST(id * 7 % 6000 AS DOUBLE) AS c1")
+    tree = KdTree.build(pts, TreeParams(shard_rows=64))
+    assert len(tree.segments.held) > 60
+    read = tree.segments.read(set(tree.segments.held))
+    assert read.select("shard_id").distinct().count() == len(tree.segments.held)
+    assert len(read._jdf.queryExecution().optimizedPlan().toJSON().split("catalyst.expressions.Literal")) < 10
