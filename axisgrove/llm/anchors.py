@@ -58,32 +58,59 @@ def _sliding_min(x: np.ndarray, width: int) -> np.ndarray:
     return out
 
 
-def runs(data: np.ndarray, length: int, surroundings: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(first window, windows, anchor hash, hash of all bytes of the run and the anchor's place in it).
+#: Bytes of short texts that are looked at together.
+CHUNK = 1 << 16
 
-    ``data`` is the bytes of one text. Without ``surroundings`` the last is left out (zeros).
-    """
-    empty = np.zeros(0, dtype=np.int64)
-    if len(data) < length:
-        return empty, empty, empty.astype(np.uint64), empty.astype(np.uint64)
+
+def _runs_of_chunk(data: np.ndarray, offsets: np.ndarray, length: int, surroundings: bool):
     hashes = gram_hashes(data)
     reach = length - GRAM + 1
-    starts, places = [], []
+    total = len(data) - length + 1
+    heads = np.zeros(total, dtype=bool)
+    heads[0] = True
+    anchored = np.empty(total, dtype=np.int64)
     block = int(_PLACE) - reach
-    for at in range(0, len(hashes) - reach + 1, block):  # places fit into the low bits of a key
+    for at in range(0, total, block):  # places fit into the low bits of a key
         part = hashes[at : at + block + reach - 1]
         keys = (part & ~_PLACE) | np.arange(len(part), dtype=np.uint64)
-        place = (_sliding_min(keys, reach) & _PLACE).astype(np.int64) + at
-        starts.append(np.flatnonzero(np.concatenate([[True], place[1:] != place[:-1]])) + at)
-        places.append(place[starts[-1] - at])
-    start, place = np.concatenate(starts), np.concatenate(places)
-    total = len(data) - length + 1
+        anchored[at : at + block] = (_sliding_min(keys, reach) & _PLACE).astype(np.int64) + at
+    heads[1:] = anchored[1:] != anchored[:-1]
+    # A run ends with the last window of its text; those that reach into the next text are left out.
+    for edge in offsets[:-1], np.maximum(offsets[:-1], offsets[1:] - length + 1):
+        heads[edge[edge < total]] = True
+    start = np.flatnonzero(heads)
     count = np.diff(np.append(start, total))
-    if not surroundings:
-        return start, count, hashes[place], np.zeros(len(start), np.uint64)
-    with np.errstate(over="ignore"):
-        power, back = powers(len(hashes) + 1)
-        sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(hashes * power[:-1])])
-        span = (sums[start + count - 1 + reach] - sums[start]) * back[start]
-        whole = mix64(span + mix64((place - start).astype(np.uint64) * np.uint64(1 << 32) + count.astype(np.uint64)))
-    return start, count, hashes[place], whole
+    text = np.searchsorted(offsets, start, side="right") - 1
+    inside = np.flatnonzero(start <= offsets[text + 1] - length)
+    start, count, text = start[inside], count[inside], text[inside]
+    place = anchored[start]
+    whole = np.zeros(len(start), np.uint64)
+    if surroundings and len(start):
+        with np.errstate(over="ignore"):
+            power, back = powers(len(hashes) + 1)
+            sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(hashes * power[:-1])])
+            span = (sums[start + count - 1 + reach] - sums[start]) * back[start]
+            whole = mix64(span + mix64((place - start).astype(np.uint64) * np.uint64(1 << 32) + count.astype(np.uint64)))
+    return text, start - offsets[text], count, hashes[place], whole, place - start
+
+
+def runs_of_texts(data: np.ndarray, offsets: np.ndarray, length: int, surroundings: bool = True) -> tuple[np.ndarray, ...]:
+    """(text, first window, windows, anchor hash, hash of all bytes of the run and the anchor's place in it, that place).
+
+    ``data`` is the bytes of texts one after the other, text i being ``data[offsets[i] : offsets[i + 1]]``. Short texts are
+    looked at many at a time. Without ``surroundings`` the hash of the bytes is left out (zeros).
+    """
+    found, at = [], 0
+    while at < len(offsets) - 1:
+        stop = max(at + 1, int(np.searchsorted(offsets, offsets[at] + CHUNK, side="right")) - 1)
+        if offsets[stop] - offsets[at] >= length:
+            text, *rest = _runs_of_chunk(data[offsets[at] : offsets[stop]], offsets[at : stop + 1] - offsets[at], length, surroundings)
+            found.append((text + at, *rest))
+        at = stop
+    kinds = (np.int64, np.int64, np.int64, np.uint64, np.uint64, np.int64)
+    return tuple(np.concatenate([*(f[k] for f in found), np.zeros(0, kind)]) for k, kind in enumerate(kinds))
+
+
+def runs(data: np.ndarray, length: int, surroundings: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(first window, windows, anchor hash, hash of the run's bytes) of one text, as of many (``runs_of_texts``)."""
+    return runs_of_texts(data, np.array([0, len(data)]), length, surroundings)[1:5]

@@ -5,8 +5,9 @@ import pyarrow as pa
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from axisgrove.llm.anchors import runs
-from axisgrove.llm.suffix_dedup import repeated_windows
+from axisgrove.llm import anchors
+from axisgrove.llm.anchors import runs, runs_of_texts
+from axisgrove.llm.suffix_dedup import _trimmed, repeated_windows
 from axisgrove.llm.words import ALNUM, SPACED, Words, shingle_hashes, slices
 
 texts = st.lists(st.one_of(st.none(), st.text(alphabet="ab C\t\n1é😀-", max_size=30)), max_size=6)
@@ -65,3 +66,32 @@ def test_suffix_classes_like_brute_force(values, length, bucket):
     for i in places.tolist():
         expected.setdefault(text[i : i + length], []).append(i)
     assert sorted(got) == sorted(tuple(v) for v in expected.values() if len(v) > 1)
+
+
+def test_runs_of_many_texts_like_one_by_one(monkeypatch):
+    rng = np.random.default_rng(4)
+    texts = [bytes(rng.integers(97, 101, n).astype(np.uint8)) for n in (0, 150, 99, 100, 101, 700, 5, 0, 3000, 100)]
+    expected = [(i, *row) for i, t in enumerate(texts) for row in zip(*(v.tolist() for v in runs(np.frombuffer(t, np.uint8), 100)), strict=True)]
+    offsets = np.cumsum([0, *map(len, texts)])
+    for chunk in 1, 400, 1 << 16:
+        monkeypatch.setattr(anchors, "CHUNK", chunk)
+        got = runs_of_texts(np.frombuffer(b"".join(texts), np.uint8), offsets, 100)
+        assert list(zip(*(v.tolist() for v in got[:5]), strict=True)) == expected
+
+
+def test_segments_without_a_half_in_common_are_not_sorted():
+    rng = np.random.default_rng(6)
+    for length in 30, 100:
+        texts = [bytes(rng.integers(97, 123, 150).astype(np.uint8)) for _ in range(4)]
+        texts += [texts[0][:90] + texts[1][90:], texts[2][:40] + texts[0][40:110] + texts[3][110:], texts[1][20:60] + texts[3]]
+        data = np.frombuffer(b"".join(texts) + bytes(64 + length), np.uint8)
+        offsets = np.cumsum([0, *map(len, texts)])
+        owner, start, n, anchor, _, place = runs_of_texts(data[: offsets[-1]], offsets, length)
+        base = offsets[owner] + start
+        first, stop = _trimmed(data, base, n, place, anchor.view(np.int64), length)
+        windows = lambda a, b: [bytes(data[s + i : s + i + length]) for s, x, y in zip(base, a, b, strict=True) for i in range(x, y)]
+        everything, left = windows(0 * n, n), windows(first, stop)
+        assert {w for w in everything if everything.count(w) > 1} <= set(left)
+        assert all(everything.count(w) == left.count(w) for w in set(left) if everything.count(w) > 1)
+        if length == 100:
+            assert 0 < len(left) < len(everything) // 2
