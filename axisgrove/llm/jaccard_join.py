@@ -331,6 +331,43 @@ def joined_tiles(rows: DataFrame, percent: int) -> DataFrame:
     return rows.select("tile", "node", "n", "group", "half", "shingles", "signature").repartition("tile").sortWithinPartitions("tile").mapInArrow(work, "a bigint, b bigint")
 
 
+def _rows_of_use(rows: DataFrame, percent: int) -> DataFrame:
+    """(tile, node, n, group, half): of each tile the rows that their signatures allow to be linked with a row of another
+    group there, and of the other half where both are there; tiles that are left with the same rows are one.
+
+    Only signatures travel for this, a small part of the sets, which ``joined_tiles`` then needs for few rows.
+    """
+
+    def work(batches):
+        for held in whole_groups(batches, "tile"):
+            tile, node, n, group, half = (held.column(c).to_numpy() for c in ("tile", "node", "n", "group", "half"))
+            first = np.concatenate([[True], tile[1:] != tile[:-1]])
+            heads = np.flatnonzero(first)
+            which = np.cumsum(first) - 1
+            sided = (np.minimum.reduceat(half, heads) != np.maximum.reduceat(half, heads))[which]
+            behind = np.arange(len(tile)) - heads[which]
+            signatures = _Signatures(held.column("signature").to_pylist())
+            keep, i, back = np.zeros(len(tile), dtype=bool), np.flatnonzero(behind > 0), 1
+            while len(i):
+                j = i - back  # sorted by size, so j is not the larger one
+                a = i[(100 * n[j] >= percent * n[i]) & (group[i] != group[j]) & (~sided[i] | (half[i] != half[j]))]
+                total = n[a] + n[a - back]
+                a = a[(100 + percent) * ((total - signatures.differing(a, a - back)) // 2) >= percent * total]
+                keep[a] = keep[a - back] = True
+                back += 1
+                i = i[behind[i] >= back]
+            kept = np.flatnonzero(keep)
+            with np.errstate(over="ignore"):
+                name = mix64(mix64(node[kept].view(np.uint64)) + half[kept].astype(np.uint64))
+                sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(name)])
+                ends = np.searchsorted(which[kept], np.arange(len(heads) + 1))
+                name = mix64(sums[ends[1:]] - sums[ends[:-1]])[which[kept]]
+            yield pa.RecordBatch.from_arrays([pa.array(name.view(np.int64)), *(pa.array(x[kept]) for x in (node, n, group, half))], names=["tile", "node", "n", "group", "half"])
+
+    dealt = rows.select("tile", "node", "n", "group", "half", "signature").repartition("tile").sortWithinPartitions("tile", "n")
+    return dealt.mapInArrow(work, "tile bigint, node bigint, n bigint, group bigint, half int").distinct()
+
+
 def _neighbourhoods(live: DataFrame, sizes: DataFrame, tile_bytes: int) -> DataFrame:
     """(label, node, n, bytes, tiles) of nodes that share shingles of ``live`` (shingle, node), directly or through others."""
     first = live.groupBy("shingle").agg(F.min("node").alias("first"))
@@ -370,9 +407,11 @@ def _links(sets: DataFrame, percent: int, tile_bytes: int) -> DataFrame:
 
     Nodes that share leading shingles, directly or by way of others, are a neighbourhood. One of up to
     ``tile_bytes`` is a tile. A larger one is dealt to several tiles, and an eighth of a tile of
-    its nodes goes to all of them, which connects a large group of near copies in one pass. After
+    its nodes goes to all of them, which connects a large group of near copies in one pass; nodes with the same
+    shingle of least hash meet, too, which connects most small groups. After
     that each shingle that still holds several groups is taken by itself: nodes of its largest group
-    meet all others but not each other, in pairs of tiles where they are too many for one.
+    meet all others but not each other, in pairs of tiles where they are too many for one. Sets go there only
+    for nodes that by their signatures may be linked, and once for all shingles that the same nodes share.
     """
     shipped = lambda rows: rows.join(sets.drop("n"), "node")
     alone = F.lit(0).alias("half")
@@ -387,7 +426,10 @@ def _links(sets: DataFrame, percent: int, tile_bytes: int) -> DataFrame:
     everywhere = F.pmod(F.xxhash64("node", F.lit(6)), F.col("tiles") * 8) == 0
     dealt = large.withColumn("own", F.explode(F.when(everywhere, F.sequence(F.lit(0).cast("bigint"), F.col("tiles") - 1)).otherwise(F.array(own))))
     links.append(cut(joined_tiles(shipped(dealt.select(F.xxhash64("label", "own").alias("tile"), "node", "n", F.col("node").alias("group"), alone)), percent)))
-    group = components(links[-1]).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
+    least = live.join(large.select("node", "n", "bytes"), "node").groupBy("node", "n", "bytes").agg(F.min(F.xxhash64("shingle", F.lit(8))).alias("tile"))
+    meeting = least.groupBy("tile").agg(F.count("*").alias("nodes"), F.sum("bytes").alias("all")).filter(f"nodes > 1 AND all <= {tile_bytes}").select("tile")
+    links.append(cut(joined_tiles(shipped(least.join(meeting, "tile").select("tile", "node", "n", F.col("node").alias("group"), alone)), percent)))
+    group = components(links[-2].unionByName(links[-1])).select(F.col("node").alias("__n"), F.col("label").alias("__g"))
     rows = live.join(large.select("node", "n", "bytes"), "node").join(group, F.col("node") == F.col("__n"), "left")
     rows = rows.select("shingle", "node", "n", "bytes", F.coalesce("__g", "node").alias("group"))
     parts = rows.groupBy("shingle", "group").agg(F.sum("bytes").alias("bytes"))
@@ -402,7 +444,9 @@ def _links(sets: DataFrame, percent: int, tile_bytes: int) -> DataFrame:
     rows = rows.withColumn("own", number).withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), last)))
     tile = F.xxhash64("shingle", F.least("own", "other"), F.greatest("own", "other"))
     pairs = rows.select(tile.alias("tile"), "node", "n", "group", (F.col("own") > F.col("other")).cast("int").alias("half"))
-    links.append(cut(joined_tiles(shipped(pairs), percent)))
+    near = cut(_rows_of_use(pairs.join(sets.select("node", "signature"), "node"), percent))
+    links.append(cut(joined_tiles(shipped(near), percent)))
+    release(near)
     return reduce(DataFrame.unionByName, links)
 
 

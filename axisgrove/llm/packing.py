@@ -7,6 +7,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from axisgrove.plans.storage import cut, release
+
 #: Bits of a filter, whatever the number of hashes. A filter never misses a hash; it may let others pass.
 FILTER_BITS = 26
 
@@ -33,11 +35,14 @@ def whole_groups(batches, key: str):
 def bit_filter(hashes: DataFrame, column: str) -> bytes:
     """A bitmap of the low bits of signed hashes; its size does not depend on their number."""
     low = F.col(column).bitwiseAND(F.lit((1 << FILTER_BITS) - 1)) + 1  # these functions count from one
-    rows = hashes.groupBy(F.bitmap_bucket_number(low).alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(low)).alias("bits")).collect()
+    rows = hashes.groupBy(F.bitmap_bucket_number(low).alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(low)).alias("bits"))
+    # Written before it is collected, as shuffle files go with a table that is written, not with rows that are collected.
+    made = cut(rows)
     out = np.zeros(1 << (FILTER_BITS - 3), dtype=np.uint8)
-    for r in rows:
+    for r in made.collect():
         at = (r["b"] - 1) * 4096
         out[at : at + 4096] = np.frombuffer(bytes(r["bits"]), dtype=np.uint8)[: len(out) - at]
+    release(made)
     return out.tobytes()
 
 

@@ -487,3 +487,36 @@ def test_url_filter(spark):
     held_out = url_filter.labelled_urls(800, seed=123)
     p = url_filter.default_model().probability([u for u, _ in held_out])
     assert np.mean((p > 0.5) == np.array([b for _, b in held_out])) > 0.9
+
+
+def test_sets_are_not_sent_for_every_shingle_in_common(spark, monkeypatch):
+    """Near copies in one neighbourhood, which passages in common make too large for one tile."""
+    rng = random.Random(12)
+    made = lambda n: [f"w{rng.randrange(10**6)}" for _ in range(n)]
+    link, rows = made(95), []
+    for i in range(60):
+        passage, link = link, made(95)
+        base = made(10) + passage + made(10) + link  # the next pair has this passage, too
+        rows += [(2 * i, " ".join(base)), (2 * i + 1, " ".join(base[:-1]))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    sent, inner = [], jaccard_join.joined_tiles
+    monkeypatch.setattr(jaccard_join, "joined_tiles", lambda tiles, percent: sent.append(tiles.count()) or inner(tiles, percent))
+    got = jaccard_join.similar_groups(docs, ["doc_id"], tile_bytes=40_000).collect()
+    groups = collections.defaultdict(set)
+    for r in got:
+        groups[r["group"]].add(r["doc_id"])
+    assert sorted(sorted(g) for g in groups.values()) == [[2 * i, 2 * i + 1] for i in range(60)]
+    assert len(sent) > 1 and sum(sent) <= 5 * len(rows)
+
+
+def test_rows_of_use_keeps_what_may_be_linked(spark):
+    sets = [list(range(0, 200)), list(range(5, 205)), list(range(1000, 1200)), list(range(1000, 1190)), list(range(150, 350))]
+    hashed = [np.sort(jaccard_join.mix64(np.array(s, dtype=np.uint64))) for s in sets]
+    row = lambda tile, k, group, half: (tile, k, len(sets[k]), group, half, jaccard_join._signature(hashed[k]))
+    rows = [row(1, 0, 0, 0), row(1, 1, 1, 0), row(1, 4, 4, 0), row(2, 1, 1, 0), row(2, 0, 0, 0), row(3, 2, 9, 0), row(3, 3, 9, 0), row(4, 2, 2, 0), row(4, 3, 3, 1), row(5, 2, 2, 0), row(5, 3, 3, 0), row(5, 0, 0, 1), row(6, 4, 4, 0)]
+    got = jaccard_join._rows_of_use(spark.createDataFrame(rows, "tile long, node long, n long, group long, half int, signature binary"), 85).collect()
+    tiles = collections.defaultdict(list)
+    for r in got:
+        tiles[r["tile"]].append((r["node"], r["n"], r["group"], r["half"]))
+    # The first two tiles are left with the same rows and become one; the third is of one group; in the fifth both are of one half.
+    assert sorted(sorted(t) for t in tiles.values()) == [[(0, 200, 0, 0), (1, 200, 1, 0)], [(2, 200, 2, 0), (3, 190, 3, 1)]]
